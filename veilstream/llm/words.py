@@ -2,8 +2,8 @@
 
 The tokenizer drops white space, and none of its steps looks across it, so the ids of a
 text are the ids of its white-space words in a row. Words repeat far more than texts do,
-so each Python worker keeps a bounded dictionary from word to ids and gives the library
-only words it has not met. Texts for which the claim could fail (added-token strings,
+so each Python worker keeps a bounded dictionary from pre-token to ids and gives the
+library's model only pre-tokens it has not met. Texts for which the claim could fail (added-token strings,
 control characters on which Python and the tokenizer differ about white space) go to the
 library whole.
 """
@@ -16,7 +16,7 @@ from bisect import bisect_right
 
 import numpy as np
 
-#: Words kept by a worker before its dictionary is emptied (bounds memory; results do not depend on it).
+#: Pre-tokens or words kept by a worker before its dictionary is emptied (bounds memory; results do not depend on it).
 MAX_WORDS = 1_200_000
 #: Python splits at U+001C..U+001F, the tokenizer does not; "<|" starts the added tokens.
 ODD = re.compile("[\x1c-\x1f]|<\\|")
@@ -47,52 +47,82 @@ def merge_counter(path: str) -> MergeCounter:
     return per_worker(("counter", path), lambda: MergeCounter(path))
 
 
-class WordEncoder:
-    """encode(text) -> ids as a uint32 array, equal to the library's without special tokens added."""
+#: Fixed value: the split pattern for which printable ASCII words may be split here.
+WORD_END_PATTERN = "'s|'t|'re|'ve|'m|'ll|'d|[\\p{L}]+|[\\p{N}]|[^\\s\\p{L}\\p{N}]+"
+#: Texts of these characters are in normal form C and split by PIECES, once lower-cased, just as by the pattern above.
+PLAIN = re.compile("[\\t\\n\\r -~À-ÖØ-öø-į]*")
+PIECES = re.compile("'s|'t|'re|'ve|'m|'ll|'d|[a-zß-öø-į]+|[0-9]|[^\\sa-z0-9ß-öø-į]+")
 
-    def __init__(self, path: str):
-        self.tok = load_tokenizer(path)
-        self.known: dict[str, bytes] = {}
 
-    def learn(self, missing: list[str]) -> None:
-        if len(self.known) + len(missing) > MAX_WORDS:
-            self.known.clear()
-        for k in range(0, len(missing), 4096):
-            part = missing[k : k + 4096]
+class WordPieces:
+    """Splits texts into the pre-tokens that the tokenizer's model gets."""
+
+    def __init__(self, tok):
+        import json
+
+        spec = json.loads(tok.to_str())
+        splits = (spec["pre_tokenizer"] or {}).get("pretokenizers") or []
+        lowers = any(n["type"] == "Lowercase" for n in (spec["normalizer"] or {}).get("normalizers") or [])
+        self.tok = tok
+        self.known_pattern = lowers and [x["type"] for x in splits] == ["Split", "ByteLevel"] and splits[0]["pattern"] == {"Regex": WORD_END_PATTERN}
+
+    def plain(self, text: str) -> list[str] | None:
+        """Pre-tokens before the byte-level mapping, or None if the text needs the library to split it."""
+        if self.known_pattern and PLAIN.fullmatch(text) and "<|" not in text:
+            return PIECES.findall(text.lower())
+        return None
+
+    def mapped(self, piece: str) -> str:
+        return piece if piece.isascii() else "".join(p for p, _ in self.tok.pre_tokenizer.pre_tokenize_str(piece))
+
+    def split(self, words: list[str]) -> list[list[str]]:
+        """Mapped pre-tokens of white-space words, by the library."""
+        out: list[list[str]] = [[] for _ in words]
+        for k in range(0, len(words), 4096):
+            plain = self.tok.normalizer.normalize_str(" ".join(words[k : k + 4096]))
             starts = [0]
-            for w in part[:-1]:
+            for w in plain.split(" ")[:-1]:
                 starts.append(starts[-1] + len(w) + 1)
-            enc = self.tok.encode(" ".join(part), add_special_tokens=False)
-            ids = np.asarray(enc.ids, dtype="<u4")
-            cut = np.searchsorted(np.asarray([o[0] for o in enc.offsets], dtype=np.int64), np.asarray([*starts, starts[-1] + len(part[-1]) + 1]))
-            raw = ids.tobytes()
-            for w, a, b in zip(part, cut[:-1].tolist(), cut[1:].tolist()):
-                self.known[w] = raw[4 * a : 4 * b]
+            for p, (a, _) in self.tok.pre_tokenizer.pre_tokenize_str(plain):
+                out[k + bisect_right(starts, a) - 1].append(p)
+        return out
+
+
+class PieceCache(dict):
+    """Piece -> what make(piece) gives; emptied when it holds MAX_WORDS."""
+
+    def __init__(self, make):
+        super().__init__()
+        self.make = make
+
+    def __missing__(self, piece: str):
+        if len(self) >= MAX_WORDS:
+            self.clear()
+        out = self[piece] = self.make(piece)
+        return out
+
+
+class WordEncoder:
+    """raw(text) -> ids, equal to the library's without special tokens added."""
+
+    def __init__(self, path: str):
+        self.tok = load_tokenizer(path)
+        self.pieces = WordPieces(self.tok)
+        model, mapped = self.tok.model.tokenize, self.pieces.mapped
+        ids = lambda p: b"".join([t.id.to_bytes(4, "little") for t in model(p)])
+        self.of_plain = PieceCache(lambda p: ids(mapped(p)))
+        self.of_word = PieceCache(lambda w: b"".join(map(ids, self.pieces.split([w])[0])))
 
     def raw(self, text: str | None) -> bytes:
         """The ids as little-endian unsigned 32-bit integers."""
         if not text:
             return b""
+        plain = self.pieces.plain(text)
+        if plain is not None:
+            return b"".join(map(self.of_plain.__getitem__, plain))
         if ODD.search(text):
             return np.asarray(self.tok.encode(text, add_special_tokens=False).ids, dtype="<u4").tobytes()
-        words = text.split()
-        get = self.known.__getitem__
-        try:
-            return b"".join(map(get, words))
-        except KeyError:
-            pass
-        # A text with more distinct words than the dictionary may hold is taken in slices.
-        out = []
-        for k in range(0, len(words), 100_000):
-            part = words[k : k + 100_000]
-            missing = [w for w in dict.fromkeys(part) if w not in self.known]
-            if missing:
-                before = len(self.known)
-                self.learn(missing)
-                if len(self.known) < before:
-                    self.learn([w for w in dict.fromkeys(part) if w not in self.known])
-            out.append(b"".join(map(get, part)))
-        return b"".join(out)
+        return b"".join(map(self.of_word.__getitem__, text.split()))
 
 
 class MergeCounter:
@@ -120,15 +150,13 @@ class MergeCounter:
         self.symbol = {s: i for s, i in vocab.items() if len(s.removesuffix(self.suffix)) <= 1 or len(s) == 1}
         self.added = [t["content"] for t in spec["added_tokens"]]
         self.cut = re.compile("|".join(map(re.escape, self.added))) if self.added else None
-        self.pieces: dict[str, int] = {}
-        self.known: dict[str, int] = {}
+        self.pieces = WordPieces(self.tok)
+        self.of_plain = PieceCache(lambda p: self.merged(self.pieces.mapped(p)))
+        self.of_word = PieceCache(lambda w: sum(map(self.merged, self.pieces.split([w])[0])))
 
     def merged(self, piece: str) -> int:
         from heapq import heapify, heappop, heappush
 
-        found = self.pieces.get(piece)
-        if found is not None:
-            return found
         sym = [self.symbol[c] for c in piece[:-1] if c in self.symbol]
         last = self.symbol.get(piece[-1] + self.suffix)
         if last is not None:
@@ -154,9 +182,6 @@ class MergeCounter:
             h = prev[i]
             if h >= 0 and (r := ranks.get((sym[h], ab))):
                 heappush(heap, (r[0], h, sym[h], ab, r[1]))
-        if len(self.pieces) >= MAX_WORDS:
-            self.pieces.clear()
-        self.pieces[piece] = n - merges
         return n - merges
 
     def split_count(self, text: str) -> int:
@@ -165,41 +190,13 @@ class MergeCounter:
             return 0
         return sum(self.merged(p) for p, _ in self.tok.pre_tokenizer.pre_tokenize_str(self.tok.normalizer.normalize_str(text)))
 
-    def learn(self, missing: list[str]) -> None:
-        if len(self.known) + len(missing) > MAX_WORDS:
-            self.known.clear()
-        for k in range(0, len(missing), 4096):
-            part = missing[k : k + 4096]
-            plain = self.tok.normalizer.normalize_str(" ".join(part))
-            starts = [0]
-            for w in plain.split(" ")[:-1]:
-                starts.append(starts[-1] + len(w) + 1)
-            counts = [0] * len(part)
-            for p, (a, _) in self.tok.pre_tokenizer.pre_tokenize_str(plain):
-                counts[bisect_right(starts, a) - 1] += self.merged(p)
-            self.known.update(zip(part, counts))
-
     def count(self, text: str | None) -> int:
         if not text:
             return 0
+        plain = self.pieces.plain(text)
+        if plain is not None:
+            return sum(map(self.of_plain.__getitem__, plain))
         if ODD.search(text):
-            if not self.cut:
-                return self.split_count(text)
-            parts = self.cut.split(text)
+            parts = self.cut.split(text) if self.cut else [text]
             return len(parts) - 1 + sum(map(self.split_count, parts))
-        words = text.split()
-        get = self.known.__getitem__
-        try:
-            return sum(map(get, words))
-        except KeyError:
-            pass
-        total = 0
-        for k in range(0, len(words), 100_000):
-            part = words[k : k + 100_000]
-            for _ in range(2):
-                missing = [w for w in dict.fromkeys(part) if w not in self.known]
-                if not missing:
-                    break
-                self.learn(missing)
-            total += sum(map(get, part))
-        return total
+        return sum(map(self.of_word.__getitem__, text.split()))
