@@ -10,6 +10,7 @@ library whole.
 
 from __future__ import annotations
 
+import gc
 import re
 import sys
 from bisect import bisect_right
@@ -17,7 +18,7 @@ from bisect import bisect_right
 import numpy as np
 
 #: Pre-tokens or words kept by a worker before its dictionary is emptied (bounds memory; results do not depend on it).
-MAX_WORDS = 1_200_000
+MAX_WORDS = 1_000_000
 #: Python splits at U+001C..U+001F, the tokenizer does not; "<|" starts the added tokens.
 ODD = re.compile("[\x1c-\x1f]|<\\|")
 
@@ -27,6 +28,7 @@ def per_worker(key: tuple, make):
 
     Functions reach workers by value, with globals of their own, so the store hangs on sys.
     """
+    gc.set_threshold(500_000, 20, 20)  # the dictionaries are no garbage; walking them is dear
     kept = sys.__dict__.setdefault("_veilstream_kept", {})
     if key not in kept:
         kept[key] = make()
@@ -66,11 +68,9 @@ class WordPieces:
         self.tok = tok
         self.known_pattern = lowers and [x["type"] for x in splits] == ["Split", "ByteLevel"] and splits[0]["pattern"] == {"Regex": WORD_END_PATTERN}
 
-    def plain(self, text: str) -> list[str] | None:
-        """Pre-tokens before the byte-level mapping, or None if the text needs the library to split it."""
-        if self.known_pattern and PLAIN.fullmatch(text) and "<|" not in text:
-            return PIECES.findall(text.lower())
-        return None
+    def plain(self, text: str) -> bool:
+        """Whether PIECES splits this text's words as the library does."""
+        return self.known_pattern and PLAIN.fullmatch(text) is not None and "<|" not in text
 
     def mapped(self, piece: str) -> str:
         return piece if piece.isascii() else "".join(p for p, _ in self.tok.pre_tokenizer.pre_tokenize_str(piece))
@@ -110,16 +110,16 @@ class WordEncoder:
         self.pieces = WordPieces(self.tok)
         model, mapped = self.tok.model.tokenize, self.pieces.mapped
         ids = lambda p: b"".join([t.id.to_bytes(4, "little") for t in model(p)])
-        self.of_plain = PieceCache(lambda p: ids(mapped(p)))
+        self.of_piece = PieceCache(lambda p: ids(mapped(p)))
+        self.of_plain = PieceCache(lambda w: b"".join([self.of_piece[p] for p in PIECES.findall(w.lower())]))
         self.of_word = PieceCache(lambda w: b"".join(map(ids, self.pieces.split([w])[0])))
 
     def raw(self, text: str | None) -> bytes:
         """The ids as little-endian unsigned 32-bit integers."""
         if not text:
             return b""
-        plain = self.pieces.plain(text)
-        if plain is not None:
-            return b"".join(map(self.of_plain.__getitem__, plain))
+        if self.pieces.plain(text):
+            return b"".join(map(self.of_plain.__getitem__, text.split()))
         if ODD.search(text):
             return np.asarray(self.tok.encode(text, add_special_tokens=False).ids, dtype="<u4").tobytes()
         return b"".join(map(self.of_word.__getitem__, text.split()))
@@ -151,7 +151,8 @@ class MergeCounter:
         self.added = [t["content"] for t in spec["added_tokens"]]
         self.cut = re.compile("|".join(map(re.escape, self.added))) if self.added else None
         self.pieces = WordPieces(self.tok)
-        self.of_plain = PieceCache(lambda p: self.merged(self.pieces.mapped(p)))
+        self.of_piece = PieceCache(lambda p: self.merged(self.pieces.mapped(p)))
+        self.of_plain = PieceCache(lambda w: sum([self.of_piece[p] for p in PIECES.findall(w.lower())]))
         self.of_word = PieceCache(lambda w: sum(map(self.merged, self.pieces.split([w])[0])))
 
     def merged(self, piece: str) -> int:
@@ -193,9 +194,8 @@ class MergeCounter:
     def count(self, text: str | None) -> int:
         if not text:
             return 0
-        plain = self.pieces.plain(text)
-        if plain is not None:
-            return sum(map(self.of_plain.__getitem__, plain))
+        if self.pieces.plain(text):
+            return sum(map(self.of_plain.__getitem__, text.split()))
         if ODD.search(text):
             parts = self.cut.split(text) if self.cut else [text]
             return len(parts) - 1 + sum(map(self.split_count, parts))
