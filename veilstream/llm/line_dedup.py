@@ -31,9 +31,10 @@ MOST = 2
 
 
 def lines_of(docs: DataFrame) -> DataFrame:
-    """doc_id, th (hash of the text), line_no, line, k1, k2 (two independent hashes) of every judged line."""
+    """doc_id, th (hash of the text), line_no, line, n (characters), k1, k2 (two independent hashes) of every judged line."""
     split = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64("text").alias("th"), F.posexplode(F.split("text", "\n")).alias("line_no", "line"))
-    return split.filter(F.length("line") >= MIN_CHARS).select("doc_id", "th", "line_no", "line", F.xxhash64("line").alias("k1"), F.xxhash64(F.lit(1), "line").alias("k2"))
+    split = split.withColumn("n", F.length("line")).filter(F.col("n") >= MIN_CHARS)
+    return split.select("doc_id", "th", "line_no", "line", "n", F.xxhash64("line").alias("k1"), F.xxhash64(F.lit(1), "line").alias("k2"))
 
 
 def places(k: int, segment: int, delta: int) -> range:
@@ -42,26 +43,28 @@ def places(k: int, segment: int, delta: int) -> range:
     return range(max(-i, delta - (k - i)), min(i, delta + (k - i)) + 1)
 
 
-def signatures(line: Column) -> Column:
-    """Hashes of (length, segment, text) at which this line may meet lines of its own length or shorter."""
-    size = F.length(line)
-    by_delta = []
-    for delta in range(MOST + 1):
-        short = size - delta
+def signatures(wide: Column, size: Column) -> Column:
+    """Hashes of (length, segment, text) at which this line may meet lines of its own length or shorter.
 
-        def own(k: int, short=short, delta=delta) -> Column:
-            out = []
-            for i in range(k + 1):
-                at = F.floor(short * i / (k + 1)).cast("int")
-                width = F.floor(short * (i + 1) / (k + 1)).cast("int") - at
-                out += [F.xxhash64(short, F.lit(i), F.substring(line, at + 1 + p, width)) for p in places(k, i, delta)]
-            return F.array(*out)
+    wide: the line with four bytes a character, which can be cut anywhere without a walk from its start.
+    """
+
+    def own(delta: int, k: int) -> list[Column]:
+        short = size - delta if delta else size
+        cut = lambda i: F.call_function("div", short * i, F.lit(k + 1)).cast("int")
+        out = []
+        for i in range(k + 1):
+            width = cut(i + 1) - cut(i) if i < k else short - cut(i)
+            out += [F.xxhash64(short, F.lit(i), F.substring(wide, (cut(i) + p) * 4 + 1 if i else F.lit(1 + 4 * p), width * 4)) for p in places(k, i, delta)]
+        return out
 
-        case = F.when(short >= LONG, own(2))
-        if delta <= 1:
-            case = case.when(short >= MIN_CHARS, own(1))
-        by_delta.append(case.otherwise(F.array().cast("array<bigint>")))
-    return F.flatten(F.array(*by_delta))
+    none = F.array().cast("array<bigint>")
+    mixed = [
+        F.when(size - delta >= LONG, F.array(*own(delta, 2))).when(F.lit(delta <= 1) & (size - delta >= MIN_CHARS), F.array(*own(min(delta, 1), 1))).otherwise(none)
+        for delta in range(MOST + 1)
+    ]
+    every = [s for delta in range(MOST + 1) for s in own(delta, 2)]
+    return F.when(size - MOST >= LONG, F.array(*every)).otherwise(F.flatten(F.array(*mixed)))
 
 
 def letter_counts(line: Column) -> Column:
@@ -126,16 +129,24 @@ def allowed(shorter: Column) -> Column:
     return F.when(shorter >= LONG, F.lit(2)).otherwise(F.lit(1))
 
 
-def edit_links(lines: DataFrame) -> DataFrame:
+def line_keys(docs: DataFrame) -> DataFrame:
+    """doc_id, th, line_no, k1, k2, sigs of every judged line, written once and read by column."""
+    lines = lines_of(docs).withColumn("wide", F.encode("line", "UTF-32"))
+    return materialize(lines.select("doc_id", "th", "line_no", "k1", "k2", signatures(F.col("wide"), F.col("n")).alias("sigs")), "line-keys")
+
+
+def edit_links(docs: DataFrame, keys: DataFrame) -> DataFrame:
     """k1, k2, l1, l2, first, later of every pair of different lines within the threshold.
 
     `first` and `later` are the earliest (doc_id, th, line_no) of the two lines, in order.
     """
-    sig = F.explode(signatures(F.col("line"))).alias("sig")
-    shared = lines.select("k1", sig).groupBy("sig").agg(F.min("k1").alias("lo"), F.max("k1").alias("hi")).filter("lo <> hi").select("sig")
+    sig = F.explode("sigs").alias("sig")
+    shared = keys.select("k1", sig).groupBy("sig").agg(F.min("k1").alias("lo"), F.max("k1").alias("hi")).filter("lo <> hi").select("sig")
     shared = materialize(shared, "shared-segments")
-    met = lines.select("doc_id", "th", "line_no", "line", "k1", "k2", sig).join(small(shared), "sig", "left_semi")
-    once = met.groupBy("sig", "k1", "k2").agg(F.min(F.struct("doc_id", "th", "line_no", "line")).alias("f"))
+    met = materialize(keys.select("k1", "k2", sig).join(small(shared), "sig", "left_semi").distinct(), "met-segments")
+    who = small(materialize(met.select("k1", "k2").distinct(), "met-lines"))
+    texts = lines_of(docs).join(who, ["k1", "k2"], "left_semi").groupBy("k1", "k2").agg(F.min(F.struct("doc_id", "th", "line_no", "line")).alias("f"))
+    once = met.join(texts, ["k1", "k2"])
     cand = once.select("sig", "k1", "k2", F.struct("f.doc_id", "f.th", "f.line_no").alias("at"), F.col("f.line").alias("line"), F.length("f.line").alias("n"), letter_counts(F.col("f.line")).alias("letters"))
     cand = materialize(cand, "edit-candidates")
     a = cand.select(*[F.col(c).alias(f"a_{c}") for c in cand.columns])
@@ -157,9 +168,8 @@ def repeats(docs: DataFrame) -> DataFrame:
 
     exact: not the first occurrence of its text; near: an earlier line lies within the threshold.
     """
-    lines = lines_of(docs)
-    keys = materialize(lines.select("doc_id", "th", "line_no", "k1", "k2"), "line-keys")
-    links = edit_links(lines)
+    keys = line_keys(docs)
+    links = edit_links(docs, keys)
     twice = keys.groupBy("k1", "k2").agg(F.min(F.struct("doc_id", "th", "line_no")).alias("first"), F.count(F.lit(1)).alias("n")).filter("n > 1")
     ends = links.select("k1", "k2", F.lit(False).alias("near")).unionByName(links.select(F.col("l1").alias("k1"), F.col("l2").alias("k2"), F.lit(True).alias("near")))
     linked = ends.groupBy("k1", "k2").agg(F.max("near").alias("near"), F.count(F.lit(1)).alias("links"))
