@@ -1,0 +1,46 @@
+"""Gaussian noise as a pure function of (secret, stream, key, round, level, index).
+
+A retried task or another engine draws the same noise, so no tree is stored and nothing is
+released twice with different noise. SHA-256 gives two 52-bit uniforms, Box-Muller a normal.
+"""
+
+from __future__ import annotations
+
+import hashlib
+import math
+
+from pyspark.sql import Column
+from pyspark.sql import functions as F
+
+TWO52 = float(1 << 52)
+
+
+def key_text(*fields) -> str:
+    """Unambiguous text of a composite key: each field with its length, null as -1."""
+    return "".join("-1:" if f is None else f"{len(str(f))}:{f}" for f in fields)
+
+
+def key_column(*cols: str | Column) -> Column:
+    one = lambda c: F.coalesce(F.concat(F.length(c.cast("string")).cast("string"), F.lit(":"), c.cast("string")), F.lit("-1:"))
+    return F.concat(*[one(F.col(c) if isinstance(c, str) else c) for c in cols])
+
+
+def normal(secret: str, stream: str, key: str, round_: int, level: int, index: int) -> float:
+    h = hashlib.sha256(f"{secret}|{stream}|{key}|{round_}|{level}|{index}".encode()).hexdigest()
+    u, v = (int(h[:13], 16) + 1) / TWO52, int(h[13:26], 16) / TWO52
+    return math.sqrt(-2 * math.log(u)) * math.cos(2 * math.pi * v)
+
+
+def normal_column(secret: str, stream: str | Column, key: Column, round_: Column, level: Column, index: Column) -> Column:
+    stream = F.lit(stream) if isinstance(stream, str) else stream
+    h = F.sha2(F.concat_ws("|", F.lit(secret), stream, key, round_.cast("string"), level.cast("string"), index.cast("string")), 256)
+    u = (F.conv(F.substring(h, 1, 13), 16, 10).cast("double") + 1) / TWO52
+    v = F.conv(F.substring(h, 14, 13), 16, 10).cast("double") / TWO52
+    return F.sqrt(-2 * F.log(u)) * F.cos(2 * math.pi * v)
+
+
+def normal_sql(secret: str, stream: str, key: str, round_: str, level: str, index: str) -> str:
+    """The same as DuckDB SQL; the arguments after stream are SQL expressions."""
+    h = f"sha256('{secret}|{stream}|' || {key} || '|' || {round_} || '|' || {level} || '|' || {index})"
+    hexa = lambda a: f"('0x' || substr({h}, {a}, 13))::BIGINT::DOUBLE"
+    return f"sqrt(-2.0::DOUBLE * ln(({hexa(1)} + 1.0::DOUBLE) / {TWO52}::DOUBLE)) * cos(2.0::DOUBLE * pi() * {hexa(14)} / {TWO52}::DOUBLE)"
