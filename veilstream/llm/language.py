@@ -124,8 +124,11 @@ def train(docs: DataFrame, sample_per_lang: int = 600, centroids: int = 4, slack
     """Fit on at most sample_per_lang labelled, not held-out texts of each language, those of lowest hash."""
     learn = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", "lang").filter(F.col("lang").isNotNull() & F.col("text").isNotNull() & ~held_out("doc_id"))
     ids = learn.select("doc_id", "lang", F.xxhash64("doc_id").alias("h"))
+    # the lowest of a language are among the lowest of each of its salts
+    first = F.row_number().over(Window.partitionBy("lang", F.pmod("h", F.lit(32))).orderBy("h", "doc_id"))
     rank = F.row_number().over(Window.partitionBy("lang").orderBy("h", "doc_id"))
-    chosen = ids.withColumn("r", rank).filter(F.col("r") <= sample_per_lang).select("doc_id", "lang").distinct()
+    few = ids.withColumn("r", first).filter(F.col("r") <= sample_per_lang).drop("r")
+    chosen = few.withColumn("r", rank).filter(F.col("r") <= sample_per_lang).select("doc_id", "lang").distinct()
     picked = learn.join(F.broadcast(chosen), ["doc_id", "lang"])  # bounded: sample_per_lang rows a language
 
     def run(batches):
