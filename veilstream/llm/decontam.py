@@ -58,7 +58,7 @@ class TokenHasher:
             return np.fromiter(map(known.__getitem__, words), np.uint64, len(words))
         except KeyError:
             pass
-        if len(known) > 1_000_000:
+        if len(known) > 300_000:
             known.clear()
         one = xxhash.xxh64_intdigest
         for w in words:

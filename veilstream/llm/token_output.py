@@ -28,6 +28,8 @@ from pyspark.sql import functions as F
 from .common import materialize, partitions_for, shared_path
 from .words import word_encoder
 
+#: Words that a worker keeps: more than elsewhere, as this job's memory holds little else.
+CACHED_WORDS = 1_000_000
 #: lengths of the four values that a control byte describes
 LENGTHS = ((np.arange(256)[:, None] >> np.array([0, 2, 4, 6])) & 3).astype(np.int64) + 1
 
@@ -73,12 +75,22 @@ def split_points(docs: DataFrame, parts: int) -> list[int]:
 
 
 def tokenize(docs: DataFrame, tokenizer: str, end_id: int | None, cuts: list[int]) -> DataFrame:
-    """part, doc_id, n_tokens, ids (little-endian 16- or 32-bit, see wide) of every whole text."""
+    """part, doc_id, n_tokens, ids (little-endian 16- or 32-bit, see wide) of every whole text.
+
+    The last row of a task has part -1 and, in hist, how often the task met each id.
+    """
     bounds = np.asarray(cuts, dtype=np.int64)
+    kinds = (pa.int32(), pa.int64(), pa.int64(), pa.bool_(), pa.binary(), pa.binary())
+    add = add_counts
+
+    def rows(*cols):
+        return pa.RecordBatch.from_arrays([c if isinstance(c, pa.Array) else pa.array(c, k) for c, k in zip(cols, kinds)], ["part", "doc_id", "n_tokens", "wide", "ids", "hist"])
+
     end = b"" if end_id is None else np.asarray([end_id], "<u4").tobytes()
 
     def run(batches):
-        enc = word_encoder(tokenizer)
+        enc = word_encoder(tokenizer, CACHED_WORDS)
+        total = np.zeros(0, np.int64)
         for b in batches:
             for k in range(0, b.num_rows, 256):
                 ids, texts = b.column(0)[k : k + 256], b.column(1)[k : k + 256].to_pylist()
@@ -89,36 +101,43 @@ def tokenize(docs: DataFrame, tokenizer: str, end_id: int | None, cuts: list[int
                     counts.append(len(u4))
                     wide.append(bool(len(u4)) and int(u4.max()) > 0xFFFF)
                     out.append((u4 if wide[-1] else u4.astype("<u2")).tobytes())
-                yield pa.RecordBatch.from_arrays([pa.array(parts, pa.int32()), ids, pa.array(counts, pa.int64()), pa.array(wide, pa.bool_()), pa.array(out, pa.binary())], ["part", "doc_id", "n_tokens", "wide", "ids"])
+                    total = add(total, np.bincount(u4))
+                yield rows(parts, ids, counts, wide, out, [None] * len(parts))
+        yield rows([-1], pa.array([None], pa.int64()), [0], [False], [None], [total.tobytes()])
+
+    return docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(run, "part int, doc_id long, n_tokens long, wide boolean, ids binary, hist binary")
+
 
-    return docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(run, "part int, doc_id long, n_tokens long, wide boolean, ids binary")
+def add_counts(total: np.ndarray, c: np.ndarray) -> np.ndarray:
+    if len(c) > len(total):
+        c[: len(total)] += total
+        return c
+    total[: len(c)] += c
+    return total
 
 
 def frequencies(tokens: DataFrame) -> DataFrame:
     """id, n over all documents; a task sends a row for each id it met."""
+    add = add_counts
 
     def run(batches):
         total = np.zeros(0, np.int64)
         for b in batches:
-            for w, x in zip(b.column(0).to_pylist(), b.column(1).to_pylist()):
-                c = np.bincount(np.frombuffer(x, "<u4" if w else "<u2"))
-                if len(c) > len(total):
-                    c[: len(total)] += total
-                    total = c
-                else:
-                    total[: len(c)] += c
+            for x in b.column(0).to_pylist():
+                total = add(total, np.frombuffer(x, np.int64).copy())
         at = np.flatnonzero(total)
         yield pa.RecordBatch.from_arrays([pa.array(at, pa.int64()), pa.array(total[at], pa.int64())], ["id", "n"])
 
-    return tokens.select("wide", "ids").mapInArrow(run, "id long, n long").groupBy("id").agg(F.sum("n").alias("n"))
+    return tokens.filter("part = -1").select("hist").mapInArrow(run, "id long, n long").groupBy("id").agg(F.sum("n").alias("n"))
 
 
 def write_tokens(docs: DataFrame, tokenizer: str, path: str, end_id: int | None = None) -> None:
     """Tokenize every text and write the folder described above to path."""
     spark = docs.sparkSession
     parts = partitions_for(spark)
-    tokens = materialize(tokenize(docs, tokenizer, end_id, split_points(docs, parts)), "tokens")
+    tokens = materialize(tokenize(docs, tokenizer, end_id, split_points(docs, parts)), "tokens", "lz4raw")
     freq = frequencies(tokens).collect()  # bounded by the vocabulary
+    tokens = tokens.filter("part >= 0").drop("hist")
     order = sorted(freq, key=lambda r: (-r["n"], r["id"]))
     schema = "rank long, id long, n long"
     spark.createDataFrame([(i, r["id"], r["n"]) for i, r in enumerate(order)], schema).coalesce(1).write.parquet(f"{path}/ranks")

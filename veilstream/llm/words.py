@@ -18,7 +18,7 @@ from bisect import bisect_right
 import numpy as np
 
 #: Pre-tokens or words kept by a worker before its dictionary is emptied (bounds memory; results do not depend on it).
-MAX_WORDS = 1_000_000
+MAX_WORDS = 400_000
 #: Python splits at U+001C..U+001F, the tokenizer does not; "<|" starts the added tokens.
 ODD = re.compile("[\x1c-\x1f]|<\\|")
 
@@ -41,8 +41,8 @@ def load_tokenizer(path: str):
     return per_worker(("tokenizer", path), lambda: Tokenizer.from_file(path))
 
 
-def word_encoder(path: str) -> WordEncoder:
-    return per_worker(("encoder", path), lambda: WordEncoder(path))
+def word_encoder(path: str, most: int = MAX_WORDS) -> WordEncoder:
+    return per_worker(("encoder", path, most), lambda: WordEncoder(path, most))
 
 
 def merge_counter(path: str) -> MergeCounter:
@@ -89,14 +89,14 @@ class WordPieces:
 
 
 class PieceCache(dict):
-    """Piece -> what make(piece) gives; emptied when it holds MAX_WORDS."""
+    """Piece -> what make(piece) gives; emptied when it holds `most`."""
 
-    def __init__(self, make):
+    def __init__(self, make, most: int = MAX_WORDS):
         super().__init__()
-        self.make = make
+        self.make, self.most = make, most
 
     def __missing__(self, piece: str):
-        if len(self) >= MAX_WORDS:
+        if len(self) >= self.most:
             self.clear()
         out = self[piece] = self.make(piece)
         return out
@@ -105,14 +105,14 @@ class PieceCache(dict):
 class WordEncoder:
     """raw(text) -> ids, equal to the library's without special tokens added."""
 
-    def __init__(self, path: str):
+    def __init__(self, path: str, most: int = MAX_WORDS):
         self.tok = load_tokenizer(path)
         self.pieces = WordPieces(self.tok)
         model, mapped = self.tok.model.tokenize, self.pieces.mapped
         ids = lambda p: b"".join([t.id.to_bytes(4, "little") for t in model(p)])
-        self.of_piece = PieceCache(lambda p: ids(mapped(p)))
-        self.of_plain = PieceCache(lambda w: b"".join([self.of_piece[p] for p in PIECES.findall(w.lower())]))
-        self.of_word = PieceCache(lambda w: b"".join(map(ids, self.pieces.split([w])[0])))
+        self.of_piece = PieceCache(lambda p: ids(mapped(p)), most)
+        self.of_plain = PieceCache(lambda w: b"".join([self.of_piece[p] for p in PIECES.findall(w.lower())]), most)
+        self.of_word = PieceCache(lambda w: b"".join(map(ids, self.pieces.split([w])[0])), most)
 
     def raw(self, text: str | None) -> bytes:
         """The ids as little-endian unsigned 32-bit integers."""
