@@ -27,7 +27,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import materialize, small
-from .words import per_worker
+from .words import end_of_task, per_worker
 
 SPAN = 11
 #: positions that count, of 11: seven of them in each mask
@@ -162,7 +162,7 @@ def find_leaks(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
         rows = sorted(((r["item_id"], r["text"]) for r in parts.filter(F.col("chunk") == c).collect()), key=lambda r: (r[0] is None, r))  # about CHUNK_TOKENS
         state = spark.sparkContext.broadcast(rows)
 
-        def run(batches, state=state, make=Index, hasher=token_hasher):
+        def run(batches, state=state, make=Index, hasher=token_hasher, done=end_of_task):
             index, hasher = make(state.value), hasher()
             for b in batches:
                 cols: list[list] = [[] for _ in range(6)]
@@ -171,6 +171,7 @@ def find_leaks(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
                         for col, v in zip(cols, (d, *row)):
                             col.append(v)
                 yield pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in cols], ["doc_id", "item_id", "doc_token", "item_token", "span", "matches"])
+            done()
 
         one = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, "doc_id long, item_id long, doc_token long, item_token long, span long, matches long")
         found = one if found is None else found.unionByName(one)

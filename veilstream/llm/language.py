@@ -20,6 +20,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from .words import end_of_task
+
 DIMS = 4096
 ORDERS = (1, 2, 3)
 CHUNK = 1 << 20
@@ -146,7 +148,7 @@ def classify(docs: DataFrame, model: CentroidModel, keep: list[str]) -> DataFram
     """The columns `keep` and lang_pred, score, rejected; `text` is the only input of the prediction."""
     spark = docs.sparkSession
     state = spark.sparkContext.broadcast((model.langs, model.centroids, model.owner, model.idf, model.reach))  # languages x centroids x DIMS
-    cls = CentroidModel
+    cls, done = CentroidModel, end_of_task
     k = len(keep)
 
     def run(batches):
@@ -157,6 +159,7 @@ def classify(docs: DataFrame, model: CentroidModel, keep: list[str]) -> DataFram
                 got = [grams(t) for t in part.column(k).to_pylist()]
                 lang, score, bad = model.predict(np.stack([g for g, _ in got]), np.asarray([n for _, n in got]))
                 yield pa.RecordBatch.from_arrays([*part.columns[:k], pa.array(lang, pa.string()), pa.array(score, pa.float64()), pa.array(bad, pa.bool_())], [*keep, "lang_pred", "score", "rejected"])
+        done()
 
     src = docs.select(*keep, F.col("text").alias("_text"))
     schema = src.select(*keep).schema.add("lang_pred", "string").add("score", "double").add("rejected", "boolean")

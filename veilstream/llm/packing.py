@@ -23,7 +23,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import materialize
-from .words import word_encoder
+from .words import end_of_task, word_encoder
 
 SALTS = 64
 
@@ -144,7 +144,7 @@ def pack(pieces: DataFrame, capacity: int, order: list[str]) -> DataFrame:
 
 def token_pieces(docs: DataFrame, tokenizer: str, capacity: int, end_id: int = 0) -> DataFrame:
     """doc_id, piece, start, length, ids_crc32: each text's ids and the end id, cut only if longer than capacity."""
-    end = np.asarray([end_id], "<u4").tobytes()
+    end, done = np.asarray([end_id], "<u4").tobytes(), end_of_task
 
     def run(batches):
         enc = word_encoder(tokenizer)
@@ -159,6 +159,7 @@ def token_pieces(docs: DataFrame, tokenizer: str, capacity: int, end_id: int = 0
                         c.append(v)
             kinds = (pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int64())
             yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds)], ["doc_id", "piece", "start", "length", "ids_crc32"])
+        done()
 
     return docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(run, "doc_id long, piece int, start long, length long, ids_crc32 long")
 

@@ -25,6 +25,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import connected_components, materialize, partitions_for, small
+from .words import end_of_task
 
 SEED = 42
 BITS = 64
@@ -55,10 +56,13 @@ def fingerprint(text: bytes | None, words: int) -> int:
 def fingerprints(docs: DataFrame, words: int = 4) -> DataFrame:
     """doc_id, th (hash of the text) and the fingerprint as a signed long."""
 
+    done = end_of_task
+
     def run(batches):
         for b in batches:
-            fp = np.fromiter((fingerprint(t, words) for t in b.column(2).to_pylist()), np.uint64, b.num_rows)
+            fp = np.fromiter((fingerprint(t.as_py(), words) for t in b.column(2)), np.uint64, b.num_rows)
             yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(fp.view(np.int64))], ["doc_id", "th", "fp"])
+        done()
 
     return docs.select(F.col("doc_id").cast("long"), F.xxhash64("text"), F.col("text").cast("binary")).mapInArrow(run, "doc_id long, th long, fp long")
 
@@ -163,7 +167,7 @@ def ball_links(fps: DataFrame, radius: int = 4, bits: int | None = None) -> Data
         raise ValueError("the radius must be even: each side takes half of it")
     spark = fps.sparkSession
     bits = bits or prefix_bits(fps.count(), half)
-    low = BITS - bits
+    low, done = BITS - bits, end_of_task
     sent = fps.select("fp", F.explode(F.array(*[F.shiftrightunsigned("fp", low).bitwiseXOR(F.lit(m).cast("long")) for m in flips(bits, half)])).alias("bucket"))
     sent = sent.repartition(partitions_for(spark), "bucket").sortWithinPartitions("bucket")
 
@@ -191,6 +195,7 @@ def ball_links(fps: DataFrame, radius: int = 4, bits: int | None = None) -> Data
         for s in range(0, len(found), 50_000):
             part = found[s : s + 50_000]
             yield pa.RecordBatch.from_arrays([pa.array(part[:, 0]), pa.array(part[:, 1])], ["a", "b"])
+        done()
 
     return sent.mapInArrow(run, "a long, b long")
 

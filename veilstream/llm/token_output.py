@@ -26,7 +26,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .common import materialize, partitions_for, shared_path
-from .words import word_encoder
+from .words import end_of_task, word_encoder
 
 #: Words that a worker keeps: more than elsewhere, as this job's memory holds little else.
 CACHED_WORDS = 1_000_000
@@ -135,7 +135,7 @@ def write_tokens(docs: DataFrame, tokenizer: str, path: str, end_id: int | None
     """Tokenize every text and write the folder described above to path."""
     spark = docs.sparkSession
     parts = partitions_for(spark)
-    tokens = materialize(tokenize(docs, tokenizer, end_id, split_points(docs, parts)), "tokens", "lz4raw")
+    tokens = materialize(tokenize(docs, tokenizer, end_id, split_points(docs, parts)), "tokens", "lz4_raw")
     freq = frequencies(tokens).collect()  # bounded by the vocabulary
     tokens = tokens.filter("part >= 0").drop("hist")
     order = sorted(freq, key=lambda r: (-r["n"], r["id"]))
@@ -151,6 +151,8 @@ def write_tokens(docs: DataFrame, tokenizer: str, path: str, end_id: int | None
         at += r["n"]
     first = spark.createDataFrame(list(starts.items()), "part int, base long")
 
+    done = end_of_task
+
     def code(batches):
         for b in batches:
             for k in range(0, b.num_rows, 256):
@@ -163,6 +165,7 @@ def write_tokens(docs: DataFrame, tokenizer: str, path: str, end_id: int | None
                     data.append(d)
                     crc.append(zlib.crc32(x))
                 yield pa.RecordBatch.from_arrays([*(part.column(i) for i in range(3)), pa.array(crc, pa.int64()), pa.array(control, pa.binary()), pa.array(data, pa.binary())], ["part", "doc_id", "n_tokens", "tie", "control", "data"])
+        done()
 
     coded = tokens.mapInArrow(code, "part int, doc_id long, n_tokens long, tie long, control binary, data binary")
     running = Window.partitionBy("part").orderBy(F.col("doc_id").asc_nulls_first(), "tie").rowsBetween(Window.unboundedPreceding, -1)

@@ -35,6 +35,20 @@ def per_worker(key: tuple, make):
     return kept[key]
 
 
+def end_of_task() -> None:
+    """Give what this worker keeps back to the machine: idle workers stay while other stages run."""
+    import ctypes
+
+    import pyarrow
+
+    sys.__dict__.pop("_veilstream_kept", None)
+    gc.collect()
+    pyarrow.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
+    if trim:
+        trim(0)
+
+
 def load_tokenizer(path: str):
     from tokenizers import Tokenizer
 
