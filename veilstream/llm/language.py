@@ -24,7 +24,7 @@ from .words import end_of_task
 
 DIMS = 4096
 ORDERS = (1, 2, 3)
-CHUNK = 1 << 20
+CHUNK = 1 << 18
 
 
 def grams(text: str | None) -> tuple[np.ndarray, int]:
@@ -154,8 +154,8 @@ def classify(docs: DataFrame, model: CentroidModel, keep: list[str]) -> DataFram
     def run(batches):
         model = cls(*state.value)
         for b in batches:
-            for s in range(0, b.num_rows, 256):
-                part = b.slice(s, 256)
+            for s in range(0, b.num_rows, 64):
+                part = b.slice(s, 64)
                 got = [grams(t) for t in part.column(k).to_pylist()]
                 lang, score, bad = model.predict(np.stack([g for g, _ in got]), np.asarray([n for _, n in got]))
                 yield pa.RecordBatch.from_arrays([*part.columns[:k], pa.array(lang, pa.string()), pa.array(score, pa.float64()), pa.array(bad, pa.bool_())], [*keep, "lang_pred", "score", "rejected"])
