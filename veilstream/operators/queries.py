@@ -258,7 +258,7 @@ gate_query("release_multi", MULTI, oracle.lines(), suppliers)
 gate_query("forum_like_hist", FORUM, oracle.FORUM, tables.brand_type_records)
 gate_query("release_avg_var", MULTI, oracle.lines(), suppliers, "SELECT key, trigger_idx, round(qty_hat / greatest(count_hat, 1.0), 6) AS avg_hat FROM releases", lambda df, spec: df.select("key", "trigger_idx", (F.col("qty_hat") / F.greatest("count_hat", F.lit(1.0))).alias("avg_hat")))
 gate_query("snapshot_asof", FORUM, oracle.FORUM, tables.brand_type_records, "SELECT key, max(trigger_idx) AS trigger_idx, round(max_by(users_hat, trigger_idx), 6) AS users_hat, round(max_by(count_hat, trigger_idx), 6) AS count_hat FROM releases WHERE trigger_idx <= 10 GROUP BY key", lambda df, spec: replay.snapshot(df, spec, 10))
-gate_query("rollup_of_releases", FORUM, oracle.FORUM, tables.brand_type_records, "SELECT split_part(key, '/', 1) AS brand, round(sum(c), 4) AS count_hat FROM (SELECT key, max_by(count_hat, trigger_idx) AS c FROM releases GROUP BY key) GROUP BY ROLLUP (split_part(key, '/', 1))", lambda df, spec: replay.snapshot(df, spec).withColumn("brand", F.split_part("key", F.lit("/"), F.lit(1))).rollup("brand").agg(F.round(F.sum("count_hat"), 4).alias("count_hat")))
+gate_query("rollup_of_releases", FORUM, oracle.FORUM, tables.brand_type_records, "SELECT split_part(key, '/', 1) AS brand, round(sum(c), 4) AS count_hat FROM (SELECT key, max_by(count_hat, trigger_idx) AS c FROM releases GROUP BY key) GROUP BY ROLLUP (split_part(key, '/', 1)) HAVING sum(c) IS NOT NULL", lambda df, spec: replay.snapshot(df, spec).withColumn("brand", F.split_part("key", F.lit("/"), F.lit(1))).rollup("brand").agg(F.round(F.sum("count_hat"), 4).alias("count_hat")))
 gate_query("topk_noisy", FORUM, oracle.FORUM, tables.brand_type_records, "SELECT key, round(max_by(count_hat, trigger_idx), 6) AS count_hat FROM releases GROUP BY key ORDER BY 2 DESC, key LIMIT 10", lambda df, spec: replay.snapshot(df, spec).select("key", "count_hat").orderBy(F.desc("count_hat"), "key").limit(10))
 gate_query("carry_forward_window", FORUM, oracle.FORUM, tables.brand_type_records, "SELECT key, i::INTEGER AS trigger_idx, round((SELECT max_by(count_hat, r.trigger_idx) FROM releases r WHERE r.key = k.key AND r.trigger_idx <= i), 6) AS count_hat FROM (SELECT DISTINCT key FROM releases) k, (SELECT unnest(range(1, 17)) AS i)", lambda df, spec: carry_forward(df, spec))
 gate_query("release_deltas", FORUM, oracle.FORUM, tables.brand_type_records, "SELECT key, trigger_idx, round(count_hat - lag(count_hat, 1, 0) OVER (PARTITION BY key ORDER BY trigger_idx), 6) AS change FROM releases", lambda df, spec: df.select("key", "trigger_idx", (F.col("count_hat") - F.lag("count_hat", 1, 0.0).over(Window.partitionBy("key").orderBy("trigger_idx"))).alias("change")))
