@@ -74,7 +74,7 @@ class CentroidModel:
         return np.divide(x, size, out=np.zeros_like(x), where=size > 0)
 
     def vectors(self, counts: np.ndarray) -> np.ndarray:
-        return self.unit(np.log1p(counts) * self.idf)
+        return self.unit(np.log1p(counts) * self.idf.astype(counts.dtype))
 
     @classmethod
     def fit(cls, counts: np.ndarray, letters: np.ndarray, labels: list[str], per_lang: int, slack: float) -> CentroidModel:
@@ -140,7 +140,7 @@ def train(docs: DataFrame, sample_per_lang: int = 600, centroids: int = 4, slack
 
     rows = picked.select("doc_id", "text", "lang").mapInArrow(run, "doc_id long, lang string, letters long, counts binary").collect()
     rows = sorted((r for r in rows if r["letters"]), key=lambda r: (r["lang"], r["doc_id"] is None, r["doc_id"], r["letters"], r["counts"]))
-    counts = np.stack([np.frombuffer(r["counts"], "<f4") for r in rows]).astype(np.float64) if rows else np.zeros((0, DIMS))
+    counts = np.stack([np.frombuffer(r["counts"], "<f4") for r in rows]) if rows else np.zeros((0, DIMS))
     return CentroidModel.fit(counts, np.asarray([r["letters"] for r in rows], np.int64), [r["lang"] for r in rows], centroids, slack)
 
 

@@ -29,7 +29,7 @@ from .common import materialize, partitions_for, shared_path
 from .words import end_of_task, word_encoder
 
 #: Words that a worker keeps: more than elsewhere, as this job's memory holds little else.
-CACHED_WORDS = 1_000_000
+CACHED_WORDS = 1_600_000
 #: lengths of the four values that a control byte describes
 LENGTHS = ((np.arange(256)[:, None] >> np.array([0, 2, 4, 6])) & 3).astype(np.int64) + 1
 

@@ -124,8 +124,12 @@ class WordEncoder:
         self.pieces = WordPieces(self.tok)
         model, mapped = self.tok.model.tokenize, self.pieces.mapped
         ids = lambda p: b"".join([t.id.to_bytes(4, "little") for t in model(p)])
-        self.of_piece = PieceCache(lambda p: ids(mapped(p)), most)
-        self.of_plain = PieceCache(lambda w: b"".join([self.of_piece[p] for p in PIECES.findall(w.lower())]), most)
+
+        def plain(word: str) -> bytes:
+            pieces = PIECES.findall(word.lower())  # a pre-token is a word of which it is the only one
+            return ids(mapped(word)) if pieces == [word] else b"".join([self.of_plain[p] for p in pieces])
+
+        self.of_plain = PieceCache(plain, most)
         self.of_word = PieceCache(lambda w: b"".join(map(ids, self.pieces.split([w])[0])), most)
 
     def raw(self, text: str | None) -> bytes:
@@ -165,8 +169,12 @@ class MergeCounter:
         self.added = [t["content"] for t in spec["added_tokens"]]
         self.cut = re.compile("|".join(map(re.escape, self.added))) if self.added else None
         self.pieces = WordPieces(self.tok)
-        self.of_piece = PieceCache(lambda p: self.merged(self.pieces.mapped(p)))
-        self.of_plain = PieceCache(lambda w: sum([self.of_piece[p] for p in PIECES.findall(w.lower())]))
+
+        def plain(word: str) -> int:
+            pieces = PIECES.findall(word.lower())
+            return self.merged(self.pieces.mapped(word)) if pieces == [word] else sum([self.of_plain[p] for p in pieces])
+
+        self.of_plain = PieceCache(plain)
         self.of_word = PieceCache(lambda w: sum(map(self.merged, self.pieces.split([w])[0])))
 
     def merged(self, piece: str) -> int:
