@@ -18,7 +18,7 @@ from bisect import bisect_right
 import numpy as np
 
 #: Pre-tokens or words kept by a worker before its dictionary is emptied (bounds memory; results do not depend on it).
-MAX_WORDS = 400_000
+MAX_WORDS = 600_000
 #: Python splits at U+001C..U+001F, the tokenizer does not; "<|" starts the added tokens.
 ODD = re.compile("[\x1c-\x1f]|<\\|")
 
