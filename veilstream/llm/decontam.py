@@ -166,10 +166,12 @@ def find_leaks(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
             index, hasher = make(state.value), hasher()
             for b in batches:
                 cols: list[list] = [[] for _ in range(6)]
-                for d, text in zip(b.column(0).to_pylist(), b.column(1).to_pylist()):
-                    for row in index.overlaps(hasher.hashes(text)):
-                        for col, v in zip(cols, (d, *row)):
-                            col.append(v)
+                for k in range(0, b.num_rows, 512):
+                    part = b.slice(k, 512)
+                    for d, text in zip(part.column(0).to_pylist(), part.column(1).to_pylist()):
+                        for row in index.overlaps(hasher.hashes(text)):
+                            for col, v in zip(cols, (d, *row)):
+                                col.append(v)
                 yield pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in cols], ["doc_id", "item_id", "doc_token", "item_token", "span", "matches"])
             done()
 

@@ -148,17 +148,19 @@ def token_pieces(docs: DataFrame, tokenizer: str, capacity: int, end_id: int = 0
 
     def run(batches):
         enc = word_encoder(tokenizer)
-        for b in batches:
-            cols: list[list] = [[], [], [], [], []]
-            for d, t in zip(b.column(0).to_pylist(), b.column(1).to_pylist()):
-                raw = enc.raw(t) + end
-                n = len(raw) // 4
-                for piece, s in enumerate(range(0, n, capacity)):
-                    part = raw[4 * s : 4 * (s + capacity)]
-                    for c, v in zip(cols, (d, piece, s, len(part) // 4, zlib.crc32(part))):
-                        c.append(v)
-            kinds = (pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int64())
-            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds)], ["doc_id", "piece", "start", "length", "ids_crc32"])
+        kinds = (pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int64())
+        for batch in batches:
+            for k in range(0, batch.num_rows, 512):  # texts become Python strings a slice at a time
+                b = batch.slice(k, 512)
+                cols: list[list] = [[], [], [], [], []]
+                for d, t in zip(b.column(0).to_pylist(), b.column(1).to_pylist()):
+                    raw = enc.raw(t) + end
+                    n = len(raw) // 4
+                    for piece, s in enumerate(range(0, n, capacity)):
+                        part = raw[4 * s : 4 * (s + capacity)]
+                        for c, v in zip(cols, (d, piece, s, len(part) // 4, zlib.crc32(part))):
+                            c.append(v)
+                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, kinds)], ["doc_id", "piece", "start", "length", "ids_crc32"])
         done()
 
     return docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(run, "doc_id long, piece int, start long, length long, ids_crc32 long")
