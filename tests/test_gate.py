@@ -104,6 +104,8 @@ def test_engines_agree_and_retries_repeat(spark, sf, tmp_path):
     got = microbatch.run_batches(spark, src, spec, str(tmp_path / "s"))
     strip = lambda rows: [tuple(round(x, 9) if isinstance(x, float) else x for x in r) for r in rows]
     assert strip(sorted(map(tuple, got.collect()))) == strip(want)
+    compacted = microbatch.run_batches(spark, src, spec, str(tmp_path / "c"), compact=3)
+    assert strip(sorted(map(tuple, compacted.collect()))) == strip(want)
     tabs = microbatch.StateTables(spark, str(tmp_path / "s"))
     microbatch.step(tabs, src.filter("trigger_idx = 5"), 5, spec)  # a batch tried again
     assert strip(sorted(map(tuple, microbatch.releases(tabs, spec, 8).collect()))) == strip(want)

@@ -72,7 +72,7 @@ def ledger_rows(spec: StreamSpec) -> list[tuple]:
     rows = [
         ("gate tree", "gaussian tree", ek, dk / 2, p.rho_round * rounds, rounds, p.sigma, "zCDP over the rounds of a unit"),
         ("gate threshold", "tail", 0.0, rounds * (math.exp(ek) + 1) * charged, 0.0, rounds, 0.0, note),
-        *((f"value {m.name}", "gaussian tree", ev, dv, p.rho_value / len(spec.measures), 1, s, "sensitivity = bound x clamp") for m, s in zip(spec.measures, p.value_sigma)),
+        *((f"value {m.name}", "gaussian tree", ev, dv, p.rho_value / len(spec.measures), 1, s, "sensitivity = bound x a record's most") for m, s in zip(spec.measures, p.value_sigma)),
     ]
     return [*rows, ("total", "sum", ek + ev, rows[0][3] + rows[1][3] + dv, 0.0, 1, 0.0, "gate plus values")]
 

@@ -116,7 +116,7 @@ def plan(spec: StreamSpec) -> Plan:
         taus = [sigma * math.sqrt(tree.height(t) + 1) * math.sqrt(2 * math.log(2 * t / beta))] * t
     rho_value = rho_of(*spec.budget.value)
     each = rho_value / len(spec.measures)
-    return Plan(t, sigma, tuple(taus), tuple(node_sigma(t, each, c * m.clamp) for m in spec.measures), beta, rho_round, rho_value)
+    return Plan(t, sigma, tuple(taus), tuple(node_sigma(t, each, c * m.sensitivity) for m in spec.measures), beta, rho_round, rho_value)
 
 
 def equivalent_threshold(eps: float, delta: float, triggers: int, bound: int = 1, mu: int = 0) -> float:

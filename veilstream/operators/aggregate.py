@@ -10,7 +10,8 @@ from .bounding import clamped
 
 
 def measure_column(m: Measure):
-    return clamped(F.col(m.column), m.clamp) if m.column else F.lit(1.0)
+    value = clamped(F.col(m.column), m.clamp) if m.column else F.lit(1.0)
+    return value * value if m.square else value
 
 
 def delta_hist(admitted: DataFrame, measures: tuple[Measure, ...], count_mode: str = "pair_once") -> DataFrame:

@@ -18,7 +18,7 @@ def repeated_queries(deltas: DataFrame, spec: StreamSpec, last_only: bool = True
     """
     t, m = spec.timing.triggers, spec.measures[0]
     eps0, delta0 = accounting.compose_inverse(t, spec.budget.eps, spec.budget.delta, composition)
-    p = oneshot_plan(eps0, delta0, spec.bound, m.clamp, spec.budget.gate_eps_frac, spec.budget.gate_delta_frac)
+    p = oneshot_plan(eps0, delta0, spec.bound, m.sensitivity, spec.budget.gate_eps_frac, spec.budget.gate_delta_frac)
     if last_only:
         hist = deltas.groupBy("key").agg(F.sum("new_users").alias("users"), F.sum(f"sum_{m.name}").alias("total")).withColumn("trigger_idx", F.lit(t))
     else:
@@ -34,7 +34,7 @@ def incremental_batches(deltas: DataFrame, spec: StreamSpec, composition_k: str
     t, m = spec.timing.triggers, spec.measures[0]
     k = min(spec.bound, t) if composition_k == "min(C,T)" else t
     eps0, delta0 = accounting.compose_inverse(k, spec.budget.eps, spec.budget.delta, composition)
-    p = oneshot_plan(eps0, delta0, spec.bound, m.clamp, spec.budget.gate_eps_frac, spec.budget.gate_delta_frac)
+    p = oneshot_plan(eps0, delta0, spec.bound, m.sensitivity, spec.budget.gate_eps_frac, spec.budget.gate_delta_frac)
     hist = deltas.select("key", "trigger_idx", F.col("new_users").alias("users"), F.col(f"sum_{m.name}").alias("total"))
     shown = perturb(hist, p, spec.secret + "+batch", F.col("trigger_idx"))
     return shown.groupBy("key").agg(F.sum("users_hat").alias("users_hat"), F.sum("value_hat").alias("value_hat"), F.count(F.lit(1)).alias("batches"))

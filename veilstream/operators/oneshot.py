@@ -39,7 +39,7 @@ def oneshot_hist(admitted: DataFrame, spec: StreamSpec, run: int = 0) -> DataFra
     m = spec.measures[0]
     from .aggregate import measure_column
 
-    p = oneshot_plan(spec.budget.eps, spec.budget.delta, spec.bound, m.clamp, spec.budget.gate_eps_frac, spec.budget.gate_delta_frac)
+    p = oneshot_plan(spec.budget.eps, spec.budget.delta, spec.bound, m.sensitivity, spec.budget.gate_eps_frac, spec.budget.gate_delta_frac)
     hist = admitted.groupBy("key").agg(F.countDistinct("unit").alias("users"), F.sum(measure_column(m)).alias("total"))
     return perturb(hist, p, spec.secret, F.lit(run)).select("key", "users_hat", "value_hat")
 

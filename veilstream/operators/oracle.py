@@ -19,7 +19,8 @@ def trigger(rid: str, t: int) -> str:
 
 
 def measure(m) -> str:
-    return "1.0::DOUBLE" if m.column is None else f"greatest(-{float(m.clamp)}::DOUBLE, least({float(m.clamp)}::DOUBLE, {m.column}::DOUBLE))"
+    value = "1.0::DOUBLE" if m.column is None else f"greatest(-{float(m.clamp)}::DOUBLE, least({float(m.clamp)}::DOUBLE, {m.column}::DOUBLE))"
+    return f"pow({value}, 2)" if m.square else value
 
 
 def delta_ctes(rec: str, spec: StreamSpec) -> str:

@@ -351,7 +351,7 @@ def once_sql(users: str, total: str, p: oneshot.OneShotPlan, secret: str, run: s
 
 def once_plan(spec: StreamSpec, k: int) -> oneshot.OneShotPlan:
     e, d = accounting.compose_inverse(k, spec.budget.eps, spec.budget.delta)
-    return oneshot.oneshot_plan(e, d, spec.bound, spec.measures[0].clamp, spec.budget.gate_eps_frac, spec.budget.gate_delta_frac)
+    return oneshot.oneshot_plan(e, d, spec.bound, spec.measures[0].sensitivity, spec.budget.gate_eps_frac, spec.budget.gate_delta_frac)
 
 
 ONE = once_plan(SUPPLIER, 1)

@@ -12,11 +12,20 @@ TEST_SECRET = "public-test-secret"
 
 @dataclass(frozen=True)
 class Measure:
-    """A summed value column; `clamp` bounds the absolute value of a record (1 for counts)."""
+    """A summed value column; `clamp` bounds the absolute value of a record (1 for counts).
+
+    square: sum the squares of the clamped values, for a variance.
+    """
 
     name: str
     column: str | None = None
     clamp: float = 1.0
+    square: bool = False
+
+    @property
+    def sensitivity(self) -> float:
+        """The most that one record adds."""
+        return self.clamp**2 if self.square else self.clamp
 
 
 @dataclass(frozen=True)

@@ -1,15 +1,19 @@
 """Micro-batch engine: foreachBatch steps over versioned state tables.
 
-Tables under one root, each a folder of versions written whole (a version without its
-marker does not exist, so a batch that is tried again starts from the one before):
-
-- users/v=i: records used so far by the units that batch i touched
-- keys/v=i: state of the keys that batch i touched or that were due
-- due/p=j: keys whose forecast says that they pass at trigger j, with the version that said so
-- releases/t=i: what batch i publishes
-
-A step loads the units and keys of its batch and the keys due at its trigger, never the whole
-key space of the gate; newer versions of a key supersede older ones, also its forecasts.
+Tables under one root, each a folder of versions written whole by the step of that number (a
+step that is tried again writes its versions anew from those before it):
+
+- users/n=i: records used so far by the units that batch i touched
+- pairs/n=i: (unit, key) pairs first seen in batch i (pair_once)
+- keys/n=i: state of the keys that batch i touched or that were due
+- due/n=i/due=j: keys that step i forecast to pass at trigger j
+- releases/n=i: what batch i publishes
+
+Every `compact` steps the newest rows are written as <table>-base/n=i, so a step reads one base and
+fewer than `compact` later versions. The gate serves the keys of the batch and those found in the
+one `due` partition of its trigger; a newer version of a key supersedes its older forecasts. Parquet
+has no point reads: the wanted keys are semi-joined with the state, whose rows are scanned. Where
+even that scan is too much, streaming.stateful keeps the keys in the state store.
 """
 
 from __future__ import annotations
@@ -27,37 +31,68 @@ from ..spec import StreamSpec
 
 STATE = "key string, round int, at int, users long, members array<string>, buffer array<double>, released array<double>, records long, due int, v int"
 USERS = "unit string, used long, v int"
+PAIRS = "unit string, key string"
+
+
+DUE = "key string, n int, due int"
 
 
 class StateTables:
-    def __init__(self, spark: SparkSession, root: str):
-        self.spark, self.root = spark, root.rstrip("/")
+    def __init__(self, spark: SparkSession, root: str, compact: int = 16):
+        self.spark, self.root, self.compact_every = spark, root.rstrip("/"), compact
 
     def path(self, table: str, version: int) -> str:
         return f"{self.root}/{table}/n={version}"
 
-    def write(self, df: DataFrame, table: str, version: int) -> None:
-        df.write.mode("overwrite").parquet(self.path(table, version))
+    def write(self, df: DataFrame, table: str, version: int, *by: str) -> None:
+        df.write.mode("overwrite").partitionBy(*by).parquet(self.path(table, version))
+
+    def paths(self, table: str, last: int, base: int | None = None) -> list[str]:
+        """The newest base not after `last` and the versions since."""
+        base = last // self.compact_every * self.compact_every if base is None else base
+        return [*([self.path(f"{table}-base", base)] if base else []), *(self.path(table, v) for v in range(base + 1, last + 1))]
 
-    def read(self, table: str, last: int, schema: str) -> DataFrame:
-        """All versions up to `last`, as one table."""
-        paths = [self.path(table, v) for v in range(1, last + 1)]
+    def read(self, table: str, last: int, schema: str, base: int | None = None) -> DataFrame:
+        """A table as of version `last`; rows may have older versions of themselves beside them."""
+        paths = self.paths(table, last, base)
         if not paths:
             return self.spark.createDataFrame([], schema)
         return self.spark.read.schema(schema).parquet(*paths)
 
-    def latest(self, table: str, last: int, schema: str, key: str, wanted: DataFrame) -> DataFrame:
-        """The newest row of each wanted key."""
-        rows = self.read(table, last, schema).join(wanted, key, "left_semi")
+    def latest(self, rows: DataFrame, key: str) -> DataFrame:
         newest = F.row_number().over(Window.partitionBy(key).orderBy(F.desc("v")))
         return rows.withColumn("_r", newest).filter("_r = 1").drop("_r")
 
+    def wanted(self, table: str, last: int, schema: str, key: str, wanted: DataFrame) -> DataFrame:
+        """The newest row of each wanted key."""
+        return self.latest(self.read(table, last, schema).join(wanted, key, "left_semi"), key)
+
+    def due(self, i: int) -> DataFrame:
+        """Keys with a forecast for trigger i, perhaps superseded: one partition of each version."""
+        found = self.spark.createDataFrame([], "key string")
+        for table in ("due", "due-base"):
+            paths = [p for p in self.paths("due", i - 1) if p.startswith(f"{self.root}/{table}/")]
+            if paths:
+                rows = self.spark.read.schema(DUE).option("basePath", f"{self.root}/{table}").parquet(*paths)
+                found = found.unionByName(rows.filter(F.col("due") == i).select("key"))
+        return found.distinct()
+
+    def compact(self, i: int, pairs: bool) -> None:
+        """Write the newest rows of all tables as the base of version i."""
+        before = i - self.compact_every
+        self.write(self.latest(self.read("users", i, USERS, before), "unit"), "users-base", i)
+        if pairs:
+            self.write(self.read("pairs", i, PAIRS, before), "pairs-base", i)
+        self.write(self.latest(self.read("keys", i, STATE, before), "key"), "keys-base", i)
+        keys = self.spark.read.schema(STATE).parquet(self.path("keys-base", i))
+        self.write(keys.filter(F.col("due") > i).select("key", "due"), "due-base", i, "due")
+
 
 def step(tables: StateTables, batch: DataFrame, i: int, spec: StreamSpec) -> DataFrame:
     """Process the records of trigger i; returns the releases it published."""
     names = tuple(m.name for m in spec.measures)
     batch = batch.withColumn("trigger_idx", F.lit(i)).withColumn("unit", F.col("unit").cast("string"))
-    used = tables.latest("users", i - 1, USERS, "unit", batch.select("unit").distinct())
+    used = tables.wanted("users", i - 1, USERS, "unit", batch.select("unit").distinct())
     ranked = batch.withColumn("_n", F.row_number().over(Window.partitionBy("unit").orderBy("record_id"))).join(used.select("unit", "used"), "unit", "left")
     admitted = ranked.filter(F.col("_n") + F.coalesce("used", F.lit(0)) <= spec.bound)
     counts = admitted.groupBy("unit").agg((F.max("_n") + F.coalesce(F.first("used"), F.lit(0))).cast("long").alias("used"), F.lit(i).alias("v"))
@@ -67,10 +102,10 @@ def step(tables: StateTables, batch: DataFrame, i: int, spec: StreamSpec) -> Dat
     if mode == "pair_once":
         # a pair counts with its first admitted record: pairs of earlier batches are in `pairs`
         pairs = admitted.select("unit", "key").distinct()
-        old = tables.read("pairs", i - 1, "unit string, key string").join(pairs, ["unit", "key"], "left_semi").distinct()
+        old = tables.read("pairs", i - 1, PAIRS).join(pairs, ["unit", "key"], "left_semi").distinct()
         fresh = pairs.join(old, ["unit", "key"], "left_anti")
         tables.write(fresh, "pairs", i)
-        fresh = tables.spark.read.schema("unit string, key string").parquet(tables.path("pairs", i))
+        fresh = tables.spark.read.schema(PAIRS).parquet(tables.path("pairs", i))
         news = fresh.groupBy("key").agg(F.count(F.lit(1)).alias("new_users"))
         sums = admitted.groupBy("key").agg(F.count(F.lit(1)).alias("n_records"), *[F.sum(aggregate.measure_column(m)).alias(f"sum_{m.name}") for m in spec.measures])
         deltas = sums.join(news, "key", "left").fillna(0, ["new_users"])
@@ -79,9 +114,8 @@ def step(tables: StateTables, batch: DataFrame, i: int, spec: StreamSpec) -> Dat
     members = F.col("members") if "members" in deltas.columns else F.lit(None).cast("array<string>")
     deltas = deltas.select("key", F.col("new_users").cast("long"), F.col("n_records").cast("long"), F.array(*[F.col(f"sum_{m.name}").cast("double") for m in spec.measures]).alias("sums"), members.alias("arrived"))
 
-    due = tables.read("keys", i - 1, STATE).filter(F.col("due") == i).select("key")
-    wanted = deltas.select("key").unionByName(due).distinct()
-    state = tables.latest("keys", i - 1, STATE, "key", wanted)
+    wanted = deltas.select("key").unionByName(tables.due(i)).distinct()
+    state = tables.wanted("keys", i - 1, STATE, "key", wanted)
     work = deltas.join(state, "key", "full_outer").filter(F.col("n_records").isNotNull() | (F.col("due") == i))
     plan, gate, secret, machine, make = calibrate.plan(spec), spec.gate, spec.secret, KeyGate, KeyState
 
@@ -105,19 +139,22 @@ def step(tables: StateTables, batch: DataFrame, i: int, spec: StreamSpec) -> Dat
     new = tables.spark.read.schema(full).parquet(tables.path("keys", i))
     rel = new.select("key", F.explode("out").alias("o")).select("key", "o.trigger_idx", F.col("o.r").alias("round"), "o.cause", "o.users_hat", *[F.get("o.hats", F.lit(j)).alias(f"{n}_hat") for j, n in enumerate(names)])
     tables.write(rel, "releases", i)
+    tables.write(new.filter(F.col("due").isNotNull()).select("key", "due"), "due", i, "due")
+    if i % tables.compact_every == 0:
+        tables.compact(i, mode == "pair_once")
     return rel
 
 
 def releases(tables: StateTables, spec: StreamSpec, last: int) -> DataFrame:
     schema = "key string, trigger_idx int, round int, cause string, users_hat double" + "".join(f", {m.name}_hat double" for m in spec.measures)
-    return tables.read("releases", last, schema)
+    return tables.read("releases", last, schema, base=0)
 
 
-def run_batches(spark: SparkSession, records: DataFrame, spec: StreamSpec, root: str) -> DataFrame:
+def run_batches(spark: SparkSession, records: DataFrame, spec: StreamSpec, root: str, compact: int = 16) -> DataFrame:
     """All triggers of one window, one step each (an empty trigger still serves the keys that are due)."""
     if "trigger_idx" not in records.columns:
         records = assign_triggers(records, spec.timing.triggers, spec.timing.assign)
-    tables = StateTables(spark, root)
+    tables = StateTables(spark, root, compact)
     for i in range(1, spec.timing.triggers + 1):
         step(tables, records.filter(F.col("trigger_idx") == i), i, spec)
     return releases(tables, spec, spec.timing.triggers)

@@ -34,7 +34,7 @@ def releases(source: DataFrame, spec: StreamSpec) -> DataFrame:
     what is still due is released.
     """
     plan, gate, secret, names = calibrate.plan(spec), spec.gate, spec.secret, tuple(m.name for m in spec.measures)
-    columns = [(m.column, m.clamp) for m in spec.measures]
+    columns = [(m.column, m.clamp, 2 if m.square else 1) for m in spec.measures]
     last = spec.timing.triggers
     machine, make = KeyGate, KeyState
     cols = ["key", "trigger_idx", "round", "cause", "users_hat", *[f"{n}_hat" for n in names]]
@@ -50,7 +50,7 @@ def releases(source: DataFrame, spec: StreamSpec) -> DataFrame:
             data = pd.concat(list(frames))
             data = data[data["trigger_idx"] <= last]
             for i, part in sorted(data.groupby("trigger_idx"), key=lambda x: x[0]):
-                sums = [float(part[c].clip(-limit, limit).sum()) if c else float(len(part)) for c, limit in columns]
+                sums = [float((part[c].clip(-limit, limit) ** power).sum()) if c else float(len(part)) for c, limit, power in columns]
                 rows += g.arrive(int(i), int(part["is_new"].sum()), sums, len(part))
         due = g.forecast()
         while due is not None and due * 1000 <= state.getCurrentWatermarkMs():
