@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 from ..functions import accounting, calibrate, tree
 from ..functions.noise import normal_column, normal_sql
 from ..plans import replay
-from ..sources import tables
+from ..sources import synth, tables
 from ..spec import TEST_SECRET, Budget, GateConfig, Measure, StreamSpec, Timing
 from . import aggregate, baselines, bounding, metrics, oneshot, oracle, timing, tuning
 
@@ -592,6 +592,97 @@ def parallel_ranges(spark, sf):
     return rounded(out)
 
 
+# --- experiment workloads ----------------------------------------------------------------
+
+MOMENTS = replace(SUPPLIER, measures=(Measure("count"), Measure("qty", "l_quantity", 50.0), Measure("sq", "l_quantity", 50.0, square=True)))
+MOMENTS_HAT = "sq_hat / greatest(count_hat, 1.0) - pow(qty_hat / greatest(count_hat, 1.0), 2)"
+gate_query("release_variance", MOMENTS, oracle.lines(), suppliers, f"SELECT key, trigger_idx, round(greatest(0.0, {MOMENTS_HAT}), 6) AS variance_hat FROM releases", lambda df, spec: df.select("key", "trigger_idx", F.greatest(F.lit(0.0), F.expr(MOMENTS_HAT)).alias("variance_hat")))
+
+
+@query(oracle.releases(oracle.lines(), SUPPLIER))
+def release_table_function(spark, sf):
+    """The gate as a SQL table function over deltas: the same releases."""
+    from .. import surface
+
+    surface.register_gate(spark, SUPPLIER, "veil_releases")
+    deltas = replay.delta(tables.line_records(spark, sf), SUPPLIER)
+    return rounded(spark.sql("SELECT * FROM veil_releases(TABLE({d}) PARTITION BY key ORDER BY trigger_idx)", d=deltas))
+
+
+def spec_grid(name: str, specs: dict, records, rec_sql: str):
+    """Utility of the main method for several specs, one row each."""
+    parts = [f"SELECT {v} AS {name}, x.* FROM (" + oracle.releases(rec_sql, s, "").rstrip() + f", {TRUTH}, {LAST} " + oracle.utility("truth", "est", "count_hat") + ") x" for v, s in specs.items()]
+
+    def run(spark, sf):
+        rec = records(spark, sf)
+        truth, out = aggregate.plain_hist(rec), None
+        for v, s in specs.items():
+            row = metrics.utility(truth, replay.snapshot(replay.run(rec, s), s), "count_hat").withColumn(name, F.lit(v))
+            out = row if out is None else out.unionByName(row)
+        return rounded(out)
+
+    return run, " UNION ALL ".join(parts)
+
+
+def register_grid(query_name: str, name: str, specs: dict, records, rec_sql: str) -> None:
+    Q[query_name] = spec_grid(name, specs, records, rec_sql)
+
+
+register_grid("c_sweep_main", "c", {c: replace(FORUM, bound=c) for c in (2, 5, 10, 17, 25, 32, 50)}, tables.brand_type_records, oracle.FORUM)
+register_grid("trigger_sweep_main", "t", {t: replace(FORUM, timing=Timing(t)) for t in (4, 8, 16, 32)}, tables.brand_type_records, oracle.FORUM)
+register_grid("eps_sweep_main", "eps", {e: replace(FORUM, budget=Budget(eps=float(e))) for e in (2, 6, 12)}, tables.brand_type_records, oracle.FORUM)
+register_grid("noise_draws_main", "draw", {i: replace(FORUM, secret=f"{TEST_SECRET}-{i}") for i in (1, 2, 3)}, tables.brand_type_records, oracle.FORUM)
+
+GAIN_COLUMNS = ("linf", "l1", "l2")
+GAINS_SQL = (
+    oracle.releases(oracle.FORUM, FORUM, "").rstrip()
+    + f", {TRUTH}, {LAST}, b AS ({once_sql('users', 'total', once_plan(FORUM, 16), TEST_SECRET, '16', HIST)}), o AS ({oracle.utility('truth', 'est', 'count_hat')}), t AS ({oracle.utility('truth', 'b', 'value_hat')}) SELECT "
+    + ", ".join(f"round(1 - o.{n} / t.{n}, 5) AS {n}_change, round(t.{n} / o.{n}, 5) AS {n}_ratio" for n in GAIN_COLUMNS)
+    + " FROM o, t"
+)
+
+
+@query(GAINS_SQL)
+def utility_gains(spark, sf):
+    """Errors of the main method relative to the repeated query."""
+    rec = tables.brand_type_records(spark, sf)
+    truth = aggregate.plain_hist(rec)
+    ours = metrics.utility(truth, replay.snapshot(replay.run(rec, FORUM), FORUM), "count_hat")
+    theirs = metrics.utility(truth, baselines.repeated_queries(replay.delta(rec, FORUM), FORUM))
+    out = metrics.relative_change(ours, theirs, GAIN_COLUMNS)
+    return out.select(*[F.round(c, 5).alias(c) for c in out.columns])
+
+
+@query()
+def synthetic_long_tail(spark, sf):
+    """Main method and both baselines on the generated long-tail law, one row a method."""
+    spec = replace(FORUM, bound=32)
+    rec = synth.zipf_mandelbrot(spark, 40_000, 4_000)
+    truth, deltas = aggregate.plain_hist(rec), replay.delta(rec, spec)
+    runs = {"main": (replay.snapshot(replay.run(rec, spec), spec), "count_hat"), "repeated": (baselines.repeated_queries(deltas, spec), "value_hat"), "incremental": (baselines.incremental_batches(deltas, spec), "value_hat")}
+    out = None
+    for name, (est, value) in runs.items():
+        row = metrics.utility(truth, est, value).withColumn("method", F.lit(name))
+        out = row if out is None else out.unionByName(row)
+    return rounded(out)
+
+
+@query()
+def uniform_key_loads(spark, sf):
+    """As many keys as users: state loads of the naive gate against those with forecasts."""
+    cost = replay.run(synth.uniform_keys(spark, 20_000, 20_000), SPARSE, "cost")
+    return cost.agg(F.count(F.lit(1)).alias("keys"), *[F.sum(c).alias(c) for c in ("tests", "wasted", "loads_naive", "loads_forecast")])
+
+
+@query()
+def sliding_releases(spark, sf):
+    """Two-day windows every day: a record touches two windows, and noise is scaled for both."""
+    from ..surface import PrivateHistogram
+
+    ev = tables.event_records(spark, sf)
+    return rounded(PrivateHistogram(ev).unit("unit", "day").keys("key").record_id("record_id").count().avg("value", 300).bound(1).triggers(8).budget(22, 2e-9).window("event_ts", 172_800, 86_400).releases())
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {n: f for n, (f, _) in Q.items()}
 
