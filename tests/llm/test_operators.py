@@ -175,6 +175,29 @@ def test_simhash_groups_equal_brute_force(spark, docs, odd, none):
     assert simhash.near_duplicates(none).count() == 0
 
 
+def test_near_dedup_stage_reaches_jaccard_080(spark, docs):
+    import corpus_pipeline
+
+    rng = random.Random(10)
+    base = [(r.doc_id, r.text) for r in docs.collect()]
+    for i, (_, t) in enumerate(base[:60]):
+        w = t.split()
+        for p in rng.sample(range(len(w)), max(1, min(len(w) // 60, 40))):  # of 55 shingles, 50 are left: around 0.8
+            w[p] = f"changed{i}"
+        base.append((10_000 + i, " ".join(w)))
+    df = spark.createDataFrame(base, "doc_id long, text string")
+    sets = {d: frozenset(tuple(w[i : i + 5]) for w in [re.sub("[A-Z]", lambda m: m[0].lower(), t).split()] for i in range(max(1, len(w) - 4))) for d, t in base}
+    comp, pairs = {d: d for d in sets}, [(d, e) for d in sets for e in sets if d < e and 5 * len(sets[d] & sets[e]) >= 4 * len(sets[d] | sets[e])]
+    assert sum(0.8 <= len(sets[d] & sets[e]) / len(sets[d] | sets[e]) < 0.95 for d, e in pairs) > 20
+    for _ in range(len(sets)):
+        before = dict(comp)
+        for d, e in pairs:
+            comp[d] = comp[e] = min(comp[d], comp[e])
+        if comp == before:
+            break
+    assert {r.doc_id for r in corpus_pipeline.near_dedup(spark, df, "").collect()} == set(comp.values())
+
+
 def test_ball_join_splits_large_buckets_without_loss(monkeypatch):
     rng = random.Random(5)
     fps = []

@@ -1,0 +1,152 @@
+"""Near-duplicates by exact Jaccard similarity of word shingles.
+
+Candidates come from BANDS bands of BAND min-wise hashes: two sets of similarity 0.8 share no
+band with probability (1 - 0.8^4)^24 = 3e-6, more similar ones with less. Sets are named by a
+hash, so equal ones collapse beforehand. Buckets (texts with a band in common) of the same
+members count once; the shingle sets of the few texts that share a bucket are sent to it, and
+every pair of a bucket is compared exactly, but for pairs that links already connect. Verified
+links are contracted in Spark.
+
+Defined results: texts without words have equal (empty) sets; repeated doc_ids keep a row each;
+null doc_ids sort last in a group; an empty table gives no rows.
+"""
+
+from __future__ import annotations
+
+import numpy as np
+import pyarrow as pa
+from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
+
+from .common import connected_components, materialize, partitions_for, small
+from .simhash import drop_rows, shingles
+from .words import end_of_task
+
+BANDS = 24
+BAND = 4
+#: Shingles whose min-wise hashes are made at once.
+SLICE = 4096
+_draw = np.random.default_rng(5)
+FLIP = _draw.integers(0, 1 << 64, BANDS * BAND, np.uint64)
+TIMES = _draw.integers(0, 1 << 64, BANDS * BAND, np.uint64) | np.uint64(1)
+
+
+def bands(s: np.ndarray) -> np.ndarray:
+    """A hash for each band of a set of shingles; none of an empty set."""
+    if not len(s):
+        return np.zeros(0, np.uint64)
+    least = np.full(BANDS * BAND, np.iinfo(np.uint64).max, np.uint64)
+    for k in range(0, len(s), SLICE):
+        np.minimum(least, ((s[None, k : k + SLICE] ^ FLIP[:, None]) * TIMES[:, None]).min(axis=1), out=least)
+    out = np.arange(BANDS, dtype=np.uint64)
+    for k in range(BAND):
+        out = (out ^ least[k::BAND]) * np.uint64(0xBF58476D1CE4E5B9)
+        out ^= out >> np.uint64(29)
+    return out
+
+
+def sketches(docs: DataFrame, words: int) -> DataFrame:
+    """doc_id, th (hash of the text), sid (hash of the set of shingles), bands."""
+
+    done = end_of_task
+
+    def run(batches):
+        import xxhash
+
+        for b in batches:
+            for k in range(0, b.num_rows, 512):
+                part = b.slice(k, 512)
+                sid, bs = [], []
+                for t in part.column(2):
+                    s = np.unique(shingles(t.as_py(), words))
+                    sid.append(xxhash.xxh64_intdigest(s.tobytes()))
+                    bs.append(bands(s).view(np.int64))
+                yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), pa.array(np.array(sid, np.uint64).view(np.int64)), pa.array(bs, pa.list_(pa.int64()))], ["doc_id", "th", "sid", "bands"])
+        done()
+
+    return docs.select(F.col("doc_id").cast("long"), F.xxhash64("text"), F.col("text").cast("binary")).mapInArrow(run, "doc_id long, th long, sid long, bands array<long>")
+
+
+def bucket_links(ids: list[int], sets: list[np.ndarray], similarity: float) -> list[tuple[int, int]]:
+    """Links between sets of at least the given similarity that connect all that are so connected."""
+    up = np.arange(len(ids))  # component of each, always flat
+    size = np.array([len(s) for s in sets])
+    every = np.concatenate(sets)
+    shingle, local = np.unique(every, return_inverse=True)
+    starts = np.cumsum(size) - size
+    mark = np.zeros(len(shingle), bool)
+    out = []
+    for p in range(len(ids) - 1):
+        later = np.arange(p + 1, len(ids))
+        later = later[(up[later] != up[p]) & (np.minimum(size[later], size[p]) >= similarity * np.maximum(size[later], size[p]) - 1e-9)]
+        if not len(later):
+            continue
+        mine = local[starts[p] : starts[p] + size[p]]
+        mark[mine] = True
+        for q in later.tolist():
+            if up[q] == up[p]:
+                continue
+            both = int(np.count_nonzero(mark[local[starts[q] : starts[q] + size[q]]]))
+            if both >= similarity * (size[p] + size[q] - both) - 1e-9:
+                out.append((ids[p], ids[q]))
+                up[up == up[q]] = up[p]
+        mark[mine] = False
+    return out
+
+
+def similar(docs: DataFrame, rows: DataFrame, words: int, similarity: float) -> DataFrame:
+    """a, b: links between sids that connect all sets of at least the given similarity.
+
+    rows: the written sketches of docs.
+    """
+    once = rows.groupBy("sid").agg(F.min_by(F.struct("doc_id", "th"), F.struct(F.col("doc_id").isNull(), "doc_id", "th")).alias("of"), F.first("bands").alias("bands"))
+    once = materialize(once, "near-sketches")
+    banded = once.select("sid", F.explode("bands").alias("band"))
+    shared = banded.groupBy("band").agg(F.count(F.lit(1)).alias("n"), F.bit_xor(F.xxhash64("sid")).alias("x"), F.bit_xor(F.xxhash64("sid", F.lit(1))).alias("y")).filter("n > 1")
+    shared = small(materialize(shared.groupBy("n", "x", "y").agg(F.min("band").alias("band")).select("band"), "near-bands"))
+    met = materialize(banded.join(shared, "band", "left_semi"), "near-met")
+    who = small(materialize(met.select("sid").distinct().join(once.select("sid", "of.doc_id", "of.th"), "sid").withColumnsRenamed({"doc_id": "_d", "th": "_t"}), "near-who"))
+    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64("text").alias("th"), F.col("text").cast("binary").alias("text"))
+    texts = texts.join(who, texts.doc_id.eqNullSafe(F.col("_d")) & (texts.th == F.col("_t"))).select("sid", "text")
+
+    done = end_of_task
+
+    def to_sets(batches):
+        for b in batches:
+            for k in range(0, b.num_rows, 512):
+                part = b.slice(k, 512)
+                yield pa.RecordBatch.from_arrays([part.column(0), pa.array([np.unique(shingles(t.as_py(), words)).tobytes() for t in part.column(1)], pa.binary())], ["sid", "shingles"])
+        done()
+
+    sets = materialize(texts.mapInArrow(to_sets, "sid long, shingles binary").dropDuplicates(["sid"]), "near-sets")
+    sent = met.join(sets, "sid").select("band", "sid", "shingles").repartition(partitions_for(docs.sparkSession), "band").sortWithinPartitions("band", "sid")
+
+    def run(batches, links=bucket_links):
+        band, ids, held = None, [], []
+
+        def found():
+            got = np.array(links(ids, held, similarity) if len(ids) > 1 else [], np.int64).reshape(-1, 2)
+            return pa.RecordBatch.from_arrays([pa.array(got[:, 0]), pa.array(got[:, 1])], ["a", "b"])
+
+        for batch in batches:
+            for v, i, s in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(2)):
+                if v != band:
+                    if len(ids) > 1:
+                        yield found()
+                    band, ids, held = v, [], []
+                ids.append(i)
+                held.append(np.frombuffer(s.as_py(), np.uint64))
+        yield found()
+        done()
+
+    return sent.mapInArrow(run, "a long, b long")
+
+
+def keep_one(docs: DataFrame, words: int = 5, similarity: float = 0.8) -> DataFrame:
+    """docs with one document of each group that chains of similar texts connect: that with the smallest doc_id, then text hash."""
+    rows = materialize(sketches(docs, words), "near-rows")
+    comp = connected_components(similar(docs, rows, words, similarity)).select(F.col("node").alias("sid"), "component")
+    near = materialize(rows.drop("bands").join(comp, "sid", "left").withColumn("component", F.coalesce("component", "sid")), "near-groups")
+    first = near.groupBy("component").agg(F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "th")).alias("first"))
+    gone = near.join(first, "component").filter(~(F.col("doc_id").eqNullSafe(F.col("first.doc_id")) & (F.col("th") == F.col("first.th"))))
+    return drop_rows(docs, near, gone)

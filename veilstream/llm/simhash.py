@@ -33,12 +33,13 @@ BITS = 64
 VARIANTS_IN_MEMORY = 1 << 21
 
 
-def fingerprint(text: bytes | None, words: int) -> int:
+def shingles(text: bytes | None, words: int) -> np.ndarray:
+    """The hash of every run of `words` words; of a shorter text that of the whole."""
     import xxhash
 
     w = (text or b"").lower().split()  # bytes: lower-cases A-Z, splits at U+0020 and U+0009..U+000D
     if not w:
-        return 0
+        return np.zeros(0, np.uint64)
     joined = b" ".join(w)
     size = np.fromiter(map(len, w), np.int64, len(w))
     ends = np.cumsum(size + 1) - 1
@@ -46,7 +47,13 @@ def fingerprint(text: bytes | None, words: int) -> int:
     k = min(words, len(w))
     ends = ends[k - 1 :].tolist()
     h64 = xxhash.xxh64_intdigest
-    h = np.fromiter((h64(joined[a:b], SEED) for a, b in zip(begins, ends)), np.uint64, len(ends))
+    return np.fromiter((h64(joined[a:b], SEED) for a, b in zip(begins, ends)), np.uint64, len(ends))
+
+
+def fingerprint(text: bytes | None, words: int) -> int:
+    h = shingles(text, words)
+    if not len(h):
+        return 0
     ones = np.zeros(BITS, np.int64)
     for s in range(0, len(h), 1 << 16):
         ones += np.unpackbits(h[s : s + (1 << 16)].view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(axis=0, dtype=np.int64)
@@ -222,7 +229,12 @@ def keep_one(docs: DataFrame, words: int = 4, radius: int = 4) -> DataFrame:
     first = near.filter("doc_id <=> component_id").groupBy("component_id").agg(F.min("th").alias("_first"))
     first = first.withColumnRenamed("component_id", "_top")
     judged = near.join(first, near.component_id.eqNullSafe(F.col("_top")))
-    gone = judged.filter("not (doc_id <=> component_id) or th <> _first").select(F.col("doc_id").alias("_d"), F.col("th").alias("_t")).distinct()
+    return drop_rows(docs, near, judged.filter("not (doc_id <=> component_id) or th <> _first"))
+
+
+def drop_rows(docs: DataFrame, near: DataFrame, gone: DataFrame) -> DataFrame:
+    """docs without the (doc_id, th) of gone, each row once; near: doc_id, th of every row, written."""
+    gone = gone.select(F.col("doc_id").alias("_d"), F.col("th").alias("_t")).distinct()
     out = docs.withColumn("_th", F.xxhash64("text"))
     gone = small(materialize(gone, "near-gone"))
     out = out.join(gone, F.col("doc_id").cast("long").eqNullSafe(F.col("_d")) & (F.col("_th") == F.col("_t")), "left_anti")
