@@ -292,6 +292,24 @@ def test_decontamination(spark, odd, none):
     assert decontam.decontaminate(odd, spark.createDataFrame([], "item_id long, text string")).count() == len(ODD)
 
 
+def test_decontamination_decides_by_the_rule():
+    from itertools import combinations
+
+    rng = np.random.default_rng(11)
+    cases = [rng.random(n) < p for n in range(1, 45) for p in (0.5, 0.75, 0.9) for _ in range(5)]
+    for x in cases:
+        want = max((int(x[i:j].sum()) for i in range(len(x)) for j in range(i + 1, len(x) + 1) if 5 * x[i:j].sum() >= 4 * (j - i)), default=0)
+        i, j, n = decontam.best_stretch(x)
+        assert n == want == x[i:j].sum() and 5 * n >= 4 * (j - i)
+    for size, most in ((14, 1), (15, 2), (16, 3)):
+        item = [f"w{i}" for i in range(size)]
+        index = decontam.Index([(1, " ".join(item))])
+        for k in range(most + 1):
+            for gone in combinations(range(size), k):
+                text = " ".join(["x"] * 20 + ["y" if i in gone else w for i, w in enumerate(item)] + ["z"] * 20)
+                assert [r[4] for r in index.overlaps(decontam.TokenHasher().hashes(text))] == [size - k], gone
+
+
 def test_pseudonyms_are_valid_linked_and_invertible(spark, odd, none):
     texts = ["+1 (555) 123-4567, 4539578763621486 on 2024-02-29; 10.0.0.255 and a.b@c.example.com", "again 4539578763621486 1234567890123456 123-45-6789", "12/31/1999 02/30/2024 300.1.1.1", None, ""]
     df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
