@@ -259,6 +259,12 @@ def test_edit_links_equal_brute_force(spark):
     assert got == {(r.i, r.j) for r in want} and got
 
 
+def test_edit_links_reach_lines_that_differ_by_a_dotted_capital_i(spark):
+    rows = [(1, "a line of some length from \u0130zmir to the coast"), (2, "a line of some length from Izmir to the coast")]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    assert line_dedup.edit_links(df, line_dedup.line_keys(df)).count() == 1
+
+
 def test_line_dedup_edges(odd, none):
     rep = line_dedup.line_report(odd).collect()
     assert len(rep) == len(ODD)

@@ -70,7 +70,7 @@ def signatures(wide: Column, size: Column) -> Column:
 def letter_counts(line: Column) -> Column:
     """How often some frequent characters occur, by the length left without each."""
     low = F.lower(line)
-    return F.array(*[F.length(line) - F.length(F.replace(low, F.lit(c), F.lit(""))) for c in "etaoinshrdlucmfgpwbvy ,.é"])
+    return F.array(*[F.length(low) - F.length(F.replace(low, F.lit(c), F.lit(""))) for c in "etaoinshrdlucmfgpwbvy ,.é"])
 
 
 def far_apart(a: Column, b: Column, most: Column) -> Column:
