@@ -12,7 +12,7 @@ from collections.abc import Callable
 
 import numpy as np
 
-from .noise import normal
+from .noise import discrete_normal, normals
 
 
 def height(triggers: int) -> int:
@@ -32,32 +32,46 @@ def variance(i: int, kind: str = "bottom_up") -> float:
     return sum(block_variance(b) for b in range(i.bit_length()) if i >> b & 1)
 
 
+#: Gives, for the numbers of nodes of levels 0, 1, ..., the noise of the nodes of each.
+Draws = Callable[[list[int]], list[np.ndarray]]
+
+
+def prefix_noise(triggers: int, kind: str, draws: Draws) -> np.ndarray:
+    """Standard noise of the prefixes 1..T. Only the blocks that end by T are drawn, about 2 T of them."""
+    if kind == "leaf":
+        return np.cumsum(draws([triggers])[0])
+    at = np.arange(1, triggers + 1)
+    out, below = np.zeros(triggers), np.zeros(0)
+    for level, est in enumerate(draws([triggers >> level for level in range(triggers.bit_length())])):
+        if kind == "bottom_up" and level:
+            w = block_variance(level)
+            est = w * est + (1 - w) * (below[0 : 2 * len(est) : 2] + below[1 : 2 * len(est) : 2])
+        has = (at >> level & 1) == 1
+        out[has] += est[(at[has] >> level) - 1]
+        below = est
+    return out
+
+
 class PrefixNoise:
-    """at(i): standard noise of the prefix of length i; finished blocks are kept, so a walk over all i costs O(T) draws."""
-
-    def __init__(self, secret: str, stream: str, key: str, round_: int = 0, kind: str = "bottom_up", draw: Callable[[int, int], float] | None = None):
-        self.kind = kind
-        self.draw = draw or (lambda level, index: normal(secret, stream, key, round_, level, index))
-        self.blocks: dict[tuple[int, int], float] = {}
-
-    def block(self, level: int, index: int) -> float:
-        if (level, index) not in self.blocks:
-            own = self.draw(level, index)
-            if self.kind == "bottom_up" and level:
-                w = block_variance(level)
-                own = w * own + (1 - w) * (self.block(level - 1, 2 * index) + self.block(level - 1, 2 * index + 1))
-            self.blocks[(level, index)] = own
-        return self.blocks[(level, index)]
+    """at(i): standard noise of the prefix of length i, up to T triggers, drawn at first use."""
+
+    def __init__(self, secret: str, stream: str, key: str, round_: int = 0, kind: str = "bottom_up", triggers: int = 1, draws: Draws | None = None):
+        self.kind, self.triggers = kind, triggers
+        self.draws = draws or (lambda sizes: normals(secret, stream, key, round_, sizes))
+        self._all: np.ndarray | None = None
+
+    def all(self) -> np.ndarray:
+        if self._all is None:
+            self._all = prefix_noise(self.triggers, self.kind, self.draws)
+        return self._all
 
     def at(self, i: int) -> float:
-        if self.kind == "leaf":
-            return sum(self.block(0, j) for j in range(i))
-        total, begin = 0.0, 0
-        for b in reversed(range(i.bit_length())):
-            if i >> b & 1:
-                total += self.block(b, begin >> b)
-                begin += 1 << b
-        return total
+        return float(self.all()[i - 1])
+
+
+def discrete_draws(secret: str, stream: str, key: str, round_: int, sigma: float) -> Draws:
+    """Node noise of whole numbers, in units of sigma."""
+    return lambda sizes: [np.array([discrete_normal(secret, stream, key, round_, level, j, sigma) / sigma for j in range(n)]) for level, n in enumerate(sizes)]
 
 
 def sqrt_factor(triggers: int) -> np.ndarray:
@@ -100,10 +114,3 @@ class BruteTree:
                     total += sum(w / sum(c) * sum(self.nodes[b - j][(begin >> (b - j)) : (begin >> (b - j)) + (1 << j)]) for j, w in enumerate(c))
                 begin += 1 << b
         return total
-
-
-def node_weights_sql(i: str, level: str, index: str) -> str:
-    """DuckDB SQL: the weight of node (level, index) in the bottom-up prefix of length i (null: none)."""
-    p = f"({index} << {level})"
-    b = f"floor(log2(xor({i}, {p})::DOUBLE))::INTEGER"
-    return f"CASE WHEN {p} < {i} AND {level} <= {b} THEN pow(2.0, {level} - {b}) / (2.0 * (1.0 - pow(2.0, -({b} + 1)))) END"

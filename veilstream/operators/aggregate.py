@@ -15,20 +15,34 @@ def measure_column(m: Measure):
 
 
 def delta_hist(admitted: DataFrame, measures: tuple[Measure, ...], count_mode: str = "pair_once") -> DataFrame:
-    """window_start?, key, trigger_idx, n_records, new_users, sum_<measure>..., members (round_distinct).
+    """window_start?, key, trigger_idx, n_records, new_users, sum_<measure>..., previous (round_distinct).
 
     pair_once marks the first record of a unit for a key, which makes user counts additive
-    over triggers; batch_additive counts the units of a trigger; round_distinct hands the units on.
+    over triggers; batch_additive counts the units of a trigger; round_distinct counts them by the
+    trigger at which they were last seen with the key (0: never), at most T numbers a row.
     """
     by = [c for c in ("window_start", "key") if c in admitted.columns]
     sums = [F.sum(measure_column(m)).alias(f"sum_{m.name}") for m in measures]
+    n = F.count(F.lit(1)).alias("n_records")
+    if count_mode == "batch_additive":
+        # null units are one unit too
+        users = (F.countDistinct("unit") + F.max(F.col("unit").isNull().cast("long"))).alias("new_users")
+        return admitted.groupBy(*by, "trigger_idx").agg(n, users, *sums)
+    order = Window.partitionBy(*by, "unit").orderBy("trigger_idx", "record_id")
+    before = F.coalesce(F.lag("trigger_idx").over(order), F.lit(0))
     if count_mode == "pair_once":
-        first = F.row_number().over(Window.partitionBy(*by, "unit").orderBy("trigger_idx", "record_id"))
-        marked = admitted.withColumn("_new", (first == 1).cast("long"))
-        return marked.groupBy(*by, "trigger_idx").agg(F.count(F.lit(1)).alias("n_records"), F.sum("_new").alias("new_users"), *sums)
-    users = F.countDistinct("unit").alias("new_users")
-    extra = [F.collect_set(F.col("unit").cast("string")).alias("members")] if count_mode == "round_distinct" else []
-    return admitted.groupBy(*by, "trigger_idx").agg(F.count(F.lit(1)).alias("n_records"), users, *sums, *extra)
+        marked = admitted.withColumn("_new", (before == 0).cast("long"))
+        return marked.groupBy(*by, "trigger_idx").agg(n, F.sum("_new").alias("new_users"), *sums)
+    marked = admitted.withColumn("_prev", before.cast("int"))
+    fresh = (F.col("_prev") < F.col("trigger_idx")).cast("long")  # later records of a unit at a trigger have the trigger itself
+    parts = marked.groupBy(*by, "trigger_idx", "_prev").agg(n, F.sum(fresh).alias("_units"), *sums)
+    pair = F.struct(F.col("_prev").alias("trigger"), F.col("_units").alias("units"))
+    return parts.groupBy(*by, "trigger_idx").agg(
+        F.sum("n_records").alias("n_records"),
+        F.sum("_units").alias("new_users"),
+        *[F.sum(f"sum_{m.name}").alias(f"sum_{m.name}") for m in measures],
+        F.array_sort(F.collect_list(F.when(F.col("_units") > 0, pair))).alias("previous"),  # at most T
+    )
 
 
 def plain_hist(records: DataFrame, value=None) -> DataFrame:

@@ -36,5 +36,5 @@ def incremental_batches(deltas: DataFrame, spec: StreamSpec, composition_k: str
     eps0, delta0 = accounting.compose_inverse(k, spec.budget.eps, spec.budget.delta, composition)
     p = oneshot_plan(eps0, delta0, spec.bound, m.sensitivity, spec.budget.gate_eps_frac, spec.budget.gate_delta_frac)
     hist = deltas.select("key", "trigger_idx", F.col("new_users").alias("users"), F.col(f"sum_{m.name}").alias("total"))
-    shown = perturb(hist, p, spec.secret + "+batch", F.col("trigger_idx"))
+    shown = perturb(hist, p, spec.secret, F.col("trigger_idx"), kind="batch")
     return shown.groupBy("key").agg(F.sum("users_hat").alias("users_hat"), F.sum("value_hat").alias("value_hat"), F.count(F.lit(1)).alias("batches"))

@@ -8,7 +8,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions import calibrate
-from ..functions.noise import normal_column
+from ..functions.noise import Secret, normal_column
 from ..spec import StreamSpec
 
 
@@ -28,10 +28,10 @@ def oneshot_plan(eps: float, delta: float, bound: int, clamp: float, gate_eps_fr
     return OneShotPlan(user, 1 + calibrate.upper_quantile(dk / 2 / keys) * user, value)
 
 
-def perturb(hist: DataFrame, plan: OneShotPlan, secret: str, run: Column, users: str = "users", value: str = "total") -> DataFrame:
-    """key columns of hist, users_hat and value_hat of the keys over the threshold."""
-    z = lambda stream: normal_column(secret, stream, F.coalesce("key", F.lit("\x00")), run, F.lit(0), F.lit(0))
-    hats = hist.withColumn("users_hat", F.col(users) + plan.user_sigma * z("once-users")).withColumn("value_hat", F.col(value) + plan.value_sigma * z("once-value"))
+def perturb(hist: DataFrame, plan: OneShotPlan, secret: Secret, run: Column, users: str = "users", value: str = "total", kind: str = "once") -> DataFrame:
+    """key columns of hist, users_hat and value_hat of the keys over the threshold; kind names the noise streams."""
+    z = lambda stream: normal_column(secret, stream, F.col("key"), run, F.lit(0), F.lit(0))
+    hats = hist.withColumn("users_hat", F.col(users) + plan.user_sigma * z(f"{kind}-users")).withColumn("value_hat", F.col(value) + plan.value_sigma * z(f"{kind}-value"))
     return hats.filter(F.col("users_hat") > plan.threshold)
 
 

@@ -12,6 +12,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .functions import accounting, calibrate
+from .functions.noise import Secret, resolve
 from .operators import aggregate, bounding, timing
 from .operators.gate import KeyGate
 from .plans import replay
@@ -28,7 +29,7 @@ class PrivateHistogram:
         self._id: tuple[str, ...] = ()
         self._window: tuple[str, int, int] | None = None
         self._derived: list[tuple[str, str, str, str]] = []
-        self.spec = StreamSpec(bound=1, measures=())
+        self.spec = StreamSpec(bound=1, measures=(), secret=None)
 
     def unit(self, *columns: str) -> PrivateHistogram:
         """The privacy unit: a user, or (user, period), or (user, key)."""
@@ -86,7 +87,8 @@ class PrivateHistogram:
         self.spec = replace(self.spec, gate=GateConfig(**settings))
         return self
 
-    def secret(self, secret: str) -> PrivateHistogram:
+    def secret(self, secret: Secret) -> PrivateHistogram:
+        """What keys the noise; releases need one."""
         self.spec = replace(self.spec, secret=secret)
         return self
 
@@ -158,7 +160,7 @@ def register_gate(spark: SparkSession, spec: StreamSpec, name: str = "private_re
     from pyspark.sql.functions import udtf
 
     plan, gate, secret, names = calibrate.plan(spec), spec.gate, spec.secret, tuple(m.name for m in spec.measures)
-    machine = KeyGate
+    machine, look = KeyGate, resolve
     if gate.count_mode == "round_distinct":
         raise ValueError("the table function takes additive user counts")
 
@@ -169,7 +171,7 @@ def register_gate(spark: SparkSession, spec: StreamSpec, name: str = "private_re
         def eval(self, row):
             if self.g is None:
                 self.key = row["key"]
-                self.g = machine(plan, gate, secret, names, self.key if self.key is not None else "\x00")
+                self.g = machine(plan, gate, look(secret), names, self.key)
             for r in self.g.arrive(row["trigger_idx"], row["new_users"], [row[f"sum_{m}"] for m in names], row["n_records"]):
                 yield (self.key, *r)
 
