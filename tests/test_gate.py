@@ -6,7 +6,7 @@ from veilstream.operators import aggregate, baselines, bounding, metrics, timing
 from veilstream.operators.gate import KeyGate
 from veilstream.plans import replay
 from veilstream.sources import synth, tables
-from veilstream.spec import TEST_SECRET, GateConfig, Measure, StreamSpec, Timing
+from veilstream.spec import TEST_SECRET, Budget, GateConfig, Measure, StreamSpec, Timing
 from veilstream.streaming import microbatch
 
 
@@ -54,10 +54,13 @@ def test_bare_gate_keeps_its_users():
 
 
 def test_round_distinct_counts_a_unit_once_a_round():
-    g = scripted([99, 99], GateConfig(count_mode="round_distinct"))
-    g.arrive(1, 2, [2.0], 2, ["a", "b"])
-    g.arrive(2, 2, [2.0], 2, ["b", "c"])
+    g = scripted([99, 99, 1, 99], GateConfig(count_mode="round_distinct"))
+    g.arrive(1, 2, [2.0], 2, [(0, 2)])  # a, b
+    g.arrive(2, 2, [2.0], 2, [(0, 1), (1, 1)])  # b again, c
     assert g.state.users == 3
+    assert g.arrive(3, 1, [1.0], 1, [(1, 1)])[0][3] == 3  # a again: a new round begins
+    g.arrive(4, 2, [2.0], 2, [(2, 1), (3, 1)])  # c and a count anew
+    assert g.state.users == 2
 
 
 def frame(spark, rows):
@@ -85,34 +88,139 @@ def test_count_modes(spark):
 
 
 def test_zero_noise_selects_exactly_the_keys_over_mu(spark, sf, monkeypatch):
-    spec = StreamSpec(bound=10, timing=Timing(4), gate=GateConfig(mu=90))
+    spec = StreamSpec(secret=TEST_SECRET, bound=10, timing=Timing(4), gate=GateConfig(mu=90))
     flat = Plan(4, 0.0, (0.0,) * 4, (0.0,), 0, 0, 0)
     monkeypatch.setattr("veilstream.functions.calibrate.plan", lambda s: flat)
     rec = tables.line_records(spark, sf)
-    once = StreamSpec(bound=10, timing=Timing(4), gate=GateConfig(mu=90, restart=False))
+    once = StreamSpec(secret=TEST_SECRET, bound=10, timing=Timing(4), gate=GateConfig(mu=90, restart=False))
     got = {r.key for r in replay.run(rec, once).select("key").distinct().collect()}
     true = {r.key for r in replay.admitted(rec, spec).groupBy("key").agg(F.countDistinct("unit").alias("n")).filter("n > 90").collect()}
     assert got == true
 
 
-def test_engines_agree_and_retries_repeat(spark, sf, tmp_path):
-    spec = StreamSpec(bound=10, timing=Timing(8), measures=(Measure("count"), Measure("qty", "l_quantity", 20.0)))
-    rec = tables.line_records(spark, sf)
-    want = sorted(map(tuple, replay.run(rec, spec).collect()))
-    assert want
+def strip(rows):
+    return sorted((tuple(round(x, 9) if isinstance(x, float) else x for x in r) for r in rows), key=repr)
+
+
+def with_nulls(rec):
+    """Some keys and units become null, and one key a text that starts like the name of null."""
+    key = F.when(F.col("key") == "3", F.lit(None)).when(F.col("key") == "4", F.lit("\x00")).otherwise(F.col("key"))
+    return rec.withColumn("key", key).withColumn("unit", F.when(F.col("unit") % 10 > 0, F.col("unit")))
+
+
+@pytest.mark.parametrize("mode", ["pair_once", "round_distinct", "batch_additive"])
+def test_engines_agree_and_retries_repeat(spark, sf, tmp_path, mode):
+    spec = StreamSpec(secret=TEST_SECRET, bound=10, timing=Timing(8), measures=(Measure("count"), Measure("qty", "l_quantity", 20.0)), budget=Budget(30 if mode != "batch_additive" else 300, 1e-3), gate=GateConfig(count_mode=mode))
+    rec = with_nulls(tables.line_records(spark, sf))
+    want = strip(map(tuple, replay.run(rec, spec).collect()))
+    assert {r[0] for r in want} >= {None, "\x00", "1"}
     src = timing.assign_triggers(rec, 8)
-    got = microbatch.run_batches(spark, src, spec, str(tmp_path / "s"))
-    strip = lambda rows: [tuple(round(x, 9) if isinstance(x, float) else x for x in r) for r in rows]
-    assert strip(sorted(map(tuple, got.collect()))) == strip(want)
-    compacted = microbatch.run_batches(spark, src, spec, str(tmp_path / "c"), compact=3)
-    assert strip(sorted(map(tuple, compacted.collect()))) == strip(want)
+    assert strip(map(tuple, microbatch.run_batches(spark, src, spec, str(tmp_path / "s")).collect())) == want
+    compacted = microbatch.run_batches(spark, src, spec, str(tmp_path / "c"), compact=3, buckets=5)
+    assert strip(map(tuple, compacted.collect())) == want
     tabs = microbatch.StateTables(spark, str(tmp_path / "s"))
     microbatch.step(tabs, src.filter("trigger_idx = 5"), 5, spec)  # a batch tried again
-    assert strip(sorted(map(tuple, microbatch.releases(tabs, spec, 8).collect()))) == strip(want)
+    assert strip(map(tuple, microbatch.releases(tabs, spec, 8).collect())) == want
+
+
+def test_the_bound_holds_for_the_null_unit_across_batches(spark, tmp_path):
+    rec = frame(spark, [(None, "k", f"{i:02}", 1 + i // 4, 1.0) for i in range(12)])
+    spec = StreamSpec(secret=TEST_SECRET, bound=2, timing=Timing(3))
+    microbatch.run_batches(spark, rec, spec, str(tmp_path))
+    tabs = microbatch.StateTables(spark, str(tmp_path))
+    assert tabs.read("admitted", 3, microbatch.ADMITTED).count() == 2 == replay.admitted(rec, spec).count()
+
+
+def test_a_step_reads_only_the_buckets_it_touches(spark, tmp_path):
+    spec = StreamSpec(secret=TEST_SECRET, bound=50, timing=Timing(8))
+    tabs = microbatch.StateTables(spark, str(tmp_path), buckets=32)
+    microbatch.step(tabs, frame(spark, [(i, f"k{i}", str(i), 1, 1.0) for i in range(400)]), 1, spec)
+    read = {}
+    whole = tabs.read
+
+    def spy(table, last, schema, base=None, only=None):
+        out = whole(table, last, schema, base, only)
+        read[table] = len(out.inputFiles()) if only is None else len({r[0] for r in out.select(F.input_file_name()).distinct().collect()})
+        return out
+
+    tabs.read = spy
+    microbatch.step(tabs, frame(spark, [(1, "k1", "r", 2, 1.0), (2, "k2", "s", 2, 1.0)]), 2, spec)
+    files = lambda t: len(spark.read.parquet(tabs.path(t, 1)).inputFiles())
+    assert files("keys") >= 30 and files("admitted") >= 30
+    due = whole("due", 1, microbatch.DUE, only=("due", [2])).select("kb").distinct().count()
+    assert read["admitted"] <= 2 and read["keys"] <= 2 + due and read["due"] <= 32
+
+
+def test_a_stream_longer_than_a_window_opens_the_next(spark, sf, tmp_path):
+    spec = StreamSpec(secret=TEST_SECRET, bound=10, timing=Timing(2), budget=Budget(40, 1e-3))
+    rec = timing.assign_triggers(tables.line_records(spark, sf), 3)
+    base = str(tmp_path / "in")
+    for i in range(1, 4):
+        rec.filter(F.col("trigger_idx") == i).drop("trigger_idx").coalesce(1).write.mode("append").parquet(base)
+    source = spark.readStream.schema(rec.drop("trigger_idx").schema).option("maxFilesPerTrigger", 1).parquet(base)
+    assert microbatch.stream(source, spec, str(tmp_path / "state"), str(tmp_path / "cp")).awaitTermination(180)
+    first, second = (microbatch.window_tables(spark, str(tmp_path / "state"), n) for n in (0, 1))
+    late = rec.filter("trigger_idx = 3").withColumn("trigger_idx", F.lit(1))
+    assert strip(map(tuple, microbatch.releases(first, spec, 2).collect())) == strip(map(tuple, replay.run(rec.filter("trigger_idx < 3"), spec).collect()))
+    got = strip(map(tuple, microbatch.close_window(second, spec, 1).collect()))
+    plain = strip(map(tuple, replay.run(late, spec).collect()))
+    assert got and second.read("admitted", 2, microbatch.ADMITTED).count() == replay.admitted(late, spec).count()
+    assert not {r[4] for r in got} & {r[4] for r in plain}  # the second window has trees of its own
+
+
+def test_windows_at_a_clock_change_have_different_noise_in_every_time_zone(spark):
+    # 2023-10-29 in Berlin: 02:00 comes twice
+    starts = [1698537600 + 3600 * h for h in range(4)]
+    rows = [(w, i, "k", f"{w}-{i}") for w in starts for i in range(400)]
+    rec = spark.createDataFrame(rows, "w long, unit long, key string, record_id string").withColumn("window_start", F.timestamp_seconds("w")).withColumn("unit", F.col("unit") + F.col("w"))
+    spec = StreamSpec(secret=TEST_SECRET, bound=1, timing=Timing(1))
+    seen, zone = {}, spark.conf.get("spark.sql.session.timeZone")
+    try:
+        for z in ("UTC", "Europe/Berlin"):
+            spark.conf.set("spark.sql.session.timeZone", z)
+            out = replay.run(rec, spec).select(F.unix_micros("window_start").alias("w"), "users_hat").collect()
+            seen[z] = {r.w: r.users_hat for r in out}
+    finally:
+        spark.conf.set("spark.sql.session.timeZone", zone)
+    assert seen["UTC"] == seen["Europe/Berlin"] and len(set(seen["UTC"].values())) == 4
+
+
+def test_no_plan_holds_the_secret(spark, sf, capsys):
+    spec = StreamSpec(secret="plain-in-sight", bound=10, timing=Timing(4))
+    rec = tables.line_records(spark, sf)
+    deltas = replay.delta(rec, spec)
+    from veilstream.operators import oneshot
+
+    frames = [
+        replay.run(rec, spec), oneshot.oneshot_hist(replay.admitted(rec, spec), spec), baselines.repeated_queries(deltas, spec, last_only=False),
+        baselines.incremental_batches(deltas, spec), tuning.choose_c_dp(rec, 0.99, 1.0, 50, "plain-in-sight"),
+        tuning.c_sweep(bounding.ranked(timing.assign_triggers(rec, 4)), (1, 2), aggregate.plain_hist(rec), lambda c: (1.0, 1.0), lambda c: 1.0, "plain-in-sight"),
+    ]
+    for f in frames:
+        f.explain("extended")
+        text = capsys.readouterr().out
+        assert "Physical Plan" in text and "plain-in-sight" not in text
+
+
+def test_equal_shares_are_those_of_ntile(spark):
+    from pyspark.sql import Window
+
+    for n, t in ((103, 10), (5, 8), (64, 8)):
+        rec = spark.range(n).select((F.col("id") % 3).alias("window_start"), F.format_string("r%05d", "id").alias("record_id"))
+        want = rec.withColumn("t", F.ntile(t).over(Window.partitionBy("window_start").orderBy("record_id")))
+        got = timing.assign_triggers(rec, t, "rows").join(want, ["window_start", "record_id"])
+        assert got.count() == n and got.filter("t <> trigger_idx").count() == 0
+
+
+def test_lateness_widens_the_triggers_and_drops_the_rest(spark):
+    rows = [(s, s + d) for s in (0, 3599) for d in (0, 600, 1799, 1801, 7200)]
+    rec = spark.createDataFrame(rows, "e long, a long").select(F.timestamp_seconds("e").alias("event_ts"), F.timestamp_seconds("a").alias("arrival_ts"), "a")
+    got = {r.a: r.trigger_idx for r in timing.in_time(rec, Timing(9, "arrival", lateness_s=1800, window_s=3600)).collect()}
+    assert got == {a: a // 600 + 1 for _, a in rows if a < 5400}
 
 
 def test_structured_streaming_equals_replay(spark, sf, tmp_path):
-    spec = StreamSpec(bound=10, timing=Timing(4))
+    spec = StreamSpec(secret=TEST_SECRET, bound=10, timing=Timing(4))
     rec = timing.assign_triggers(tables.line_records(spark, sf), 4)
     base = str(tmp_path / "in")
     for i in range(1, 5):
@@ -120,18 +228,17 @@ def test_structured_streaming_equals_replay(spark, sf, tmp_path):
     source = spark.readStream.schema(rec.schema).option("maxFilesPerTrigger", 1).parquet(base)
     q = microbatch.stream(source, spec, str(tmp_path / "state"), str(tmp_path / "cp"))
     assert q.awaitTermination(180)
-    got = microbatch.releases(microbatch.StateTables(spark, str(tmp_path / "state")), spec, 4)
-    strip = lambda rows: sorted(tuple(round(x, 9) if isinstance(x, float) else x for x in r) for r in rows)
+    got = microbatch.releases(microbatch.window_tables(spark, str(tmp_path / "state"), 0), spec, 4)
     assert strip(map(tuple, got.collect())) == strip(map(tuple, replay.run(rec, spec).collect()))
 
 
 def test_empty_stream(spark):
-    assert replay.run(frame(spark, []), StreamSpec(bound=2, timing=Timing(3))).count() == 0
+    assert replay.run(frame(spark, []), StreamSpec(secret=TEST_SECRET, bound=2, timing=Timing(3))).count() == 0
 
 
 def test_main_keeps_more_keys_than_the_baselines(spark):
     sf = "/root/testdata/sf0.01"
-    spec = StreamSpec(bound=17, timing=Timing(16))
+    spec = StreamSpec(secret=TEST_SECRET, bound=17, timing=Timing(16))
     rec = tables.brand_type_records(spark, sf)
     deltas = replay.delta(rec, spec)
     truth = aggregate.plain_hist(rec)

@@ -4,20 +4,20 @@ from pyspark.sql import functions as F
 from veilstream import observe
 from veilstream.plans import replay
 from veilstream.sources import tables
-from veilstream.spec import Measure, StreamSpec, Timing
+from veilstream.spec import TEST_SECRET, Measure, StreamSpec, Timing
 from veilstream.surface import PrivateHistogram
 
 
 def builder(spark, sf):
     rec = tables.line_records(spark, sf).withColumn("flag", F.col("key").cast("int") % 2)
-    return PrivateHistogram(rec).unit("unit").keys("key", "flag").record_id("record_id").bound(10).triggers(8)
+    return PrivateHistogram(rec).unit("unit").keys("key", "flag").record_id("record_id").bound(10).triggers(8).secret(TEST_SECRET)
 
 
 def test_builder_releases_what_replay_releases(spark, sf):
     got = builder(spark, sf).count().sum("l_quantity", 20, "qty").releases()
     assert got.columns == ["key", "flag", "trigger_idx", "round", "cause", "users_hat", "count_hat", "qty_hat"]
     rec = tables.line_records(spark, sf).withColumn("key", F.to_json(F.struct("key", (F.col("key").cast("int") % 2).alias("flag"))))
-    spec = StreamSpec(bound=10, timing=Timing(8), measures=(Measure("count"), Measure("qty", "l_quantity", 20.0)))
+    spec = StreamSpec(secret=TEST_SECRET, bound=10, timing=Timing(8), measures=(Measure("count"), Measure("qty", "l_quantity", 20.0)))
     want = replay.run(rec, spec).withColumn("key", F.get_json_object("key", "$.key"))
     rows = sorted(map(tuple, got.drop("flag").collect()))
     assert rows and rows == sorted(map(tuple, want.collect()))
@@ -46,7 +46,7 @@ def test_derived_aggregates_come_from_sums(spark, sf):
 
 def test_latency_rows_and_scaling(spark, sf, tmp_path):
     rec = tables.line_records(spark, sf)
-    times = observe.latency_grid({1.0: rec}, StreamSpec(bound=10, timing=Timing(8)), str(tmp_path), triggers=1, runs=1)
+    times = observe.latency_grid({1.0: rec}, StreamSpec(secret=TEST_SECRET, bound=10, timing=Timing(8)), str(tmp_path), triggers=1, runs=1)
     assert times.count() == 1 and times.filter("millis > 0 and rows > 0").count() == 1
     made = spark.createDataFrame([(1.0, 4, 0, 1, 100, 50.0), (5.0, 4, 0, 1, 500, 85.0), (5.0, 8, 0, 1, 500, 51.0), (1.0, 8, 0, 1, 100, 40.0)], observe.TIMES)
     rows = {r.cores: r for r in observe.scaling(observe.latency(made)).collect()}
