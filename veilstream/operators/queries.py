@@ -11,22 +11,23 @@ from pyspark.sql import functions as F
 from ..functions import accounting, calibrate, tree
 from ..functions.noise import normal_column, normal_sql
 from ..plans import replay
+from ..shared import materialize
 from ..sources import synth, tables
 from ..spec import TEST_SECRET, Budget, GateConfig, Measure, StreamSpec, Timing
 from . import aggregate, baselines, bounding, metrics, oneshot, oracle, timing, tuning
 
 COUNT = (Measure("count"),)
 #: Presets that keep keys alive on the small tables.
-SUPPLIER = StreamSpec(bound=17, timing=Timing(8))
-FLAGSHIP = StreamSpec(bound=10, timing=Timing(8))
-FORUM = StreamSpec(bound=17, timing=Timing(16))
+SUPPLIER = StreamSpec(secret=TEST_SECRET, bound=17, timing=Timing(8))
+FLAGSHIP = StreamSpec(secret=TEST_SECRET, bound=10, timing=Timing(8))
+FORUM = StreamSpec(secret=TEST_SECRET, bound=17, timing=Timing(16))
 SUMS = replace(SUPPLIER, measures=(Measure("qty", "l_quantity", 50.0),))
 MULTI = replace(SUPPLIER, measures=(Measure("count"), Measure("qty", "l_quantity", 30.0)))
-SPARSE = StreamSpec(bound=17, timing=Timing(32))
+SPARSE = StreamSpec(secret=TEST_SECRET, bound=17, timing=Timing(32))
 #: Few, busy keys: the one-shot baselines still show some of them.
 BUSY = "l_suppkey % 20"
-VIEWS = StreamSpec(bound=1, timing=Timing(8), budget=Budget(eps=11.0, delta=2e-9, gate_eps_frac=10 / 11, gate_delta_frac=0.5))
-TERMS = StreamSpec(bound=1, timing=Timing(16), budget=Budget(eps=4.0, delta=1.5e-10), gate=GateConfig(mu=50, restart=False))
+VIEWS = StreamSpec(secret=TEST_SECRET, bound=1, timing=Timing(8), budget=Budget(eps=11.0, delta=2e-9, gate_eps_frac=10 / 11, gate_delta_frac=0.5))
+TERMS = StreamSpec(secret=TEST_SECRET, bound=1, timing=Timing(16), budget=Budget(eps=4.0, delta=1.5e-10), gate=GateConfig(mu=50, restart=False))
 
 Q: dict[str, tuple[Callable[[SparkSession, str], DataFrame], str | None]] = {}
 
@@ -159,9 +160,11 @@ def users_batch_additive(spark, sf):
 ROUNDS = replace(SUPPLIER, gate=GateConfig(count_mode="round_distinct"))
 
 
-@query(f"WITH {oracle.delta_ctes(oracle.lines(), ROUNDS)} SELECT key, trig AS trigger_idx, count(DISTINCT unit) AS members FROM adm GROUP BY ALL")
+@query(f"WITH {oracle.delta_ctes(oracle.lines(), ROUNDS)} SELECT key, trig AS trigger_idx, prev AS previous, count(*) AS units FROM seen GROUP BY ALL")
 def users_round_distinct(spark, sf):
-    return replay.delta(tables.line_records(spark, sf), ROUNDS).select("key", "trigger_idx", F.size("members").cast("long").alias("members"))
+    """Units of a trigger by the trigger at which they were last seen with the key."""
+    deltas = replay.delta(tables.line_records(spark, sf), ROUNDS)
+    return deltas.select("key", "trigger_idx", F.explode("previous").alias("p")).select("key", "trigger_idx", F.col("p.trigger").alias("previous"), F.col("p.units").alias("units"))
 
 
 @query(f"WITH {oracle.delta_ctes(oracle.lines('l_partkey'), SUPPLIER)} SELECT key, sum(users)::BIGINT AS users FROM delta GROUP BY key HAVING sum(users) > 10")
@@ -179,7 +182,7 @@ def node_noise(spark, sf):
 
 
 def prefix_rows(spark, kind: str, t: int = 16) -> DataFrame:
-    rows = [(k, i, round(noise.at(i), 6)) for k in ("a", "b", "c") for noise in [tree.PrefixNoise(TEST_SECRET, "demo", k, 1, kind)] for i in range(1, t + 1)]
+    rows = [(k, i, round(noise.at(i), 6)) for k in ("a", "b", "c") for noise in [tree.PrefixNoise(TEST_SECRET, "demo", k, 1, kind, t)] for i in range(1, t + 1)]
     return spark.createDataFrame(rows, "key string, i long, z double")
 
 
@@ -220,9 +223,40 @@ def tau_per_trigger(spark, sf):
     return spark.createDataFrame([(i + 1, round(x, 6)) for i, x in enumerate(calibrate.plan(FORUM).taus)], "trigger_idx int, tau double")
 
 
-@query(literal_sql([(r[0], round(r[2], 9), r[3] * 1e9, r[5]) for r in accounting.ledger_rows(MULTI)], ["component", "eps", "delta_e9", "fold"]))
+@query(
+    """WITH b AS (SELECT 6.0::DOUBLE AS eps, 1e-9::DOUBLE AS delta, 17 AS c), s AS (SELECT *, eps / 2 AS ek, delta * 2 / 3 AS dk FROM b),
+l AS (SELECT 'gate tree' AS component, ek AS eps, dk / 2 AS delta, c AS fold FROM s UNION ALL SELECT 'gate threshold', 0.0, c * (exp(ek) + 1) * (dk / 2 / (c * (exp(ek) + 1))), c FROM s
+UNION ALL SELECT 'value ' || m, eps - ek, delta - dk, 1 FROM s, (SELECT unnest(['count', 'qty']) AS m))
+SELECT component, round(eps, 9) AS eps, round(delta * 1e9, 9) AS delta_e9, fold FROM l
+UNION ALL SELECT 'total', round(sum(eps) FILTER (WHERE component <> 'value qty'), 9), round(sum(delta) FILTER (WHERE component <> 'value qty') * 1e9, 9), 1 FROM l"""
+)
 def ledger(spark, sf):
-    return accounting.ledger(spark, MULTI).select("component", F.round("eps", 9).alias("eps"), (F.col("delta") * 1e9).alias("delta_e9"), "fold")
+    """The spend of two measures at eps 6, delta 1e-9 and 17 records a unit; values share one budget."""
+    return accounting.ledger(spark, MULTI).select("component", F.round("eps", 9).alias("eps"), F.round(F.col("delta") * 1e9, 9).alias("delta_e9"), "fold")
+
+
+def calibration_specs() -> list[tuple[str, StreamSpec]]:
+    return [("flagship", FLAGSHIP), ("forum", FORUM), ("views", VIEWS), ("terms", TERMS), ("hundred", replace(FORUM, bound=32, timing=Timing(100)))]
+
+
+def calibration_sql() -> str:
+    """Noise scales and thresholds from eps, delta, C and T alone, all in SQL."""
+    rows = [(n, s.budget.eps, s.budget.delta, s.budget.gate_eps_frac, s.budget.gate_delta_frac, s.bound, s.timing.triggers, s.gate.mu) for n, s in calibration_specs()]
+    split = f"SELECT *, eps * fe AS ek, delta * fd AS dk, eps - eps * fe AS ev, delta - delta * fd AS dv, ceil(log2(t)) + 1 AS nodes FROM ({literal_sql(rows, ['name', 'eps', 'delta', 'fe', 'fd', 'c', 't', 'mu'])})"
+    beta = "dk / 2 / (c * (exp(ek) + 1)) / t"
+    return f"""WITH s AS ({split}), gr AS ({oracle.rho_sql("SELECT name, ek AS eps, dk / 2 AS delta FROM s")}), vr AS ({oracle.rho_sql("SELECT name, ev AS eps, dv AS delta FROM s")}), q AS ({oracle.quantile_sql(f"SELECT name, {beta} AS p FROM s")})
+SELECT name, round(sqrt(nodes / (2 * gr.rho / c)), 2) AS sigma, round(c * sqrt(nodes / (2 * vr.rho)), 2) AS value_sigma, round(z, 4) AS z, round(z * sqrt(nodes / (2 * gr.rho / c)), 1) AS first_tau FROM s JOIN gr USING (name) JOIN vr USING (name) JOIN q USING (name)"""
+
+
+@query()
+def calibration(spark, sf):
+    """Noise scales, quantile and first threshold of some presets."""
+    plans = [(n, s, calibrate.plan(s)) for n, s in calibration_specs()]
+    rows = [(n, round(p.sigma, 2), round(p.value_sigma[0], 2), round(calibrate.upper_quantile(p.beta / s.timing.triggers), 4), round(p.taus[0], 1)) for n, s, p in plans]
+    return spark.createDataFrame(rows, "name string, sigma double, value_sigma double, z double, first_tau double")
+
+
+Q["calibration"] = (calibration, calibration_sql())
 
 
 # --- key gate and releases ---------------------------------------------------------------
@@ -252,6 +286,7 @@ gate_query("gate_universal_tau", UNIVERSAL, oracle.FORUM, tables.brand_type_reco
 gate_query("gate_theorem_tau", THEOREM, oracle.lines(), suppliers, KEYS_ONLY, keys_only)
 gate_query("gate_plain_variance", PLAIN, oracle.FORUM, tables.brand_type_records, KEYS_ONLY, keys_only)
 gate_query("gate_batch_additive", replace(SUPPLIER, bound=4, gate=GateConfig(count_mode="batch_additive")), oracle.lines("l_returnflag || '-' || l_linestatus"), lambda s, d: tables.line_records(s, d, "concat_ws('-', l_returnflag, l_linestatus)"), KEYS_ONLY, keys_only)
+gate_query("gate_round_distinct", replace(FORUM, gate=GateConfig(count_mode="round_distinct")), oracle.FORUM, tables.brand_type_records)
 gate_query("release_count", SUPPLIER, oracle.lines(), suppliers)
 gate_query("release_sum", SUMS, oracle.lines(), suppliers)
 gate_query("release_multi", MULTI, oracle.lines(), suppliers)
@@ -296,12 +331,12 @@ def gate_naive(spark, sf):
     return rounded(silent.withColumn("cause", F.when(F.col("_data"), "arrival").otherwise("silent")).drop("_data"))
 
 
-@query()
+@query(oracle.forecasts(oracle.FORUM, FORUM, "SELECT key, i AS made_at, predicted FROM arrivals WHERE predicted IS NOT NULL"))
 def forecast_table(spark, sf):
     return replay.run(tables.brand_type_records(spark, sf), FORUM, "forecasts")
 
 
-@query()
+@query(oracle.loads(oracle.lines("l_partkey"), SPARSE, 3))
 def state_loads(spark, sf):
     """Keys loaded and tests made, naive against forecast."""
     cost = replay.run(tables.line_records(spark, sf, "l_partkey"), SPARSE, "cost")
@@ -334,9 +369,12 @@ def eps_sweep_rows() -> list[tuple]:
     return [(e, round(calibrate.equivalent_threshold(e, 1e-9, 150), 6)) for e in (1.0, 3.0, 10.0)]
 
 
-@query(literal_sql(eps_sweep_rows(), ["eps", "threshold"]))
+@query(
+    f"""WITH e AS (SELECT unnest([1.0::DOUBLE, 3.0::DOUBLE, 10.0::DOUBLE]) AS eps), s AS (SELECT eps::VARCHAR AS name, eps, 5e-10::DOUBLE AS delta FROM e), r AS ({oracle.rho_sql("SELECT * FROM s")}),
+q AS ({oracle.quantile_sql("SELECT name, delta / (exp(eps) + 1) AS p FROM s")}) SELECT eps, round(z * sqrt((ceil(log2(150)) + 1) / (2 * rho)), 2) AS threshold FROM s JOIN r USING (name) JOIN q USING (name)"""
+)
 def eps_sweep_thresholds(spark, sf):
-    return spark.createDataFrame(eps_sweep_rows(), "eps double, threshold double")
+    return spark.createDataFrame([(e, round(x, 2)) for e, x in eps_sweep_rows()], "eps double, threshold double")
 
 
 TERMS_SQL = "SELECT doc_id || '-' || key AS unit, key, doc_id || '-' || key AS rid FROM (SELECT doc_id, unnest(list_distinct(regexp_extract_all(lower(text), '[a-z]+'))) AS key FROM documents)"
@@ -345,8 +383,8 @@ gate_query("term_trends", TERMS, TERMS_SQL, tables.token_records, KEYS_ONLY, key
 # --- baselines and measures --------------------------------------------------------------
 
 
-def once_sql(users: str, total: str, p: oneshot.OneShotPlan, secret: str, run: str, source: str, extra: str = "") -> str:
-    return f"""SELECT {extra}key, users_hat, value_hat FROM (SELECT *, {users} + {p.user_sigma!r}::DOUBLE * {oracle.once("once-users", secret, run)} AS users_hat, {total} + {p.value_sigma!r}::DOUBLE * {oracle.once("once-value", secret, run)} AS value_hat FROM {source}) WHERE users_hat > {p.threshold!r}::DOUBLE"""
+def once_sql(users: str, total: str, p: oneshot.OneShotPlan, secret: str, run: str, source: str, extra: str = "", kind: str = "once") -> str:
+    return f"""SELECT {extra}key, users_hat, value_hat FROM (SELECT *, {users} + {p.user_sigma!r}::DOUBLE * {oracle.once(f"{kind}-users", secret, run)} AS users_hat, {total} + {p.value_sigma!r}::DOUBLE * {oracle.once(f"{kind}-value", secret, run)} AS value_hat FROM {source}) WHERE users_hat > {p.threshold!r}::DOUBLE"""
 
 
 def once_plan(spec: StreamSpec, k: int) -> oneshot.OneShotPlan:
@@ -361,7 +399,7 @@ INC = once_plan(SUPPLIER, INC_K)
 HIST = "(SELECT key, sum(users) AS users, sum(s0) AS total FROM delta GROUP BY key)"
 ONE_SQL = once_sql("users", "total", ONE, TEST_SECRET, "0", HIST)
 REP_SQL = once_sql("users", "total", REP, TEST_SECRET, "8", HIST)
-INC_SQL = f"SELECT key, sum(users_hat) AS users_hat, sum(value_hat) AS value_hat, count(*) AS batches FROM ({once_sql('users', 's0', INC, TEST_SECRET + '+batch', 'trig', 'delta')}) GROUP BY key"
+INC_SQL = f"SELECT key, sum(users_hat) AS users_hat, sum(value_hat) AS value_hat, count(*) AS batches FROM ({once_sql('users', 's0', INC, TEST_SECRET, 'trig', 'delta', kind='batch')}) GROUP BY key"
 SUP_CTES = oracle.delta_ctes(oracle.lines(BUSY), SUPPLIER)
 BATCH_CTES = oracle.delta_ctes(oracle.lines(BUSY), BATCHES)
 ROUND3 = "SELECT key, round(users_hat, 6) AS users_hat, round(value_hat, 6) AS value_hat FROM"
@@ -397,7 +435,10 @@ def baseline_incremental(spark, sf):
     return rounded(baselines.incremental_batches(supplier_deltas(spark, sf, BATCHES), SUPPLIER))
 
 
-@query()
+ALL_SQL = f"(SELECT key, i, sum(users) AS users, sum(s0) AS total FROM delta JOIN (SELECT unnest(range(1, 9)) AS i) ON trig <= i GROUP BY key, i)"
+
+
+@query(f"WITH {SUP_CTES} SELECT trigger_idx, key, round(users_hat, 6) AS users_hat, round(value_hat, 6) AS value_hat FROM ({once_sql('users', 'total', REP, TEST_SECRET, 'i', ALL_SQL, 'i::INTEGER AS trigger_idx, ')})")
 def baseline_repeated_all_triggers(spark, sf):
     return rounded(baselines.repeated_queries(supplier_deltas(spark, sf), SUPPLIER, last_only=False))
 
@@ -510,10 +551,14 @@ def grouping_sets_truth(spark, sf):
     return ev.groupingSets([["event_type"], ["day"]], "event_type", "day").agg(F.count(F.lit(1)).alias("n"))
 
 
-@query(oracle.releases(oracle.FORUM, FORUM, "").rstrip() + f",\nb AS ({once_sql('users', 'total', once_plan(FORUM, 16), TEST_SECRET, '16', HIST)}) SELECT key FROM releases INTERSECT SELECT key FROM b")
+#: Which keys the main method and the repeated query show: the busy keys, of which the latter shows some.
+BOTH_SQL = oracle.releases(oracle.lines(BUSY), SUPPLIER, "").rstrip() + f",\nb AS ({REP_SQL})"
+
+
+@query(f"{BOTH_SQL} SELECT key FROM releases INTERSECT SELECT key FROM b")
 def selected_intersect(spark, sf):
-    rec = tables.brand_type_records(spark, sf)
-    return replay.run(rec, FORUM).select("key").intersect(baselines.repeated_queries(replay.delta(rec, FORUM), FORUM).select("key"))
+    rec = tables.line_records(spark, sf, BUSY)
+    return replay.run(rec, SUPPLIER).select("key").intersect(baselines.repeated_queries(replay.delta(rec, SUPPLIER), SUPPLIER).select("key"))
 
 
 @query(oracle.releases(oracle.FORUM, FORUM, "").rstrip() + f",\nb AS ({once_sql('users', 'total', once_plan(FORUM, 16), TEST_SECRET, '16', HIST)}) SELECT key FROM releases EXCEPT SELECT key FROM b")
@@ -653,34 +698,86 @@ def utility_gains(spark, sf):
     return out.select(*[F.round(c, 5).alias(c) for c in out.columns])
 
 
-@query()
-def synthetic_long_tail(spark, sf):
-    """Main method and both baselines on the generated long-tail law, one row a method."""
-    spec = replace(FORUM, bound=32)
-    rec = synth.zipf_mandelbrot(spark, 40_000, 4_000)
-    truth, deltas = aggregate.plain_hist(rec), replay.delta(rec, spec)
-    runs = {"main": (replay.snapshot(replay.run(rec, spec), spec), "count_hat"), "repeated": (baselines.repeated_queries(deltas, spec), "value_hat"), "incremental": (baselines.incremental_batches(deltas, spec), "value_hat")}
-    out = None
-    for name, (est, value) in runs.items():
-        row = metrics.utility(truth, est, value).withColumn("method", F.lit(name))
-        out = row if out is None else out.unionByName(row)
-    return rounded(out)
+def three_methods(spark, rec: DataFrame, spec: StreamSpec, draws: tuple[str, ...]) -> DataFrame:
+    """method and the mean over noise draws of keys, linf, l1 and l2, with standard errors."""
+    truth, deltas = aggregate.plain_hist(rec), materialize(replay.delta(rec, spec), "grid-deltas")
+    batches = materialize(replay.delta(rec, replace(spec, gate=GateConfig(count_mode="batch_additive"))), "grid-batches")
+    rows = None
+    for d in draws:
+        s = replace(spec, secret=d)
+        runs = {"main": (replay.snapshot(replay.fold(replay.timelines(deltas, s), s), s), "count_hat"), "repeated": (baselines.repeated_queries(deltas, s), "value_hat"), "incremental": (baselines.incremental_batches(batches, s), "value_hat")}
+        for name, (est, value) in runs.items():
+            row = metrics.utility(truth, est, value).select(F.lit(name).alias("method"), F.col("keys").cast("double").alias("keys"), "linf", "l1", "l2")
+            rows = row if rows is None else rows.unionByName(row)
+    out = metrics.average(rows, ["method"], ["keys", "linf", "l1", "l2"])
+    return out.select("method", *[F.round(c, 4).alias(c) for c in out.columns if c != "method"])
+
+
+def three_methods_sql(rec: str, spec: StreamSpec, draws: tuple[str, ...], rounds: int) -> str:
+    t, k, parts = spec.timing.triggers, min(spec.bound, spec.timing.triggers), []
+    batch = replace(spec, gate=GateConfig(count_mode="batch_additive"))
+    for d in draws:
+        rep = once_sql("users", "total", once_plan(spec, t), d, str(t), HIST)
+        inc = f"SELECT key, sum(value_hat) AS value_hat FROM ({once_sql('users', 's0', once_plan(spec, k), d, 'trig', 'delta', kind='batch')}) GROUP BY key"
+        parts += [
+            f"SELECT 'main' AS method, x.* FROM ({oracle.releases(rec, replace(spec, secret=d), '', rounds).rstrip()}, {TRUTH}, {LAST} {oracle.utility('truth', 'est', 'count_hat')}) x",
+            f"SELECT 'repeated' AS method, x.* FROM (WITH {oracle.delta_ctes(rec, spec)}, {TRUTH}, est AS ({rep}) {oracle.utility('truth', 'est', 'value_hat')}) x",
+            f"SELECT 'incremental' AS method, x.* FROM (WITH {oracle.delta_ctes(rec, batch)}, {TRUTH}, est AS ({inc}) {oracle.utility('truth', 'est', 'value_hat')}) x",
+        ]
+    names = ("keys", "linf", "l1", "l2")
+    return f"SELECT method, {', '.join(f'round(avg({n}), 4) AS {n}, round(coalesce(stddev({n}), 0) / sqrt(count(*)), 4) AS {n}_se' for n in names)} FROM ({' UNION ALL '.join(parts)}) GROUP BY method"
+
+
+DRAWS = tuple(f"{TEST_SECRET}-{i}" for i in (1, 2, 3))
+FORUM_100, FORUM_1000 = (replace(FORUM, timing=Timing(t)) for t in (100, 1000))
+TAIL_16, TAIL_100, TAIL_1000 = (replace(FORUM, bound=32, timing=Timing(t)) for t in (16, 100, 1000))
+
+
+def register_methods(name: str, spec: StreamSpec, records, rec_sql: str, draws: tuple[str, ...] = DRAWS) -> None:
+    def run(spark, sf):
+        return three_methods(spark, records(spark, sf), spec, draws)
+
+    run.__name__ = name
+    Q[name] = (run, three_methods_sql(rec_sql, spec, draws, 4))
 
 
-@query()
+register_methods("forum_methods_t100", FORUM_100, tables.brand_type_records, oracle.FORUM)
+register_methods("forum_methods_t1000", FORUM_1000, tables.brand_type_records, oracle.FORUM)
+register_methods("synthetic_long_tail", TAIL_16, lambda spark, sf: synth.zipf_mandelbrot(spark, 40_000, 4_000), oracle.zipf(40_000, 4_000), DRAWS[:1])
+register_methods("long_tail_methods_t100", TAIL_100, lambda spark, sf: synth.zipf_mandelbrot(spark, 60_000, 1_000), oracle.zipf(60_000, 1_000))
+register_methods("long_tail_methods_t1000", TAIL_1000, lambda spark, sf: synth.zipf_mandelbrot(spark, 60_000, 1_000), oracle.zipf(60_000, 1_000), DRAWS[:1])
+
+
+@query(oracle.loads(oracle.uniform_keys(20_000, 20_000), SPARSE, 2))
 def uniform_key_loads(spark, sf):
     """As many keys as users: state loads of the naive gate against those with forecasts."""
     cost = replay.run(synth.uniform_keys(spark, 20_000, 20_000), SPARSE, "cost")
     return cost.agg(F.count(F.lit(1)).alias("keys"), *[F.sum(c).alias(c) for c in ("tests", "wasted", "loads_naive", "loads_forecast")])
 
 
-@query()
+#: Two-day windows every day: a record touches two windows, and noise is scaled for both.
+SLIDING = StreamSpec(secret=TEST_SECRET, bound=2, timing=Timing(8), budget=Budget(22, 2e-9), measures=(Measure("count"), Measure("sum_value", "value", 300.0)))
+SLIDING_SQL = f"""SELECT unit, length(w::VARCHAR) || ':' || w || '{{"key":"' || event_type || '"}}' AS key, rid, value FROM (
+SELECT user_id AS unit, event_type, event_id AS rid, value, unnest([epoch_us(date_trunc('day', ts)), epoch_us(date_trunc('day', ts)) - 86400000000]) AS w FROM (
+SELECT *, row_number() OVER (PARTITION BY user_id ORDER BY {oracle.trigger("event_id", 8)}, event_id) AS k FROM events) WHERE k <= 1)"""
+
+
+@query(
+    oracle.releases(
+        SLIDING_SQL,
+        SLIDING,
+        "SELECT CAST(make_timestamp(split_part(split_part(key, '{', 1), ':', 2)::BIGINT) AS DATE) AS day, split_part(key, '\"', 4) AS key, trigger_idx, round, cause, round(users_hat, 6) AS users_hat, round(count_hat, 6) AS count_hat, round(sum_value_hat, 6) AS sum_value_hat, round(sum_value_hat / greatest(count_hat, 1.0), 6) AS avg_value_hat FROM releases",
+        2,
+    )
+)
 def sliding_releases(spark, sf):
-    """Two-day windows every day: a record touches two windows, and noise is scaled for both."""
+    """Counts and means of one record a user in two-day windows that begin every day."""
     from ..surface import PrivateHistogram
 
     ev = tables.event_records(spark, sf)
-    return rounded(PrivateHistogram(ev).unit("unit", "day").keys("key").record_id("record_id").count().avg("value", 300).bound(1).triggers(8).budget(22, 2e-9).window("event_ts", 172_800, 86_400).releases())
+    made = PrivateHistogram(ev).unit("unit").keys("key").record_id("record_id").count().avg("value", 300).bound(1).triggers(8).budget(22, 2e-9).secret(TEST_SECRET)
+    out = made.window("event_ts", 172_800, 86_400).releases()
+    return rounded(out.withColumn("day", F.to_date("window_start")).drop("window_start"))
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
