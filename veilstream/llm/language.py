@@ -10,7 +10,8 @@ rejected (distance-based rejection).
 
 Defined results: null texts and texts without a letter are `und` with score 0 and are
 rejected; ties go to the language that sorts first; with nothing to learn from, every text
-is `und`; extra columns are ignored; repeated rows keep a row each.
+is `und`; extra columns are kept, whatever their names; repeated rows keep a row each and count once in
+the sample.
 """
 
 from __future__ import annotations
@@ -20,11 +21,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from .common import unused
 from .words import end_of_task
 
 DIMS = 4096
 ORDERS = (1, 2, 3)
 CHUNK = 1 << 18
+FINAL_SIGMA = 0x3C2
 
 
 def grams(text: str | None) -> tuple[np.ndarray, int]:
@@ -32,18 +35,19 @@ def grams(text: str | None) -> tuple[np.ndarray, int]:
     out, letters = np.zeros(DIMS, np.float64), 0
     if not text:
         return out, 0
-    tail = ""
+    before = np.zeros(0, np.uint32)  # what n-grams may reach back to
     for s in range(0, len(text), CHUNK):
-        low = tail + text[s : s + CHUNK].lower()
-        c = np.frombuffer(low.encode("utf-32-le", "surrogatepass"), "<u4").astype(np.uint32)
+        c = np.frombuffer(text[s : s + CHUNK].lower().encode("utf-32-le", "surrogatepass"), "<u4").astype(np.uint32)
+        c[c == FINAL_SIGMA] = FINAL_SIGMA + 1  # lower() writes it at the end of what it sees as a word
         alpha = (c >= 97) & (c <= 122)
         odd = np.flatnonzero(c > 127)
         if len(odd):
             kinds = {int(x): chr(x).isalpha() for x in np.unique(c[odd])}
             alpha[odd] = [kinds[x] for x in c[odd].tolist()]
-        letters += int(alpha[len(tail) :].sum())
-        c = np.where(alpha, c, 32)
+        letters += int(alpha.sum())
+        c = np.concatenate([before, np.where(alpha, c, 32)])
         keep = np.r_[True, (c[1:] != 32) | (c[:-1] != 32)]
+        keep[: len(before)] = True
         c = c[keep]
         with np.errstate(over="ignore"):
             h = np.zeros(len(c), np.uint32)
@@ -52,9 +56,10 @@ def grams(text: str | None) -> tuple[np.ndarray, int]:
                     break
                 h = h[: len(c) - n + 1] * np.uint32(0x01000193) ^ (c[n - 1 :] * np.uint32(0x9E3779B1))
                 if n in ORDERS:
-                    slot = ((h ^ (h >> 15)) * np.uint32(0x85EBCA6B) >> np.uint32(20)).astype(np.int64) & (DIMS - 1)
+                    new = h[max(0, len(before) - n + 1) :]  # those that end in this chunk
+                    slot = ((new ^ (new >> 15)) * np.uint32(0x85EBCA6B) >> np.uint32(20)).astype(np.int64) & (DIMS - 1)
                     out += np.bincount(slot, minlength=DIMS)
-        tail = low[-2:] if s + CHUNK < len(text) else ""
+        before = c[-(max(ORDERS) - 1) :]
     return out, letters
 
 
@@ -123,15 +128,18 @@ def held_out(doc_id) -> F.Column:
 
 
 def train(docs: DataFrame, sample_per_lang: int = 600, centroids: int = 4, slack: float = 0.5) -> CentroidModel:
-    """Fit on at most sample_per_lang labelled, not held-out texts of each language, those of lowest hash."""
+    """Fit on at most sample_per_lang different labelled, not held-out texts of each language, those of lowest hash.
+
+    A threshold on the hash, from the approximate number of different texts of a language, leaves about twice as
+    many before anything is shuffled; so no task gets the rows of a language.
+    """
     learn = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", "lang").filter(F.col("lang").isNotNull() & F.col("text").isNotNull() & ~held_out("doc_id"))
-    ids = learn.select("doc_id", "lang", F.xxhash64("doc_id").alias("h"))
-    # the lowest of a language are among the lowest of each of its salts
-    first = F.row_number().over(Window.partitionBy("lang", F.pmod("h", F.lit(32))).orderBy("h", "doc_id"))
-    rank = F.row_number().over(Window.partitionBy("lang").orderBy("h", "doc_id"))
-    few = ids.withColumn("r", first).filter(F.col("r") <= sample_per_lang).drop("r")
-    chosen = few.withColumn("r", rank).filter(F.col("r") <= sample_per_lang).select("doc_id", "lang").distinct()
-    picked = learn.join(F.broadcast(chosen), ["doc_id", "lang"])  # bounded: sample_per_lang rows a language
+    learn = learn.withColumn("h", F.xxhash64("doc_id", "text"))
+    sizes = learn.groupBy("lang").agg(F.approx_count_distinct("h", 0.02).alias("n"))  # a row a language
+    share = F.pmod(F.xxhash64("h"), F.lit(1 << 40)) / float(1 << 40)
+    few = learn.join(F.broadcast(sizes), "lang").filter(share < 2.0 * sample_per_lang / F.col("n")).dropDuplicates(["lang", "h"])
+    rank = F.row_number().over(Window.partitionBy("lang").orderBy(share, "h"))
+    picked = few.withColumn("r", rank).filter(F.col("r") <= sample_per_lang)
 
     def run(batches):
         for b in batches:
@@ -145,7 +153,7 @@ def train(docs: DataFrame, sample_per_lang: int = 600, centroids: int = 4, slack
 
 
 def classify(docs: DataFrame, model: CentroidModel, keep: list[str]) -> DataFrame:
-    """The columns `keep` and lang_pred, score, rejected; `text` is the only input of the prediction."""
+    """The columns `keep` and lang_pred, score, rejected (under other names if `keep` has these); `text` is the only input of the prediction."""
     spark = docs.sparkSession
     state = spark.sparkContext.broadcast((model.langs, model.centroids, model.owner, model.idf, model.reach))  # languages x centroids x DIMS
     cls, done = CentroidModel, end_of_task
@@ -158,12 +166,14 @@ def classify(docs: DataFrame, model: CentroidModel, keep: list[str]) -> DataFram
                 part = b.slice(s, 64)
                 got = [grams(t) for t in part.column(k).to_pylist()]
                 lang, score, bad = model.predict(np.stack([g for g, _ in got]), np.asarray([n for _, n in got]))
-                yield pa.RecordBatch.from_arrays([*part.columns[:k], pa.array(lang, pa.string()), pa.array(score, pa.float64()), pa.array(bad, pa.bool_())], [*keep, "lang_pred", "score", "rejected"])
+                yield pa.RecordBatch.from_arrays([*part.columns[:k], pa.array(lang, pa.string()), pa.array(score, pa.float64()), pa.array(bad, pa.bool_())], [*keep, *names])
         done()
 
-    src = docs.select(*keep, F.col("text").alias("_text"))
-    schema = src.select(*keep).schema.add("lang_pred", "string").add("score", "double").add("rejected", "boolean")
-    return src.mapInArrow(run, schema)
+    names = unused(docs.select(*keep), "lang_pred", "score", "rejected")
+    schema = docs.select(*keep).schema
+    for name, kind in zip(names, ("string", "double", "boolean")):
+        schema = schema.add(name, kind)
+    return docs.select(*keep, F.col("text").alias(unused(docs.select(*keep), "text")[0])).mapInArrow(run, schema)
 
 
 def identify(docs: DataFrame, **params) -> DataFrame:
@@ -175,4 +185,5 @@ def identify(docs: DataFrame, **params) -> DataFrame:
 
 def keep_identified(docs: DataFrame, **params) -> DataFrame:
     """docs without those that the classifier rejects."""
-    return classify(docs, train(docs, **params), docs.columns).filter("not rejected").select(*docs.columns)
+    rejected = unused(docs, "lang_pred", "score", "rejected")[2]
+    return classify(docs, train(docs, **params), docs.columns).filter(~F.col(rejected)).select(*docs.columns)
