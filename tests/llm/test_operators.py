@@ -210,7 +210,7 @@ def test_ball_join_splits_large_buckets_without_loss(monkeypatch):
         monkeypatch.setattr(simhash, "VARIANTS_IN_MEMORY", limit)
         ball = simhash.BallJoin(2)
         ball.join(x, np.full(len(x), 2), 64)
-        return sorted(ball.forest())
+        return sorted(map(tuple, ball.forest().tolist()))
 
     assert components(1 << 14) == components(1 << 22)
 
@@ -332,6 +332,119 @@ def test_pseudonyms_are_valid_linked_and_invertible(spark, odd, none):
     assert pii.pseudonymize(odd).count() == len(ODD) and pii.pseudonymize(none).count() == 0
 
 
+def plain_feistel(a, b, m, n, kind):
+    import hashlib
+
+    for r in range(pii.ROUNDS):
+        h = int(hashlib.sha256("\x1f".join([pii.TEST_KEY, kind, str(r), str(a if r % 2 else b)]).encode()).hexdigest()[:15], 16)
+        a, b = (a, (b + h % n) % n) if r % 2 else ((a + h % m) % m, b)
+    return a, b
+
+
+def plain_digits(d, kind):
+    u = len(d) // 2
+    a, b = plain_feistel(int(d[:u] or 0), int(d[u:]), 10**u, 10 ** (len(d) - u), kind)
+    return (str(a).zfill(u) if u else "") + str(b).zfill(len(d) - u)
+
+
+def plain_refill(shape, digits):
+    it = iter(digits)
+    return "".join(next(it) if "0" <= c <= "9" else c for c in shape)
+
+
+def plain_luhn(d):
+    return sum(sum(divmod(2 * int(c), 10)) if i % 2 else int(c) for i, c in enumerate(reversed(d))) % 10
+
+
+def plain_email(m):
+    import hashlib
+
+    local, domain = m.split("@")
+    classes = [next((x for x in (range(97, 123), range(65, 91), range(48, 58)) if ord(c) in x), None) for c in local]
+    v, u = [ord(c) for c in local], (len(local) + 1) // 2
+    for r in range(pii.ROUNDS):
+        mine, other = (range(u), range(u, len(v))) if r % 2 == 0 else (range(u, len(v)), range(u))
+        seen = ",".join(str(v[i]) for i in other)
+        for k, i in enumerate(mine):
+            if classes[i] is not None:
+                h = hashlib.sha256("\x1f".join([pii.TEST_KEY, "email", str(r), str(k // 16), seen]).encode()).hexdigest()
+                shift = int(h[4 * (k % 16) : 4 * (k % 16) + 4], 16)
+                v[i] = classes[i][(v[i] - classes[i][0] + shift) % len(classes[i])]
+    return "".join(map(chr, v)) + "@" + domain
+
+
+def plain_pseudonym(m):
+    """(kind, text) by plain Python, from the documented formats alone."""
+    from datetime import date, datetime, timedelta
+
+    digits = re.sub("[^0-9]", "", m)
+    if "@" in m:
+        return "email", plain_email(m)
+    if re.fullmatch(r"\d{1,3}(\.\d{1,3}){3}", m):
+        o = m.split(".")
+        if any(int(x) > 255 or (len(x) > 1 and x[0] == "0") for x in o):
+            return None, m
+        o = [int(x) for x in o]
+        a, b = plain_feistel(o[0] * 256 + o[1], o[2] * 256 + o[3], 65536, 65536, "ipv4")
+        return "ipv4", f"{a // 256}.{a % 256}.{b // 256}.{b % 256}"
+    for shape, form in ((r"\d{4}-\d{2}-\d{2}", "%Y-%m-%d"), (r"\d{2}/\d{2}/\d{4}", "%m/%d/%Y"), (r"\d{2}\.\d{2}\.\d{4}", "%d.%m.%Y")):
+        if re.fullmatch(shape, m):
+            try:
+                at = (datetime.strptime(m, form).date() - date(1900, 1, 1)).days
+            except ValueError:
+                return None, m
+            if not 0 <= at < 17 * 4297:
+                return None, m
+            a, b = plain_feistel(at // 4297, at % 4297, 17, 4297, "date")
+            return "date", (date(1900, 1, 1) + timedelta(a * 4297 + b)).strftime(form)
+    if re.fullmatch(r"\d{3}-\d{2}-\d{4}", m):
+        area, group, serial = int(m[:3]), int(m[4:6]), int(m[7:])
+        if not (0 < area < 900 and area != 666 and group and serial):
+            return None, m
+        a, b = plain_feistel(area - (2 if area > 666 else 1), (group - 1) * 9999 + serial - 1, 898, 99 * 9999, "ssn")
+        return "ssn", f"{a + (2 if a >= 665 else 1):03}-{b // 9999 + 1:02}-{b % 9999 + 1:04}"
+    if re.match(r"\+|\(|1-\d{3}-|\d{3}[-. ]\d{3}[-. ]\d{4}$", m):
+        code = re.match(r"(\+\d{1,3}|1-)?", m)[0]
+        rest, d = m[len(code) :], re.sub("[^0-9]", "", m[len(code) :])
+        if len(d) == 10 and not code.startswith("+"):
+            x, y = int(d[:3]), int(d[3:6])
+            lx, ly = (0 if x < 200 else 200), (0 if y < 200 else 200)
+            a, b = plain_feistel(x - lx, (y - ly) * 10000 + int(d[6:]), 800 if lx else 200, (800 if ly else 200) * 10000, "phone10")
+            return "phone", code + plain_refill(rest, f"{a + lx:03}{b // 10000 + ly:03}{b % 10000:04}")
+        return "phone", code + plain_refill(rest, plain_digits(d, "phone"))
+    if plain_luhn(digits):
+        return None, m
+    body = plain_digits(digits[:-1], "card")
+    return "card", plain_refill(m, body + next(c for c in "0123456789" if not plain_luhn(body + c)))
+
+
+def test_pseudonyms_equal_plain_python(spark, docs):
+    made = [
+        "\u0142ukasz.\u017cak@example.org, a.long.local.part.with.aaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaa@x.example.com",
+        "+44 20 7946 0958, +1 (212) 555-0101, (415) 555-1234, 415-555-1234, 415.555.1234, 415 555 1234, 1-800-555-1234, (055) 123-9999",
+        "25.12.2023, 31.02.2023, 12/31/1999, 2024-02-29; 10.0.0.255 and 300.1.1.1; 123-45-6789, 666-12-3456; 4539 5787 6362 1486",
+    ]
+    rows = [(r.doc_id, r.text) for r in docs.collect()] + [(10_000 + i, t) for i, t in enumerate(made)]
+    out = {r.doc_id: r for r in pii.pseudonymize(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    import regex
+
+    pattern, kinds = regex.compile(pii.ANY), Counter()
+    for d, t in rows:
+        own = [plain_pseudonym(m.group()) for m in pattern.finditer(t)]
+        woven, at = [], 0
+        for m, (_, new) in zip(pattern.finditer(t), own):
+            woven += [t[at : m.start()], new]
+            at = m.end()
+        assert out[d].text == "".join(woven) + t[at:]
+        assert list(out[d].pii) == [k for k, _ in own if k]
+        kinds.update(k for k, _ in own if k)
+    assert set(kinds) == set(pii.KINDS)
+    email = out[10_000].text
+    assert email.startswith("\u0142") and ".\u017c" in email and len({email.split("@")[1][-60 + i] for i in range(40)}) > 8
+    back = pii.pseudonymize(pii.pseudonymize(spark.createDataFrame(rows, "doc_id long, text string")).drop("pii"), inverse=True)
+    assert {r.doc_id: r.text for r in back.collect()} == dict(rows)
+
+
 def test_domain_permutation_is_a_bijection(spark):
     df = spark.range(17 * 40).select(F.floor(F.col("id") / 40).alias("a"), (F.col("id") % 40).alias("b"))
     s = df.select(pii.feistel(F.col("a"), F.col("b"), F.lit(17), F.lit(40), "k", "x", False).alias("s"))
