@@ -1,47 +1,48 @@
-"""Shared plumbing: table access, shared-folder writes, connected components."""
+"""Shared plumbing: table access, names, checked broadcasts, connected components."""
 
 from __future__ import annotations
 
-import tempfile
-import uuid
-
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import ArrayType, BinaryType, StringType
 
+from ..shared import materialize, shared_dir, shared_path
 
-def read_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
-    return spark.read.parquet(f"{sf_dir}/{name}.parquet")
-
-
-def shared_dir(spark: SparkSession) -> str:
-    """The folder all executors share; a temporary one only where none is configured (local tests)."""
-    sc = spark.sparkContext
-    found = spark.conf.get("spark.checkpoint.dir", None) or sc.getCheckpointDir()
-    if not found:
-        found = tempfile.mkdtemp(prefix="veilstream-")
-        sc.setCheckpointDir(found)
-    return found.rstrip("/")
+__all__ = ["BROADCAST_BYTES", "connected_components", "materialize", "partitions_for", "read_table", "shared_dir", "shared_path", "small", "unused"]
 
 
-def shared_path(spark: SparkSession, tag: str) -> str:
-    return f"{shared_dir(spark)}/{tag}-{uuid.uuid4().hex}"
+def read_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def materialize(df: DataFrame, tag: str, codec: str = "zstd") -> DataFrame:
-    """Cut the lineage: write to the shared folder and read back."""
-    spark = df.sparkSession
-    path = shared_path(spark, tag)
-    df.write.option("compression", codec).parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+def unused(df: DataFrame, *stems: str) -> list[str]:
+    """A column name for each stem that df has not, whatever its case: operators add their own columns under these."""
+    have, out = {c.lower() for c in df.columns}, []
+    for s in stems:
+        name = s
+        while name.lower() in have:
+            name += "_"
+        have.add(name.lower())
+        out.append(name)
+    return out
 
 
-#: Rows of a written table below which it is broadcast: some tens of bytes each, so at most about 100 MB.
-BROADCAST_ROWS = 1_000_000
+#: Size, by a measure of the rows themselves, up to which a written table is broadcast.
+BROADCAST_BYTES = 16 << 20
 
 
 def small(df: DataFrame) -> DataFrame:
-    """A written table, marked for broadcast if its checked number of rows is bounded; else as it is."""
-    return F.broadcast(df) if df.count() <= BROADCAST_ROWS else df
+    """A written table, marked for broadcast if its measured size is bounded; else as it is.
+
+    A row counts 16 bytes and 8 a column, and what its strings, binaries and arrays hold.
+    """
+    held = F.lit(16 + 8 * len(df.columns)).cast("long")
+    for f in df.schema.fields:
+        if isinstance(f.dataType, (StringType, BinaryType)):
+            held = held + F.coalesce(F.octet_length(f.name), F.lit(0))
+        elif isinstance(f.dataType, ArrayType):
+            held = held + 8 * F.greatest(F.coalesce(F.size(f.name), F.lit(0)), F.lit(0))
+    return F.broadcast(df) if (df.agg(F.sum(held)).first()[0] or 0) <= BROADCAST_BYTES else df
 
 
 def partitions_for(spark: SparkSession) -> int:

@@ -12,19 +12,27 @@ Equal variants link all their fingerprints to the smallest one (any two are with
 this keeps every component), each bucket hands on a spanning forest of its links, and
 components are contracted in Spark. Copies collapse to one fingerprint beforehand.
 
+`keep_similar` reaches a similarity of shingle sets with the same balls. Two sets of Jaccard
+similarity 0.8 differ in 15 % of their bits, too many for one ball, so a set gets a sketch of
+several independent fingerprints of BALL bits each: every fingerprint is joined by balls of
+radius h, each pair found there is compared by the whole sketch, and what remains is verified by
+the exact Jaccard similarity. The number of fingerprints follows from the wanted recall.
+
 Defined results: null and empty texts have fingerprint zero and link like any other;
 repeated doc_ids keep a row each; null doc_ids keep a row and name a component only if no
-other id can; an empty table gives no rows.
+other id can; an empty table gives no rows; extra columns are kept, whatever their names.
 """
 
 from __future__ import annotations
 
+import math
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import connected_components, materialize, partitions_for, small
+from .common import connected_components, materialize, partitions_for, small, unused
 from .words import end_of_task
 
 SEED = 42
@@ -86,10 +94,17 @@ def popcount(x: np.ndarray) -> np.ndarray:
 
 
 class BallJoin:
-    """Links of one bucket: fingerprints whose variants with a given leading part coincide."""
+    """Links of one bucket: fingerprints whose variants with a given leading part coincide.
+
+    The ball spans the leading `width` bits; the bits behind them only tell chance meetings apart: a link needs
+    at most `most` differing bits in all 64.
+    """
+
+    #: Neighbours of a crowded variant that are tried besides its smallest fingerprint, where meeting is not enough.
+    NEIGHBOURS = 16
 
-    def __init__(self, half: int):
-        self.half = half
+    def __init__(self, half: int, width: int = BITS, most: int | None = None):
+        self.half, self.width, self.most = half, width, most
         self.masks: dict[tuple[int, int], np.ndarray] = {}
         self.links: list[np.ndarray] = []
 
@@ -99,13 +114,14 @@ class BallJoin:
         return self.masks[(bits, most)]
 
     def join(self, fps: np.ndarray, left: np.ndarray, low: int) -> None:
-        """fps: distinct, leading bits above `low` already fixed; left: flips that each may still make below."""
+        """fps: distinct, leading bits above `low` (of the ball's) already fixed; left: flips that each may still make below."""
         if len(fps) < 2:
             return
+        behind = np.uint64(BITS - self.width)
         total = sum(int((left == k).sum()) * len(self.of(low, k)) for k in range(self.half + 1))
         if total > VARIANTS_IN_MEMORY and low > 4:
             step = min(6, low - 1)
-            part = (fps >> np.uint64(low - step)) & np.uint64((1 << step) - 1)
+            part = (fps >> (np.uint64(low - step) + behind)) & np.uint64((1 << step) - 1)
             for v in range(1 << step):
                 rest = left - popcount(part ^ np.uint64(v)).astype(np.int64)
                 keep = rest >= 0
@@ -117,7 +133,7 @@ class BallJoin:
             rows = np.flatnonzero(left == k)
             if len(rows):
                 m = self.of(low, k)
-                made.append(((fps[rows] & keep)[:, None] ^ m[None, :]).reshape(-1))
+                made.append((((fps[rows] >> behind) & keep)[:, None] ^ m[None, :]).reshape(-1))
                 who.append((rows, len(m)))
         v = np.concatenate(made)
         s = np.sort(v)
@@ -133,12 +149,28 @@ class BallJoin:
         group, f = group[order], fps[owner][order]
         starts = np.flatnonzero(np.r_[True, group[1:] != group[:-1]])
         least = np.repeat(f[starts], np.diff(np.r_[starts, len(f)]))
-        pairs = np.stack([least, f], axis=1)[least != f]
-        if len(pairs):
-            self.links.append(np.unique(pairs, axis=0))
-
-    def forest(self) -> list[tuple[int, int]]:
-        """The links so far as (smallest, member) pairs of a spanning forest."""
+        self.add(least, f)
+        if self.most is not None:
+            for lag in range(1, self.NEIGHBOURS + 1):
+                same = np.flatnonzero(group[lag:] == group[:-lag])
+                if not len(same):
+                    break
+                self.add(f[same], f[same + lag])
+
+    def add(self, a: np.ndarray, b: np.ndarray) -> None:
+        ok = a != b
+        if self.most is not None:
+            ok &= popcount(a ^ b) <= self.most
+        if ok.any():
+            self.links.append(np.unique(np.stack([a[ok], b[ok]], axis=1), axis=0))
+
+    def forest(self) -> np.ndarray:
+        """The links so far as (smaller, larger) pairs; where meeting links, a spanning forest. Forgets them."""
+        links, self.links = self.links, []
+        if not links:
+            return np.zeros((0, 2), np.uint64)
+        if self.most is not None:  # each pair is a candidate of its own
+            return np.unique(np.concatenate(links), axis=0)
         up: dict[int, int] = {}
 
         def top(x: int) -> int:
@@ -147,64 +179,70 @@ class BallJoin:
                 x = p
             return x
 
-        for block in self.links:
+        for block in links:
             for a, b in block.tolist():
                 x, y = top(a), top(b)
                 if x != y:
                     up[max(x, y)] = min(x, y)
-        self.links = []
-        return [(top(x), x) for x in up if top(x) != x]
+        return np.array([(top(x), x) for x in up if top(x) != x], np.uint64).reshape(-1, 2)
 
 
-def prefix_bits(n: int, half: int) -> int:
-    """Leading bits that make the fingerprints sent to a bucket few, on average, for n distinct ones."""
-    for bits in range(8, 25):
-        if n * len(flips(bits, half)) / 2**bits <= 4000:
+def prefix_bits(n: int, half: int, width: int = BITS, rows: int = 4000) -> int:
+    """Leading bits that make the fingerprints sent to a bucket about `rows` or fewer, on average, for n distinct ones."""
+    for bits in range(4, min(25, width - 4)):
+        if n * len(flips(bits, half)) / 2**bits <= rows:
             return bits
-    return 24
+    return min(24, width - 5)
 
 
-def ball_links(fps: DataFrame, radius: int = 4, bits: int | None = None) -> DataFrame:
-    """a, b: links that connect exactly the fingerprints that chains of <= radius differing bits connect.
+def ball_links(fps: DataFrame, radius: int = 4, bits: int | None = None, width: int = BITS, most: int | None = None) -> DataFrame:
+    """table?, a, b: links that connect exactly the fingerprints that chains of <= radius differing bits connect.
 
-    fps: one column fp (long), distinct.
+    fps: column fp (long), and perhaps table (int): fingerprints of different tables never meet; distinct.
+    With `width`, the balls span the leading bits only, and the pairs that meet and differ in at most `most` of all bits come one by one.
     """
     half = radius // 2
     if radius % 2:
         raise ValueError("the radius must be even: each side takes half of it")
     spark = fps.sparkSession
-    bits = bits or prefix_bits(fps.count(), half)
-    low, done = BITS - bits, end_of_task
-    sent = fps.select("fp", F.explode(F.array(*[F.shiftrightunsigned("fp", low).bitwiseXOR(F.lit(m).cast("long")) for m in flips(bits, half)])).alias("bucket"))
+    tabled = "table" in fps.columns
+    bits = bits or prefix_bits(fps.count(), half, width, 4000 if most is None else 40_000)
+    low, done, ball_join, ones = width - bits, end_of_task, BallJoin, popcount
+    parts = F.array(*[F.shiftrightunsigned("fp", BITS - bits).bitwiseXOR(F.lit(m).cast("long")) for m in flips(bits, half)])
+    sent = fps.select("fp", (F.col("table") if tabled else F.lit(0)).cast("long").alias("table"), F.explode(parts).alias("part"))
+    sent = sent.select("fp", (F.shiftleft("table", bits).bitwiseOR(F.col("part"))).alias("bucket"))
     sent = sent.repartition(partitions_for(spark), "bucket").sortWithinPartitions("bucket")
+    lead = np.int64((1 << bits) - 1)
 
     def run(batches):
-        ball = BallJoin(half)
-        held_b, held_f = np.zeros(0, np.int64), np.zeros(0, np.int64)
+        ball = ball_join(half, width, most)
 
-        def work(b, f):
-            cuts = np.flatnonzero(np.r_[True, b[1:] != b[:-1]]) if len(b) else []
-            ends = [*cuts[1:], len(b)]
-            for s, e in zip(cuts, ends):
-                x = f[s:e].view(np.uint64)
-                ball.join(x, half - popcount((x >> np.uint64(low)) ^ np.uint64(b[s])).astype(np.int64), low)
+        def work(bucket: int, parts: list[np.ndarray]):
+            x = np.concatenate(parts).view(np.uint64)
+            ball.join(x, half - ones((x >> np.uint64(BITS - bits)) ^ np.uint64(bucket & lead)).astype(np.int64), low)
+            got = ball.forest().view(np.int64)
+            for s in range(0, len(got), 50_000):
+                part = got[s : s + 50_000]
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(part), bucket >> bits), pa.int32()), pa.array(part[:, 0]), pa.array(part[:, 1])], ["table", "a", "b"])
 
+        now, held = None, []
         for batch in batches:
-            b = np.concatenate([held_b, batch.column(1).to_numpy(zero_copy_only=False)])
-            f = np.concatenate([held_f, batch.column(0).to_numpy(zero_copy_only=False)])
-            if not len(b):
+            if not batch.num_rows:
                 continue
-            cut = int(np.searchsorted(b, b[-1], side="left"))  # the last bucket may go on
-            work(b[:cut], f[:cut])
-            held_b, held_f = b[cut:], f[cut:]
-        work(held_b, held_f)
-        found = np.asarray(ball.forest(), np.uint64).reshape(-1, 2).view(np.int64)
-        for s in range(0, len(found), 50_000):
-            part = found[s : s + 50_000]
-            yield pa.RecordBatch.from_arrays([pa.array(part[:, 0]), pa.array(part[:, 1])], ["a", "b"])
+            f, b = (batch.column(c).to_numpy(zero_copy_only=False) for c in (0, 1))
+            cuts = np.flatnonzero(np.r_[True, b[1:] != b[:-1]]).tolist()
+            for s, e in zip(cuts, [*cuts[1:], len(b)]):
+                if b[s] != now:
+                    if held:
+                        yield from work(now, held)
+                    now, held = int(b[s]), []
+                held.append(f[s:e])
+        if held:
+            yield from work(now, held)
         done()
 
-    return sent.mapInArrow(run, "a long, b long")
+    out = sent.mapInArrow(run, "table int, a long, b long")
+    return out if tabled else out.select("a", "b")
 
 
 def groups(docs: DataFrame, words: int = 4, radius: int = 4) -> DataFrame:
@@ -234,10 +272,212 @@ def keep_one(docs: DataFrame, words: int = 4, radius: int = 4) -> DataFrame:
 
 def drop_rows(docs: DataFrame, near: DataFrame, gone: DataFrame) -> DataFrame:
     """docs without the (doc_id, th) of gone, each row once; near: doc_id, th of every row, written."""
-    gone = gone.select(F.col("doc_id").alias("_d"), F.col("th").alias("_t")).distinct()
-    out = docs.withColumn("_th", F.xxhash64("text"))
-    gone = small(materialize(gone, "near-gone"))
-    out = out.join(gone, F.col("doc_id").cast("long").eqNullSafe(F.col("_d")) & (F.col("_th") == F.col("_t")), "left_anti")
+    d, t, th = unused(docs, "d", "t", "th")
+    gone = small(materialize(gone.select(F.col("doc_id").alias(d), F.col("th").alias(t)).distinct(), "near-gone"))
+    out = docs.withColumn(th, F.xxhash64("text"))
+    out = out.join(gone, F.col("doc_id").cast("long").eqNullSafe(F.col(d)) & (F.col(th) == F.col(t)), "left_anti")
     if not near.groupBy("doc_id", "th").agg(F.count(F.lit(1)).alias("n")).filter("n > 1").isEmpty():
-        out = out.dropDuplicates(["doc_id", "_th"])  # rows given more than once
+        out = out.dropDuplicates(["doc_id", th])  # rows given more than once
     return out.select(*docs.columns)
+
+
+# --- similarity of shingle sets -----------------------------------------------------------
+
+#: Bits of a sketch's fingerprint that balls span, radius of a meeting, and share of similar pairs that the balls may miss.
+BALL, RADIUS, MISSED = 32, 4, 0.01
+#: Fixed odd multipliers and offsets that make independent bits from one hash of a shingle.
+SKETCH_SEED = 11
+#: Sets that a task holds at once when a group is compared in blocks.
+BLOCK = 256
+
+
+def differing(similarity: float) -> float:
+    """Share of sketch bits in which two sets of about equal size differ, by the angle between them."""
+    return math.acos(2 * similarity / (1 + similarity)) / math.pi
+
+
+def at_most(bits: int, p: float, k: int) -> float:
+    return sum(math.comb(bits, i) * p**i * (1 - p) ** (bits - i) for i in range(k + 1))
+
+
+def ball_bits(n: int) -> int:
+    """Bits of a fingerprint for n sets: enough that chance meetings stay a few a set."""
+    return min(48, max(BALL, math.ceil(math.log2(max(n, 2))) + 10))
+
+
+def tables_for(similarity: float, bits: int) -> int:
+    """Fingerprints that a pair of the given similarity needs to meet in one of them, but for MISSED of the pairs."""
+    return math.ceil(math.log(MISSED) / math.log1p(-at_most(bits, differing(similarity), RADIUS)))
+
+
+def sketch(s: np.ndarray, words64: int) -> np.ndarray:
+    """words64 x 64 majority bits of a set of shingle hashes; a tie is a one."""
+    draw = np.random.default_rng(SKETCH_SEED)
+    flip, times = draw.integers(0, 1 << 64, words64, np.uint64), draw.integers(0, 1 << 64, words64, np.uint64) | np.uint64(1)
+    ones = np.zeros(64 * words64, np.int64)
+    for k in range(0, len(s), 1 << 14):
+        x = (s[k : k + (1 << 14), None] ^ flip) * times
+        x = (x ^ (x >> np.uint64(32))) * np.uint64(0xD6E8FEB86659FD93)
+        x ^= x >> np.uint64(29)
+        ones += np.unpackbits(x.view(np.uint8).reshape(len(x), -1), axis=1, bitorder="little").sum(axis=0, dtype=np.int64)
+    return np.packbits(2 * ones >= len(s), bitorder="little").view("<u8")
+
+
+def windows(sk: np.ndarray, bits: int, tables: int) -> np.ndarray:
+    """Fingerprint t of a sketch: 64 bits from bit t * bits on, going round; the leading `bits` are its own."""
+    n, out = len(sk), np.zeros(tables, np.uint64)
+    for t in range(tables):
+        i, o = divmod(t * bits, 64)
+        a, b = sk[i % n], sk[(i + 1) % n]
+        out[t] = a if not o else (a << np.uint64(o)) | (b >> np.uint64(64 - o))
+    return out
+
+
+def sketches(docs: DataFrame, words: int, words64: int) -> DataFrame:
+    """doc_id, th (hash of the text), sid (hash of the set of shingles), sketch (array of longs)."""
+    done, make, cut = end_of_task, sketch, shingles
+
+    def run(batches):
+        import xxhash
+
+        for b in batches:
+            for k in range(0, b.num_rows, 512):
+                part = b.slice(k, 512)
+                sid, sk = [], []
+                for t in part.column(2):
+                    s = np.unique(cut(t.as_py(), words))
+                    sid.append(xxhash.xxh64_intdigest(s.tobytes()))
+                    sk.append(make(s, words64).view(np.int64))
+                yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), pa.array(np.array(sid, np.uint64).view(np.int64)), pa.array(sk, pa.list_(pa.int64()))], ["doc_id", "th", "sid", "sketch"])
+        done()
+
+    return docs.select(F.col("doc_id").cast("long"), F.xxhash64("text"), F.col("text").cast("binary")).mapInArrow(run, "doc_id long, th long, sid long, sketch array<long>")
+
+
+def candidates(once: DataFrame, bits: int, tables: int, similarity: float) -> DataFrame:
+    """a, b: pairs of sids that a ball brought together and whose whole sketches are near; once: sid, sketch, written."""
+    cut = windows
+
+    def run(batches):
+        for b in batches:
+            for k in range(0, b.num_rows, 4096):
+                part = b.slice(k, 4096)
+                sk = part.column(1).flatten().to_numpy(zero_copy_only=False).view(np.uint64).reshape(part.num_rows, -1)
+                fp = np.stack([cut(x, bits, tables) for x in sk]).view(np.int64) if len(sk) else np.zeros((0, tables), np.int64)
+                yield pa.RecordBatch.from_arrays([pa.array(np.repeat(part.column(0).to_numpy(zero_copy_only=False), tables)), pa.array(np.tile(np.arange(tables, dtype=np.int32), len(sk))), pa.array(fp.reshape(-1))], ["sid", "table", "fp"])
+
+    own = materialize(once.select("sid", "sketch").mapInArrow(run, "sid long, table int, fp long"), "near-fingerprints")
+    # sets with one fingerprint meet at its smallest set; the ball join sees the fingerprint once
+    tops = materialize(own.groupBy("table", "fp").agg(F.min("sid").alias("top"), F.count(F.lit(1)).alias("n")), "near-tops")
+    equal = own.join(tops.filter("n > 1"), ["table", "fp"]).filter("sid <> top").select(F.col("top").alias("a"), F.col("sid").alias("b"))
+    expected = (BITS - bits) * differing(similarity)
+    most = RADIUS + math.ceil(expected + 3 * math.sqrt(expected))
+    met = materialize(ball_links(tops.select("table", "fp"), RADIUS, width=bits, most=most).distinct(), "near-met")
+    named = lambda side, name: tops.select("table", F.col("fp").alias(side), F.col("top").alias(name))
+    ball = met.join(named("a", "s"), ["table", "a"]).join(named("b", "r"), ["table", "b"]).select(F.least("s", "r").alias("a"), F.greatest("s", "r").alias("b"))
+    pairs = equal.unionByName(ball).distinct()
+    total = 64 * -(-bits * tables // 64)
+    p = differing(similarity)
+    near = total * p + 5 * math.sqrt(total * p * (1 - p))
+    with_sketch = lambda side, name: once.select(F.col("sid").alias(side), F.col("sketch").alias(name))
+    both = pairs.join(with_sketch("a", "x"), "a").join(with_sketch("b", "y"), "b")
+    apart = F.aggregate(F.zip_with("x", "y", lambda x, y: F.bit_count(x.bitwiseXOR(y))), F.lit(0), lambda s, x: s + x)
+    return both.filter(apart <= near).select("a", "b")
+
+
+def jaccard_at_least(a: np.ndarray, b: np.ndarray, similarity: float) -> bool:
+    """Whether two sorted sets of distinct hashes are that similar."""
+    if min(len(a), len(b)) < similarity * max(len(a), len(b)) - 1e-9:
+        return False
+    if not len(a):
+        return True
+    both = int(np.count_nonzero(b[np.minimum(np.searchsorted(b, a), len(b) - 1)] == a))
+    return both >= similarity * (len(a) + len(b) - both) - 1e-9
+
+
+def verified(groups_: DataFrame, sets: DataFrame, similarity: float) -> DataFrame:
+    """a, b: links that connect all sets of a group that chains of similar sets connect.
+
+    groups_: sid, top (smallest sid of a group of candidates); sets: sid, shingles; both written. Every
+    set is compared with its group's smallest; those that are not similar to it are compared, in blocks, with all
+    sets of the group. So a group of any size is spread over tasks, and one of copies costs one comparison each.
+    """
+    spark, done, similar = sets.sparkSession, end_of_task, jaccard_at_least
+    sized = groups_.groupBy("top").agg(F.count(F.lit(1)).alias("n"))
+    held = groups_.join(sized, "top").join(sets, "sid")
+    salts = F.ceil(F.col("n") / (16 * BLOCK)).cast("int")
+    held = materialize(held.withColumn("salt", F.pmod(F.xxhash64("sid"), salts).cast("int")), "near-held")
+    first = held.filter("sid = top").select("top", F.col("shingles").alias("first"), F.explode(F.sequence(F.lit(0), salts - 1)).alias("salt"))
+
+    def against_first(batches):
+        for b in batches:
+            ok = [similar(np.frombuffer(x.as_py(), np.uint64), np.frombuffer(y.as_py(), np.uint64), similarity) for x, y in zip(b.column(2), b.column(3))]
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(ok, pa.bool_())], ["top", "sid", "ok"])
+        done()
+
+    tried = held.filter("sid <> top").join(first, ["top", "salt"]).select("top", "sid", "shingles", "first").mapInArrow(against_first, "top long, sid long, ok boolean")
+    tried = materialize(tried, "near-tried")
+    links = tried.filter("ok").select(F.col("top").alias("a"), F.col("sid").alias("b"))
+    rest = tried.filter("not ok").select("top", "sid")
+    if rest.isEmpty():
+        return links
+    counts = rest.groupBy("top").agg(F.ceil(F.count(F.lit(1)) / BLOCK).cast("int").alias("blocks"))
+    block = F.pmod(F.xxhash64("sid", F.lit(1)), F.col("blocks")).cast("int")
+    left = rest.join(counts, "top").withColumn("block", block).join(held.select("sid", "shingles", "n"), "sid")
+    left = left.select("top", "block", F.explode(F.sequence(F.lit(0), salts - 1)).alias("salt"), F.lit(0).alias("side"), "sid", "shingles")
+    right = held.join(counts, "top").select("top", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("block"), "salt", F.lit(1).alias("side"), "sid", "shingles")
+    sent = left.unionByName(right).repartition(partitions_for(spark), "top", "block", "salt").sortWithinPartitions("top", "block", "salt", "side", "sid")
+
+    def blocks(batches):
+        now, ids, own, found = None, [], [], []
+        for b in batches:
+            for *cell, side, sid, s in zip(*(b.column(c).to_pylist() for c in range(6))):
+                if cell != now:
+                    now, ids, own = cell, [], []
+                s = np.frombuffer(s, np.uint64)
+                if not side:
+                    ids.append(sid)
+                    own.append(s)
+                    continue
+                found += [(i, sid) for i, x in zip(ids, own) if i != sid and similar(x, s, similarity)]
+            yield pa.RecordBatch.from_arrays([pa.array([x for x, _ in found], pa.int64()), pa.array([y for _, y in found], pa.int64())], ["a", "b"])
+            found = []
+        done()
+
+    return links.unionByName(sent.mapInArrow(blocks, "a long, b long"))
+
+
+def similar_groups(docs: DataFrame, words: int, similarity: float) -> DataFrame:
+    """doc_id, th, component of every row: documents that chains of similar shingle sets connect share a component."""
+    n = docs.count()
+    bits = ball_bits(n)
+    tables = tables_for(similarity, bits)
+    rows = materialize(sketches(docs, words, -(-bits * tables // 64)), "near-rows")
+    once = rows.groupBy("sid").agg(F.min_by(F.struct("doc_id", "th"), F.struct(F.col("doc_id").isNull(), "doc_id", "th")).alias("of"), F.first("sketch").alias("sketch"))
+    once = materialize(once, "near-sketches")
+    met = connected_components(candidates(once, bits, tables, similarity))
+    groups_ = materialize(met.select(F.col("node").alias("sid"), F.col("component").alias("top")), "near-candidates")
+    who = groups_.join(once.select("sid", F.col("of.doc_id").alias("d"), F.col("of.th").alias("t")), "sid").select("sid", "d", "t")
+    who = small(materialize(who, "near-who"))
+    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64("text").alias("th"), F.col("text").cast("binary").alias("text"))
+    texts = texts.join(who, texts.doc_id.eqNullSafe(F.col("d")) & (texts.th == F.col("t"))).select("sid", "text")
+    done, cut = end_of_task, shingles
+
+    def to_sets(batches):
+        for b in batches:
+            for k in range(0, b.num_rows, 512):
+                part = b.slice(k, 512)
+                yield pa.RecordBatch.from_arrays([part.column(0), pa.array([np.unique(cut(t.as_py(), words)).tobytes() for t in part.column(1)], pa.binary())], ["sid", "shingles"])
+        done()
+
+    sets = materialize(texts.mapInArrow(to_sets, "sid long, shingles binary").dropDuplicates(["sid"]), "near-sets")
+    comp = connected_components(verified(groups_, sets, similarity)).select(F.col("node").alias("sid"), "component")
+    return rows.select("doc_id", "th", "sid").join(comp, "sid", "left").select("doc_id", "th", F.coalesce("component", "sid").alias("component"))
+
+
+def keep_similar(docs: DataFrame, words: int = 5, similarity: float = 0.8) -> DataFrame:
+    """docs with one document of each group that chains of similar texts connect: that with the smallest doc_id, then text hash."""
+    near = materialize(similar_groups(docs, words, similarity), "near-groups")
+    first = near.groupBy("component").agg(F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "th")).alias("first"))
+    gone = near.join(first, "component").filter(~(F.col("doc_id").eqNullSafe(F.col("first.doc_id")) & (F.col("th") == F.col("first.th"))))
+    return drop_rows(docs, near, gone)
