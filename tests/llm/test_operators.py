@@ -465,15 +465,47 @@ def test_language_on_held_out_rows(spark, odd, none):
 
 
 def test_fixity_finds_exactly_the_damage(spark):
-    rows = [(i, f"http://h/{i}", f"<p>{i}</p>") for i in range(9000)] + [(None, None, None), (3, "http://h/3", "<p>3</p>")]
+    rows = [(i, f"http://h/{i}", f"<p>{i}</p>") for i in range(9000)] + [(None, None, None), (3, "http://h/3", "<p>3</p>"), (-7, "u", "v"), (77, "http://h/77", "second version"), (1 << 40, "far", "away")]
     a = spark.createDataFrame(rows, "page_id long, url string, html string")
-    b = a.withColumn("html", F.when(F.col("page_id").isin(5, 8000), "rotten").otherwise(F.col("html")))
+    b = a.withColumn("html", F.when(F.col("page_id").isin(5, 8000) | ((F.col("page_id") == 77) & (F.col("html") == "second version")), "rotten").otherwise(F.col("html")))
+    b = b.filter("page_id is null or page_id not in (10, 4500)").unionByName(spark.createDataFrame([(6000, "new", "new"), (9500, "n", "n"), (5, "two", "more")], a.schema))
     out = fixity.audit(a, b).collect()
-    assert {r.page_id for r in out if r.status == "corrupt"} == {5, 8000}
-    assert len(out) == 9001 and sum(r.copies for r in out) == 9002
-    ends = fixity.audit(a, a.filter("page_id < 8990 or page_id is null")).collect()
-    assert sum(r.status == "missing" for r in ends) == 10
+    of = lambda s: Counter(r.page_id for r in out if r.status == s)
+    assert of("corrupt") == Counter({5: 1, 8000: 1, 77: 1}) and of("missing") == Counter({10: 1, 4500: 1}) and of("extra") == Counter({6000: 1, 9500: 1, 5: 1})
+    assert sum(r.status != "extra" for r in out) == 9004 and sum(r.copies for r in out if r.status != "extra") == 9005
+    # offsets follow each other without gaps in the reference's segments
+    own = {}
+    for r in out:
+        if r.status != "extra":
+            own.setdefault(r.segment, []).append(r)
+    for rs in own.values():
+        at = 0
+        for r in sorted(rs, key=lambda r: (r.page_id is not None, r.page_id, r.digest)):
+            assert r.offset == at
+            at += r.bytes * r.copies
+    assert {r.status for r in fixity.audit(a, a.repartition(3)).collect()} == {"ok"}
+    fewer = fixity.audit(a, a.dropDuplicates()).filter("status <> 'ok'").collect()
+    assert [(r.page_id, r.status, r.copies) for r in fewer] == [(3, "missing", 2)]
     assert fixity.audit(a.limit(0), a.limit(0)).count() == 0
+    hot = spark.range(3000).select(F.lit(1).cast("long").alias("page_id"), F.col("id").cast("string").alias("url"), F.lit("x").alias("html"))
+    assert Counter(r.status for r in fixity.audit(hot, hot.filter("url <> '17'")).collect()) == {"ok": 2999, "missing": 1}
+
+
+def test_a_sound_replica_is_read_at_its_root_alone(spark):
+    a = spark.range(5000).select(F.col("id").alias("page_id"), F.lit("u").alias("url"), F.lit("h").alias("html"))
+    rec = fixity.records(a)
+    ours, theirs = fixity.tree(rec, 4), fixity.tree(fixity.records(a), 4)
+    assert fixity.mismatches(ours, [None] * 4 + theirs[4:]) is None  # no other level is touched
+    rot = fixity.tree(fixity.records(a.withColumn("html", F.when(F.col("page_id") == 4321, "x").otherwise(F.col("html")))), 4)
+    assert [r.node for r in fixity.mismatches(ours, rot).collect()] == [4321]
+
+
+def test_warc_files_round_trip(spark, tmp_path):
+    rows = [(i, f"http://h/{i}", f"<p>{i}\r\n\r\nWARC/1.0\r\n\u00e9</p>" * (i % 3)) for i in range(200)]
+    pages = spark.createDataFrame(rows, "page_id long, url string, html string")
+    fixity.write_warc(pages, str(tmp_path / "warc"))
+    got = {(r.record_id, r.url, r.body) for r in fixity.read_warc(spark, str(tmp_path / "warc")).collect()}
+    assert got == {(f"<urn:page:{i}>", u, h) for i, u, h in rows}
 
 
 # --- neighbours --------------------------------------------------------------------------

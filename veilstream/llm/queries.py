@@ -66,43 +66,51 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 OP3_SQL = f"""
 WITH raw AS (
-  SELECT page_id, coalesce(url, '') AS url, coalesce(html, '') AS html,
-         substr(sha256(coalesce(CAST(page_id AS VARCHAR), '')), 1, 2) < '03' AS hit
-  FROM pages
+  SELECT page_id, coalesce(url, '') AS url, coalesce(html, '') AS html, substr(sha256(coalesce(CAST(page_id AS VARCHAR), '')), 1, 2) AS mark FROM pages
 ), rec AS (
   SELECT page_id, 'a' AS side, url, html FROM raw
   UNION ALL
-  SELECT page_id, 'b', url, CASE WHEN hit AND length(html) > 0 THEN '?' || substr(html, 2) ELSE html END FROM raw
+  SELECT page_id, 'b', url, CASE WHEN mark < '03' AND length(html) > 0 THEN '?' || substr(html, 2) ELSE html END FROM raw WHERE mark <> '03'
+  UNION ALL
+  SELECT page_id, 'b', url, 'gained' FROM raw WHERE mark = '04'
 ), bytes AS (
-  SELECT page_id, side, 'WARC/1.0' || chr(13) || chr(10) || 'WARC-Type: response' || chr(13) || chr(10) || 'WARC-Target-URI: ' || url || chr(13) || chr(10)
-         || 'Content-Length: ' || strlen(html) || chr(13) || chr(10) || chr(13) || chr(10) || html || chr(13) || chr(10) || chr(13) || chr(10) AS r
-  FROM rec
+  SELECT page_id, side, 'WARC/1.0' || nl || 'WARC-Type: response' || nl || 'WARC-Record-ID: <urn:page:' || coalesce(CAST(page_id AS VARCHAR), '') || '>' || nl || 'WARC-Date: {fixity.DATE}' || nl
+         || 'WARC-Target-URI: ' || url || nl || 'Content-Type: application/http' || nl || 'Content-Length: ' || strlen(html) || nl || nl || html || nl || nl AS r
+  FROM rec, (SELECT chr(13) || chr(10) AS nl)
 ), once AS (
-  SELECT side, page_id, sha256(r) AS digest, strlen(r) AS bytes, count(*) AS copies FROM bytes GROUP BY ALL
-), pos AS (
-  SELECT *, row_number() OVER (PARTITION BY side ORDER BY page_id NULLS FIRST, digest) - 1 AS pos FROM once
-), leaf AS (
-  SELECT side, page_id, digest, bytes, copies, pos // {fixity.SEGMENT} AS segment, pos % {fixity.SEGMENT} AS leaf,
-         coalesce(sum(bytes * copies) OVER (PARTITION BY side, pos // {fixity.SEGMENT} ORDER BY pos ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS "offset"
-  FROM pos
-), l0 AS (
-  SELECT side, segment, leaf AS node, "offset" AS lo, "offset" + bytes * copies AS hi, sha256('0:' || digest || ':' || copies) AS d FROM leaf
+  SELECT side, page_id, sha256(r) AS digest, strlen(r) AS bytes, count(*) AS copies, page_id // {fixity.SEGMENT} AS segment FROM bytes GROUP BY ALL
+), placed AS (
+  SELECT *, coalesce(sum(bytes * copies) OVER (PARTITION BY side, segment ORDER BY page_id, digest ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0)::BIGINT AS "offset" FROM once
+), hashed AS (
+  SELECT *, sha256(digest || ':' || copies) AS h FROM once WHERE side = 'a'
+), pages0 AS (
+  SELECT o.page_id AS node, o.bytes, sha256('0:' || o.n || ':' || s.p) AS d
+  FROM (SELECT page_id, sum(bytes * copies)::BIGINT AS bytes, count(*) AS n FROM hashed GROUP BY page_id) o
+  JOIN (SELECT page_id, string_agg(p, ':' ORDER BY k) AS p FROM (SELECT page_id, k, sum(('0x' || substr(h, 1 + 15 * k, 15))::HUGEINT)::VARCHAR AS p FROM hashed, (SELECT unnest(range(4)::BIGINT[]) AS k) GROUP BY page_id, k) GROUP BY page_id) s
+    ON s.page_id IS NOT DISTINCT FROM o.page_id
 ), l1 AS (
-  SELECT side, segment, node // {fixity.FANOUT} AS node, min(lo) AS lo, max(hi) AS hi, sha256(min(lo)::BIGINT || ':' || max(hi)::BIGINT || ':' || string_agg(d, ',' ORDER BY l0.node)) AS d FROM l0 GROUP BY side, segment, l0.node // {fixity.FANOUT}
+  SELECT up AS node, sum(bytes)::BIGINT AS bytes, sha256(string_agg(coalesce(node::VARCHAR, '') || '@' || lo || '-' || (lo + bytes) || ':' || d || ',', '' ORDER BY node NULLS FIRST)) AS d
+  FROM (SELECT *, node // {fixity.FANOUT} AS up, coalesce(sum(bytes) OVER (PARTITION BY node // {fixity.FANOUT} ORDER BY node ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0)::BIGINT AS lo FROM pages0) GROUP BY up
 ), l2 AS (
-  SELECT side, segment, node // {fixity.FANOUT} AS node, min(lo) AS lo, max(hi) AS hi, sha256(min(lo)::BIGINT || ':' || max(hi)::BIGINT || ':' || string_agg(d, ',' ORDER BY l1.node)) AS d FROM l1 GROUP BY side, segment, l1.node // {fixity.FANOUT}
+  SELECT up AS node, sum(bytes)::BIGINT AS bytes, sha256(string_agg(coalesce(node::VARCHAR, '') || '@' || lo || '-' || (lo + bytes) || ':' || d || ',', '' ORDER BY node NULLS FIRST)) AS d
+  FROM (SELECT *, node // {fixity.FANOUT} AS up, coalesce(sum(bytes) OVER (PARTITION BY node // {fixity.FANOUT} ORDER BY node ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0)::BIGINT AS lo FROM l1) GROUP BY up
 ), l3 AS (
-  SELECT side, segment, sha256(min(lo)::BIGINT || ':' || max(hi)::BIGINT || ':' || string_agg(d, ',' ORDER BY l2.node)) AS root FROM l2 GROUP BY side, segment
+  SELECT up AS node, sum(bytes)::BIGINT AS bytes, sha256(string_agg(coalesce(node::VARCHAR, '') || '@' || lo || '-' || (lo + bytes) || ':' || d || ',', '' ORDER BY node NULLS FIRST)) AS d
+  FROM (SELECT *, node // {fixity.FANOUT} AS up, coalesce(sum(bytes) OVER (PARTITION BY node // {fixity.FANOUT} ORDER BY node ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0)::BIGINT AS lo FROM l2) GROUP BY up
+), matched AS (
+  SELECT a.page_id AS ap, a.digest AS ad, a.copies AS ac, b.page_id AS bp, b.digest AS bd, b.copies AS bc
+  FROM (SELECT * FROM once WHERE side = 'a') a FULL JOIN (SELECT * FROM once WHERE side = 'b') b ON a.page_id IS NOT DISTINCT FROM b.page_id AND a.digest = b.digest
+), la AS (
+  SELECT ap, ad, row_number() OVER (PARTITION BY ap ORDER BY ad) AS k FROM matched WHERE bd IS NULL
+), lb AS (
+  SELECT bp, bd, row_number() OVER (PARTITION BY bp ORDER BY bd) AS k FROM matched WHERE ad IS NULL
+), status AS (
+  SELECT 'a' AS side, ap AS page_id, ad AS digest, CASE WHEN ac = bc THEN 'ok' WHEN ac > bc THEN 'missing' ELSE 'extra' END AS status FROM matched WHERE ad = bd
+  UNION ALL SELECT 'a', ap, ad, CASE WHEN bd IS NULL THEN 'missing' ELSE 'corrupt' END FROM la LEFT JOIN lb ON ap IS NOT DISTINCT FROM bp AND la.k = lb.k
+  UNION ALL SELECT 'b', bp, bd, 'extra' FROM lb LEFT JOIN la ON ap IS NOT DISTINCT FROM bp AND la.k = lb.k WHERE ad IS NULL
 )
-SELECT coalesce(a.segment, b.segment)::BIGINT AS segment, coalesce(a.leaf, b.leaf)::BIGINT AS leaf,
-       CASE WHEN a.leaf IS NULL THEN b.page_id ELSE a.page_id END AS page_id,
-       (CASE WHEN a.leaf IS NULL THEN b."offset" ELSE a."offset" END)::BIGINT AS "offset",
-       (CASE WHEN a.leaf IS NULL THEN b.bytes ELSE a.bytes END)::BIGINT AS bytes,
-       (CASE WHEN a.leaf IS NULL THEN b.copies ELSE a.copies END)::BIGINT AS copies,
-       l3.root,
-       CASE WHEN b.leaf IS NULL THEN 'missing' WHEN a.leaf IS NULL THEN 'extra' WHEN a.digest <> b.digest OR a.copies <> b.copies THEN 'corrupt' ELSE 'ok' END AS status
-FROM (SELECT * FROM leaf WHERE side = 'a') a FULL JOIN (SELECT * FROM leaf WHERE side = 'b') b ON a.segment = b.segment AND a.leaf = b.leaf
-LEFT JOIN l3 ON l3.side = 'a' AND l3.segment = coalesce(a.segment, b.segment)
+SELECT p.segment, p.page_id, p.digest, p."offset", p.bytes, p.copies, l3.d AS root, s.status
+FROM status s JOIN placed p ON p.side = s.side AND p.page_id IS NOT DISTINCT FROM s.page_id AND p.digest = s.digest LEFT JOIN l3 ON l3.node IS NOT DISTINCT FROM p.segment
 """
 
 OP4_SQL = f"""
