@@ -515,8 +515,9 @@ def test_neighbours_recall_ties_and_odd_vectors(spark):
     rng = np.random.default_rng(9)
     x = rng.normal(size=(1500, 16)).astype(np.float32)
     rows = [(i, v.tolist()) for i, v in enumerate(x)] + [(2000 + i, x[50].tolist()) for i in range(40)]
-    rows += [(5000, None), (5001, []), (5002, [0.0] * 16), (5003, [float("nan")] * 16), (None, x[0].tolist()), (5004, [1.0]), (3000, x[7].tolist()), (3000, x[7].tolist())]
-    df = spark.createDataFrame(rows, "vec_id long, embedding array<float>")
+    rows += [(5000, None), (5001, []), (5002, [0.0] * 16), (5003, [float("nan")] * 16), (None, x[0].tolist()), (3000, x[7].tolist()), (3000, x[7].tolist())]
+    other = [(6000, [1.0, 0.0]), (6001, [1.0, 0.1]), (6002, [0.0, 1.0])]  # vectors of another length meet each other
+    df = spark.createDataFrame(rows + other, "vec_id long, embedding array<float>")
     got = {}
     for r in ann.nearest(df, "vec_id", "embedding", lambda c: c % 50 == 0, shard=400).collect():
         got.setdefault(r.query_id, {})[r["rank"]] = (r.id, r.score)
@@ -526,6 +527,7 @@ def test_neighbours_recall_ties_and_odd_vectors(spark):
     m /= np.linalg.norm(m, axis=1, keepdims=True)
     hit = 0
     queries = [i for i in ids.tolist() if i % 50 == 0]
+    assert {k: v[0] for k, v in got.pop(6000).items()} == {1: 6001, 2: 6002}
     assert set(got) == set(queries)
     for q in queries:
         s = m @ m[np.searchsorted(ids, q)]
@@ -536,6 +538,23 @@ def test_neighbours_recall_ties_and_odd_vectors(spark):
     assert ann.nearest(df.limit(0), "vec_id", "embedding", lambda c: c % 50 == 0).count() == 0
 
 
+def test_an_id_with_several_vectors_is_found_once(spark):
+    rng = np.random.default_rng(12)
+    x = rng.normal(size=(300, 8))
+    rows = [(i, v.tolist()) for i, v in enumerate(x)] + [(7, (x[0] * 2 + 0.01).tolist()), (7, (x[0] + 0.02).tolist()), (50, x[100].tolist())]
+    got = {}
+    for r in ann.nearest(spark.createDataFrame(rows, "i long, v array<double>"), "i", "v", lambda c: c % 50 == 0).collect():
+        got.setdefault(r.query_id, []).append((r["rank"], r.id, r.score))
+    vec = {}
+    for i, v in rows:
+        vec.setdefault(i, []).append(np.array(v) / np.linalg.norm(v))
+    for q, found in got.items():
+        want = sorted(((-max(float(a @ b) for a in vec[q] for b in vec[i]), i) for i in vec if i != q))[:5]
+        assert [i for _, i, _ in sorted(found)] == [i for _, i in want]
+        assert np.allclose([s for *_, s in sorted(found)], [-s for s, _ in want])
+    assert got[0][0][1] == 7 and len(got) == 6
+
+
 # --- queries and the pipeline ------------------------------------------------------------
 
 

@@ -4,16 +4,17 @@ Distinct vectors are dealt to shards of bounded size by hash. A shard's graph is
 one task: points enter in batches, greedy searches from the medoid propose neighbours, and
 relaxed distance pruning keeps an edge only if no kept neighbour is nearer to its end by
 the factor ALPHA, so edges stay diverse; reverse edges are pruned alike. A second pass
-over all points refines the graph. Each shard becomes one row of packed arrays. Query
-vectors are packed in blocks, every block meets every shard, a beam search collects
-candidates, and the best of all shards are kept. Scores are cosines of the original
-vectors in double precision; unit vectors and squared distances serve inside the graph.
+over all points refines the graph. The query vectors are sent to every shard behind its points, so the
+task that has just built a graph searches it, a beam search a block of queries, and forgets it:
+graphs are never written or shuffled, and a task holds one at a time. The best of all shards are kept. Scores are
+cosines of the original vectors in double precision; unit vectors and squared distances serve inside the graph.
 
 Equal vectors are one point of the graph that stands for its smallest `k + 1` ids (a query
 may be one of them), so thousands of copies neither fill an adjacency list nor lose their
-tie order. Defined results: vectors that are null, empty, zero, of another length than
-the most common or with null or non-finite components take no part; null ids neither; repeated ids with one vector
-count once; with fewer candidates than k all are returned; an empty table gives no rows.
+tie order. Defined results: vectors that are null, empty, zero or
+with null or non-finite components take no part; null ids neither; vectors meet those of their own
+length; an id with several vectors is asked for with all of them and found by the nearest, once;
+with fewer candidates than k all are returned; an empty table gives no rows.
 """
 
 from __future__ import annotations
@@ -23,13 +24,15 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import materialize, partitions_for
+from .common import materialize, partitions_for, small
 
-SHARD = 8192
+#: Points of a shard: at least, and at most (a shard is held by one task); between them all are in SHARDS shards.
+SHARD, MOST, SHARDS = 4096, 65_536, 32
 DEGREE = 32
 BEAM = 64
 ALPHA = 1.2
-BLOCK = 512
+#: Queries searched together.
+BLOCK = 128
 
 
 def pairwise(x: np.ndarray, y: np.ndarray) -> np.ndarray:
@@ -138,80 +141,101 @@ def usable(vectors: DataFrame, id_col: str, vec_col: str) -> DataFrame:
     return rows.filter(fine)
 
 
-def nearest(vectors: DataFrame, id_col: str, vec_col: str, is_query, k: int = 5, beam: int = BEAM, shard: int = SHARD) -> DataFrame:
+class Shard:
+    """The points of one shard as they come, and their graph once it is asked for."""
+
+    def __init__(self, make, k: int):
+        self.make, self.k = make, k
+        self.vectors: list[np.ndarray] = []
+        self.ids: list[list[int]] = []
+        self.graph = None
+
+    def add(self, vectors: np.ndarray, ids: list[list[int]]) -> None:
+        self.vectors.append(vectors)
+        self.ids += ids
+
+    @staticmethod
+    def unit(x: np.ndarray) -> np.ndarray:
+        x = x / np.abs(x).max(axis=1, keepdims=True)
+        return x / np.linalg.norm(x, axis=1, keepdims=True)
+
+    def nearest(self, q: np.ndarray, query_ids: list[int], beam: int) -> list[tuple[int, int, float]]:
+        """(query id, id, cosine) of the k best ids of each query vector; none of a query's own."""
+        if not self.vectors:
+            return []
+        if self.graph is None:
+            self.raw = np.concatenate(self.vectors)
+            order = sorted(range(len(self.ids)), key=lambda i: self.ids[i][0])  # the graph depends on the points, not on their order
+            self.raw, self.ids = self.raw[order], [self.ids[i] for i in order]
+            self.graph = self.make(self.unit(self.raw)).build()
+            self.norm = np.linalg.norm(self.raw, axis=1)
+        found, _ = self.graph.search(self.unit(q), beam)
+        norms, out = np.linalg.norm(q, axis=1), []
+        for j, near in enumerate(found):
+            near = near[near >= 0]
+            score = (self.raw[near] @ q[j]) / (self.norm[near] * norms[j])
+            best: dict[int, float] = {}
+            for o in np.argsort(-score, kind="stable").tolist():
+                if len(best) > self.k and score[o] < min(best.values()):
+                    break
+                for v in self.ids[near[o]]:
+                    if v != query_ids[j]:
+                        best.setdefault(v, float(score[o]))
+            out += [(query_ids[j], v, s) for v, s in sorted(best.items(), key=lambda r: (-r[1], r[0]))[: self.k]]
+        return out
+
+
+def nearest(vectors: DataFrame, id_col: str, vec_col: str, is_query, k: int = 5, beam: int = BEAM, shard: int | None = None) -> DataFrame:
     """query_id, rank, id, score: the k nearest found of each row for which is_query(id column) holds."""
     spark = vectors.sparkSession
-    rows = usable(vectors, id_col, vec_col)
-    sizes = rows.groupBy(F.size("v").alias("n")).agg(F.count(F.lit(1)).alias("c")).orderBy(F.desc("c"), "n").first()
-    dim = sizes["n"] if sizes else 1
-    rows = rows.filter(F.size("v") == dim).distinct()
+    rows = usable(vectors, id_col, vec_col).distinct()
     # a point a distinct vector, standing for its smallest k + 1 ids
     ranked = rows.withColumn("r", F.row_number().over(Window.partitionBy("v").orderBy("id"))).filter(F.col("r") <= k + 1)
     points = materialize(ranked.groupBy("v").agg(F.array_sort(F.collect_list("id")).alias("ids")), "ann-points")  # at most k + 1
-    count = points.count()
-    shards = max(1, -(-count // shard))
-    width = k + 1
-
-    def pack(batches):
-        held: dict[int, list] = {}
-        for b in batches:
-            for s, v, ids in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), b.column(2).to_pylist()):
-                held.setdefault(s, []).append((v, ids))
-        for s in sorted(held):
-            got = sorted(held.pop(s), key=lambda r: r[1][0])
-            raw = np.asarray([v for v, _ in got], np.float64)
-            ids = np.full((len(got), width), -1, np.int64)
-            many = np.zeros(len(got), np.int64)
-            for i, (_, own) in enumerate(got):
-                ids[i, : len(own)], many[i] = own, len(own)
-            unit = raw / np.linalg.norm(raw / np.abs(raw).max(axis=1, keepdims=True), axis=1, keepdims=True) / np.abs(raw).max(axis=1, keepdims=True)
-            g = graph(unit).build()
-            yield pa.RecordBatch.from_arrays([pa.array([s], pa.int32()), pa.array([g.start], pa.int32()), pa.array([raw.tobytes()], pa.binary()), pa.array([g.edges.tobytes()], pa.binary()), pa.array([ids.tobytes()], pa.binary()), pa.array([many.tobytes()], pa.binary())], ["shard", "start", "raw", "edges", "ids", "many"])
-
-    graph = PrunedGraph
-    dealt = points.select(F.pmod(F.xxhash64("v"), F.lit(shards)).cast("int").alias("shard"), "v", "ids").repartition(min(shards, max(partitions_for(spark), 1)), "shard")
-    graphs = materialize(dealt.mapInArrow(pack, "shard int, start int, raw binary, edges binary, ids binary, many binary"), "ann-graphs")
-
-    queries = rows.filter(is_query(F.col("id"))).groupBy("id").agg(F.max("v").alias("v"))
-
-    def block(batches):
-        for b in batches:
-            ids, vs = b.column(0).to_pylist(), b.column(1).to_pylist()
-            for s in range(0, len(ids), BLOCK):
-                yield pa.RecordBatch.from_arrays([pa.array([np.asarray(ids[s : s + BLOCK], np.int64).tobytes()], pa.binary()), pa.array([np.asarray(vs[s : s + BLOCK], np.float64).tobytes()], pa.binary())], ["qid", "q"])
-
-    blocks = queries.mapInArrow(block, "qid binary, q binary").select("qid", "q", F.explode(F.sequence(F.lit(0), F.lit(shards - 1))).alias("shard"))
+    counts = points.groupBy(F.size("v").alias("dim")).agg(F.count(F.lit(1)).alias("n"))
+    size = F.lit(shard) if shard else F.least(F.lit(MOST), F.greatest(F.lit(SHARD), F.ceil(F.col("n") / SHARDS)))
+    dims = materialize(counts.withColumn("shards", F.ceil(F.col("n") / size).cast("int")), "ann-dims")
+    total = int(dims.agg(F.sum("shards")).first()[0] or 1)
+    of_dim = small(dims.select("dim", "shards"))
+    key = lambda s: F.shiftleft(F.col("dim").cast("long"), 32) + s
+    dealt = points.withColumn("dim", F.size("v")).join(of_dim, "dim").select(key(F.pmod(F.xxhash64("v"), F.col("shards"))).alias("shard"), F.lit(0).alias("kind"), "v", "ids")
+    asked = rows.filter(is_query(F.col("id"))).withColumn("dim", F.size("v")).join(of_dim, "dim")
+    asked = asked.withColumn("s", F.explode(F.sequence(F.lit(0), F.col("shards") - 1))).select(key(F.col("s")).alias("shard"), F.lit(1).alias("kind"), "v", F.array("id").alias("ids"))
+    # points first, then queries; two partitions a shard, so that few tasks get several
+    sent = dealt.unionByName(asked).repartition(max(partitions_for(spark), 2 * total), "shard").sortWithinPartitions("shard", "kind")
+    make, part_of, width = PrunedGraph, Shard, BLOCK
+
+    def run(batches):
+        now, here, held, names = None, None, [], []
+
+        def search():
+            out = here.nearest(np.concatenate(held), names, beam) if held else []
+            cols = list(zip(*out)) or [()] * 3
+            return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, (pa.int64(), pa.int64(), pa.float64()))], ["query_id", "id", "score"])
 
-    def find(batches):
         for b in batches:
-            for i in range(b.num_rows):
-                start, raw, edges, ids, many, qid, q = (b.column(c)[i].as_py() for c in range(7))
-                raw = np.frombuffer(raw, np.float64).reshape(-1, dim)
-                top = np.abs(raw).max(axis=1, keepdims=True)
-                g = graph(raw / top / np.linalg.norm(raw / top, axis=1, keepdims=True))
-                g.edges, g.start = np.frombuffer(edges, np.int32).reshape(len(raw), -1), start
-                ids, many = np.frombuffer(ids, np.int64).reshape(-1, width), np.frombuffer(many, np.int64)
-                qid, q = np.frombuffer(qid, np.int64), np.frombuffer(q, np.float64).reshape(-1, dim)
-                qt = np.abs(q).max(axis=1, keepdims=True)
-                qn = np.linalg.norm(q, axis=1)
-                norm = np.linalg.norm(raw, axis=1)
-                for s in range(0, len(q), 128):
-                    found, _ = g.search((q[s : s + 128] / qt[s : s + 128]) / np.linalg.norm(q[s : s + 128] / qt[s : s + 128], axis=1, keepdims=True), beam)
-                    out: list[list] = [[], [], []]
-                    for j, near in enumerate(found):
-                        near = near[near >= 0]
-                        score = (raw[near] @ q[s + j]) / (norm[near] * qn[s + j])
-                        order = np.argsort(-score, kind="stable")[: 4 * width]
-                        rows_ = [(float(score[o]), int(v)) for o in order for v in ids[near[o], : many[near[o]]] if v != qid[s + j]]
-                        rows_.sort(key=lambda r: (-r[0], r[1]))
-                        for sc, v in rows_[:k]:
-                            out[0].append(int(qid[s + j]))
-                            out[1].append(v)
-                            out[2].append(sc)
-                    yield pa.RecordBatch.from_arrays([pa.array(out[0], pa.int64()), pa.array(out[1], pa.int64()), pa.array(out[2], pa.float64())], ["query_id", "id", "score"])
-
-    met = graphs.hint("shuffle_hash").join(blocks, "shard").select("start", "raw", "edges", "ids", "many", "qid", "q")
-    met = met.repartition(max(partitions_for(spark), 1))
-    found = met.mapInArrow(find, "query_id long, id long, score double")
+            if not b.num_rows:
+                continue
+            shards, kinds = (b.column(c).to_numpy(zero_copy_only=False) for c in (0, 1))
+            cuts = np.flatnonzero(np.r_[True, (shards[1:] != shards[:-1]) | (kinds[1:] != kinds[:-1])]).tolist()
+            for s, e in zip(cuts, [*cuts[1:], b.num_rows]):
+                if shards[s] != now:
+                    yield search()
+                    now, here, held, names = shards[s], part_of(make, k), [], []
+                for at in range(s, e, width):
+                    part = b.slice(at, min(width, e - at))
+                    v = part.column(2).flatten().to_numpy(zero_copy_only=False).reshape(part.num_rows, -1)
+                    ids = part.column(3).to_pylist()
+                    if not kinds[s]:
+                        here.add(v, ids)
+                        continue
+                    held.append(v)
+                    names += [x[0] for x in ids]
+                    if len(names) >= width:
+                        yield search()
+                        held, names = [], []
+        yield search()
+
+    found = sent.mapInArrow(run, "query_id long, id long, score double").groupBy("query_id", "id").agg(F.max("score").alias("score"))
     rank = F.row_number().over(Window.partitionBy("query_id").orderBy(F.desc("score"), "id"))
     return found.withColumn("rank", rank).filter(F.col("rank") <= k).select("query_id", "rank", "id", "score")
