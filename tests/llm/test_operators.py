@@ -307,13 +307,67 @@ def test_decontamination_decides_by_the_rule():
         want = max((int(x[i:j].sum()) for i in range(len(x)) for j in range(i + 1, len(x) + 1) if 5 * x[i:j].sum() >= 4 * (j - i)), default=0)
         i, j, n = decontam.best_stretch(x)
         assert n == want == x[i:j].sum() and 5 * n >= 4 * (j - i)
+    hash_ = decontam.TokenHasher().hashes
     for size, most in ((14, 1), (15, 2), (16, 3)):
-        item = [f"w{i}" for i in range(size)]
-        index = decontam.Index([(1, " ".join(item))])
+        item = hash_(" ".join(f"w{i}" for i in range(size)))
+        seeds = np.concatenate([decontam.seed_hashes(item, *m) for m in decontam.masks([])])
         for k in range(most + 1):
             for gone in combinations(range(size), k):
-                text = " ".join(["x"] * 20 + ["y" if i in gone else w for i, w in enumerate(item)] + ["z"] * 20)
-                assert [r[4] for r in index.overlaps(decontam.TokenHasher().hashes(text))] == [size - k], gone
+                t = item.copy()
+                t[list(gone)] = 7
+                own = np.concatenate([decontam.seed_hashes(t, *m) for m in decontam.masks([])])
+                assert (own == seeds).any(), gone  # some seed is left at its place
+                assert decontam.best_overlap(t, item, 0)[3] == size - k
+
+
+def plain_leaks(docs, items):
+    """(doc_id, item_id) -> matches of the best stretch over all diagonals, by brute force."""
+    h, out = decontam.TokenHasher(), {}
+    for d, text in docs:
+        t = h.hashes(text)
+        for i, passage in items:
+            item = h.hashes(passage)
+            for diagonal in range(-len(item) + 1, len(t)) if len(item) else ():
+                a, b = max(0, diagonal), min(len(t), diagonal + len(item))
+                same = t[a:b] == item[a - diagonal : b - diagonal]
+                need = min(13, len(item))
+                if same.sum() < need:
+                    continue
+                n = decontam.best_stretch(same)[2]
+                if n >= need:
+                    out[(d, i)] = max(n, out.get((d, i), 0))
+    return out
+
+
+def test_leaks_equal_a_search_of_all_diagonals(spark, monkeypatch):
+    rng = random.Random(13)
+    word = lambda: "".join(rng.choices("abcdefgh", k=4))
+    items = [(i, " ".join(word() for _ in range(rng.choice((3, 8, 12, 15, 20, 30, 60))))) for i in range(40)] + [(40, "again and again " * 20), (7, "a second text under a used id, twelve tokens long at the least")]
+    docs = []
+    for d in range(400):
+        w = [word() for _ in range(rng.randint(0, 40))]
+        if d % 3:
+            part = rng.choice(items)[1].split()
+            a = rng.randrange(len(part))
+            part = part[a : a + rng.randint(1, len(part))]
+            for _ in range(rng.randint(0, 4)):
+                part[rng.randrange(len(part))] = "zz" + word()
+            w[len(w) // 2 : len(w) // 2] = part
+        docs.append((d, " ".join(w)))
+    docs += [(2000, "again and again " * 50), (2001, None), (2002, "")]
+    frame_, bench = spark.createDataFrame(docs, "doc_id long, text string"), spark.createDataFrame(items, "item_id long, text string")
+    want = plain_leaks(docs, items)
+    assert len(want) > 40
+    for bits in (27, 8):  # a filter that lets nearly all windows through gives the same rows
+        monkeypatch.setattr(decontam, "MOST_BITS", bits)
+        assert {(r.doc_id, r.item_id): r.matches for r in decontam.find_leaks(frame_, bench).collect()} == want
+
+
+def test_decontamination_judges_rows_that_share_an_id_by_their_text(spark):
+    passage = " ".join(f"w{i}" for i in range(20))
+    df = spark.createDataFrame([(1, passage), (1, "clean text"), (None, passage), (None, "clean too")], "doc_id long, text string")
+    out = decontam.decontaminate(df, spark.createDataFrame([(5, passage)], "item_id long, text string")).collect()
+    assert sorted(r.text for r in out) == ["clean text", "clean too"]
 
 
 def test_pseudonyms_are_valid_linked_and_invertible(spark, odd, none):
