@@ -253,7 +253,7 @@ def test_edit_links_equal_brute_force(spark):
     rows = [(i, x) for i, x in enumerate(sorted(lines))]
     df = spark.createDataFrame(rows, "doc_id long, text string")
     got = {(r["first"].doc_id, r.later.doc_id) for r in line_dedup.edit_links(df, line_dedup.line_keys(df)).collect()}
-    l = spark.createDataFrame([r for r in rows if len(r[1]) >= 20], "i long, x string")
+    l = spark.createDataFrame([r for r in rows if len(r[1]) >= line_dedup.MIN_CHARS], "i long, x string")
     r = l.select(F.col("i").alias("j"), F.col("x").alias("y"))
     want = l.join(r, F.expr("i < j and levenshtein(x, y) <= if(least(length(x), length(y)) >= 40, 2, 1)")).select("i", "j").collect()
     assert got == {(r.i, r.j) for r in want} and got
@@ -265,6 +265,26 @@ def test_edit_links_reach_lines_that_differ_by_a_dotted_capital_i(spark):
     assert line_dedup.edit_links(df, line_dedup.line_keys(df)).count() == 1
 
 
+def test_crowded_segments_lose_no_link(spark, monkeypatch):
+    rng = random.Random(14)
+    head, tail = "".join(rng.choices("abcdef", k=30)), "".join(rng.choices("abcdef", k=30))
+    lines = sorted({head + "".join(rng.choices("0123456789", k=4)) + tail for _ in range(300)})
+    df = spark.createDataFrame(list(enumerate(lines)), "doc_id long, text string")
+    want = {(i, j) for i in range(len(lines)) for j in range(i + 1, len(lines)) if sum(a != b for a, b in zip(lines[i], lines[j])) <= 2}
+
+    def links(crowd):
+        monkeypatch.setattr(line_dedup, "CROWD", crowd)
+        return {(r["first"].doc_id, r.later.doc_id) for r in line_dedup.edit_links(df, line_dedup.line_keys(df)).collect()}
+
+    got = links(16)
+    assert got == links(10_000) and got >= want
+
+
+def test_short_copies_go_and_blank_lines_stay(spark):
+    df = spark.createDataFrame([(1, "one\n\nsame\n \t\nend\r"), (2, "two\n\nsame\n \t\n\r")], "doc_id long, text string")
+    assert {r.doc_id: r.text for r in line_dedup.dedup_lines(df).collect()} == {1: "one\n\nsame\n \t\nend\r", 2: "two\n\n \t\n\r"}
+
+
 def test_line_dedup_edges(odd, none):
     rep = line_dedup.line_report(odd).collect()
     assert len(rep) == len(ODD)
@@ -648,6 +668,25 @@ def test_pipeline_stages_on_planted_cases(spark, docs):
     assert corpus_pipeline.run(spark, sf).count() == len(packed)
 
 
+CLASHES = "score rejected lang_pred pii d t h th lost old new text_ leaks component first sid sketch _d _t _h _th _gone _bad _text _new _first _top".split()
+
+
+def test_extra_columns_of_any_name_are_kept(spark, docs):
+    import corpus_pipeline
+
+    base = docs.limit(40)
+    wide = base.select("*", *[F.concat_ws("-", F.lit(c), "doc_id").alias(c) for c in CLASHES])
+    for name, stage in corpus_pipeline.STAGES[:-1]:
+        out = stage(spark, wide, "/root/testdata/sf0.001")
+        assert out.columns == wide.columns, name
+        rows = out.collect()
+        assert rows and all(r[c] == f"{c}-{r.doc_id}" for r in rows for c in CLASHES), name
+        assert {(r.doc_id, r.text) for r in rows} == {(r.doc_id, r.text) for r in stage(spark, base, "/root/testdata/sf0.001").collect()}, name
+    out = pii.pseudonymize(wide)
+    assert out.columns[:-1] == wide.columns and all(r[c] == f"{c}-{r.doc_id}" for r in out.collect() for c in CLASHES)
+    assert packing.pack_documents(wide, tokenizer_path()).count() == packing.pack_documents(base, tokenizer_path()).count()
+
+
 def test_pipeline_stages_take_odd_and_empty_tables(spark, odd, none):
     import corpus_pipeline
 

@@ -1,7 +1,7 @@
 """Line dedup by a segment-partition edit join, in DataFrame functions only.
 
-Lines of MIN_CHARS characters or more are judged (shorter ones repeat by chance). A line
-goes if an earlier line, in (doc_id, line_no) order, is the same or lies within the edit
+Every line that is not blank is judged. It goes if an earlier line, in (doc_id, line_no) order, is the
+same or, from MIN_CHARS characters on (shorter ones are alike by chance), lies within the edit
 threshold: 1 edit up to LONG - 1 characters (of the shorter line), 2 from LONG on.
 
 Of two lines within k edits, one of the k + 1 segments of the shorter occurs unchanged in
@@ -11,11 +11,12 @@ segments of lines 0 to k characters shorter may occur (for its own length these
 its segments): 12 for a long line. A first pass keeps, with two fixed-size aggregates a
 hash, the hashes that different lines share; only rows with those are joined. Pairs whose
 letter counts differ too much are refused inside the join; the others are verified by the
-banded bit-parallel edit distance. Exact copies collapse before anything is joined.
+banded bit-parallel edit distance. Exact copies collapse before anything is joined. A segment that very many
+different lines share is split by salt: one side of its pairs is dealt out, the other goes to every part.
 
 Defined results: null texts have no lines and stay as they are; empty texts stay; a text
 all of whose lines go is dropped by `dedup_lines`; rows equal in doc_id and text count as
-one document; null doc_ids sort first; extra columns are kept by `dedup_lines`.
+one document; null doc_ids sort first; extra columns are kept by `dedup_lines`, whatever their names.
 """
 
 from __future__ import annotations
@@ -23,9 +24,13 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialize, small
+from .common import materialize, small, unused
 
 MIN_CHARS = 20
+#: What a blank line consists of.
+BLANK = " \t\r\f\x0b"
+#: Different lines with one segment that a task compares with each other.
+CROWD = 256
 LONG = 40
 MOST = 2
 
@@ -33,7 +38,7 @@ MOST = 2
 def lines_of(docs: DataFrame) -> DataFrame:
     """doc_id, th (hash of the text), line_no, line, n (characters), k1, k2 (two independent hashes) of every judged line."""
     split = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64("text").alias("th"), F.posexplode(F.split("text", "\n")).alias("line_no", "line"))
-    split = split.withColumn("n", F.length("line")).filter(F.col("n") >= MIN_CHARS)
+    split = split.filter(F.length(F.btrim("line", F.lit(BLANK))) > 0).withColumn("n", F.length("line"))
     return split.select("doc_id", "th", "line_no", "line", "n", F.xxhash64("line").alias("k1"), F.xxhash64(F.lit(1), "line").alias("k2"))
 
 
@@ -149,11 +154,16 @@ def edit_links(docs: DataFrame, keys: DataFrame) -> DataFrame:
     once = met.join(texts, ["k1", "k2"])
     cand = once.select("sig", "k1", "k2", F.struct("f.doc_id", "f.th", "f.line_no").alias("at"), F.col("f.line").alias("line"), F.length("f.line").alias("n"), letter_counts(F.col("f.line")).alias("letters"))
     cand = materialize(cand, "edit-candidates")
-    a = cand.select(*[F.col(c).alias(f"a_{c}") for c in cand.columns])
-    b = cand.select(*[F.col(c).alias(f"b_{c}") for c in cand.columns])
+    a, b = cand.withColumn("part", F.lit(0)), cand.withColumn("part", F.lit(0))
+    crowded = materialize(met.groupBy("sig").agg(F.ceil(F.count(F.lit(1)) / CROWD).cast("int").alias("parts")).filter("parts > 1"), "crowded-segments")
+    if not crowded.isEmpty():
+        parted = cand.join(small(crowded), "sig", "left").withColumn("parts", F.coalesce("parts", F.lit(1)))
+        a = parted.withColumn("part", F.pmod("k2", F.col("parts")).cast("int")).drop("parts")
+        b = parted.withColumn("part", F.explode(F.sequence(F.lit(0), F.col("parts") - 1))).drop("parts")
+    a, b = (x.select(*[F.col(c).alias(f"{side}_{c}") for c in a.columns]) for side, x in (("a", a), ("b", b)))
     most = allowed(F.least("a_n", "b_n"))
     ordered = (F.col("a_n") < F.col("b_n")) | ((F.col("a_n") == F.col("b_n")) & (F.col("a_line") < F.col("b_line")))
-    near = (F.col("a_sig") == F.col("b_sig")) & ordered & (F.col("b_n") - F.col("a_n") <= most) & ~far_apart(F.col("a_letters"), F.col("b_letters"), most)
+    near = (F.col("a_sig") == F.col("b_sig")) & (F.col("a_part") == F.col("b_part")) & ordered & (F.col("b_n") - F.col("a_n") <= most) & ~far_apart(F.col("a_letters"), F.col("b_letters"), most)
     pairs = a.join(b, near).select("a_k1", "a_k2", "b_k1", "b_k2", "a_at", "b_at", "a_line", "b_line", "a_n").dropDuplicates(["a_k1", "a_k2", "b_k1", "b_k2"])
     two, one = banded_distance(F.col("a_line"), F.col("b_line"), 2), banded_distance(F.col("a_line"), F.col("b_line"), 1)
     pairs = pairs.filter(F.when(F.col("a_n") >= LONG, two <= 2).otherwise(one <= 1))
@@ -190,7 +200,7 @@ def line_report(docs: DataFrame) -> DataFrame:
         F.sum("links").alias("n_links"),
     )
     lines = F.split("text", "\n")
-    own = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64("text").alias("th"), F.coalesce(F.size(lines), F.lit(0)).cast("long").alias("n_lines"), F.coalesce(F.size(F.filter(lines, lambda x: F.length(x) >= MIN_CHARS)), F.lit(0)).cast("long").alias("n_judged"))
+    own = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64("text").alias("th"), F.coalesce(F.size(lines), F.lit(0)).cast("long").alias("n_lines"), F.coalesce(F.size(F.filter(lines, lambda x: F.length(F.btrim(x, F.lit(BLANK))) > 0)), F.lit(0)).cast("long").alias("n_judged"))
     own = own.withColumn("n_lines", F.greatest("n_lines", F.lit(0))).withColumn("n_judged", F.greatest("n_judged", F.lit(0)))
     f = found.select(F.col("doc_id").alias("_d"), F.col("th").alias("_t"), "n_exact", "n_near", "n_links")
     zero = lambda c: F.coalesce(c, F.lit(0)).cast("long").alias(c)
@@ -200,10 +210,11 @@ def line_report(docs: DataFrame) -> DataFrame:
 
 def dedup_lines(docs: DataFrame) -> DataFrame:
     """docs with the text of each rebuilt from the lines that stay; texts of which none stays go."""
-    drop = repeats(docs).filter("exact or near").groupBy("doc_id", "th").agg(F.collect_set("line_no").alias("_gone"))  # at most a document's lines
-    drop = small(materialize(drop.select(F.col("doc_id").alias("_d"), F.col("th").alias("_t"), "_gone"), "lines-gone"))
-    joined = docs.withColumn("_h", F.xxhash64("text")).join(drop, F.col("doc_id").cast("long").eqNullSafe(F.col("_d")) & (F.col("_h") == F.col("_t")), "left")
-    left = F.filter(F.split("text", "\n"), lambda x, i: ~F.array_contains("_gone", i))
-    text = F.when(F.col("_gone").isNull(), F.col("text")).otherwise(F.array_join(left, "\n"))
-    gone = F.col("_gone").isNotNull() & (F.trim(text) == "")
-    return joined.withColumn("text", F.when(gone, F.lit(None)).otherwise(text)).filter(F.col("_gone").isNull() | F.col("text").isNotNull()).select(*docs.columns)
+    d, t, h, lost = unused(docs, "d", "t", "h", "lost")
+    drop = repeats(docs).filter("exact or near").groupBy("doc_id", "th").agg(F.collect_set("line_no").alias(lost))  # at most a document's lines
+    drop = small(materialize(drop.select(F.col("doc_id").alias(d), F.col("th").alias(t), lost), "lines-gone"))
+    joined = docs.withColumn(h, F.xxhash64("text")).join(drop, F.col("doc_id").cast("long").eqNullSafe(F.col(d)) & (F.col(h) == F.col(t)), "left")
+    left = F.filter(F.split("text", "\n"), lambda x, i: ~F.array_contains(lost, i))
+    text = F.when(F.col(lost).isNull(), F.col("text")).otherwise(F.array_join(left, "\n"))
+    kept = joined.withColumn("text", text).filter(F.col(lost).isNull() | (F.length(F.btrim("text", F.lit(BLANK + "\n"))) > 0))
+    return kept.select(*docs.columns)

@@ -119,9 +119,9 @@ WITH split AS (
 ), lines AS (
   SELECT doc_id, unnest(range(len(ls))) AS line_no, unnest(ls) AS line FROM split WHERE ls IS NOT NULL
 ), judged AS (
-  SELECT *, min({{'d': doc_id, 'l': line_no}}) OVER (PARTITION BY line) AS first FROM lines WHERE length(line) >= {line_dedup.MIN_CHARS}
+  SELECT *, min({{'d': doc_id, 'l': line_no}}) OVER (PARTITION BY line) AS first FROM lines WHERE length(trim(line, ' ' || chr(9) || chr(13) || chr(12) || chr(11))) > 0
 ), distinct_lines AS (
-  SELECT line, first, length(line) AS n FROM judged GROUP BY ALL
+  SELECT line, first, length(line) AS n FROM judged WHERE length(line) >= {line_dedup.MIN_CHARS} GROUP BY ALL
 ), pairs AS (
   SELECT a.line AS x, b.line AS y, a.first AS fx, b.first AS fy
   FROM distinct_lines a JOIN (SELECT *, unnest([n - 2, n - 1, n]) AS m FROM distinct_lines) b ON a.n = b.m AND (a.n < b.n OR a.line < b.line)
