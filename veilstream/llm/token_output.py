@@ -6,9 +6,11 @@ its ranks (1 to 4 each, least significant first) and, apart from them, control b
 hold four 2-bit lengths each. Decoding looks each control byte up in a 256 x 4 table of
 lengths and gathers the data with numpy.
 
-File format: a folder with `ranks` (Parquet: rank, id, n) and `docs` (Parquet, one row a
-document in ascending doc_id order within and across parts: part, doc_id, start, n_tokens,
-control, data). Parquet is the container, so a job that loses executors commits whole
+File format: a folder with `ranks` (Parquet: rank, id, n), `docs` (Parquet, one row a
+document in ascending doc_id order within a file and from file to file: part, doc_id, before, n_tokens,
+control, data) and `parts` (Parquet: part, base), where a document starts at its part's base plus `before`.
+Parts are ranges of (doc_id, checksum) of about PART_BYTES, so their number follows the table and an id that very many rows
+share spreads over several. Parquet is the container, so a job that loses executors commits whole
 files or none and any store that Spark reaches will do.
 
 Defined results: a null text is empty (its end id only); repeated doc_ids keep a row each,
@@ -22,7 +24,7 @@ import zlib
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .common import materialize, partitions_for, shared_path
@@ -30,6 +32,9 @@ from .words import end_of_task, word_encoder
 
 #: Words that a worker keeps: more than elsewhere, as this job's memory holds little else.
 CACHED_WORDS = 1_600_000
+DOCS = "part int, doc_id long, before long, n_tokens long, control binary, data binary"
+#: Bytes of ids in a part of the output.
+PART_BYTES = 48 << 20
 #: lengths of the four values that a control byte describes
 LENGTHS = ((np.arange(256)[:, None] >> np.array([0, 2, 4, 6])) & 3).astype(np.int64) + 1
 
@@ -66,25 +71,16 @@ def decode_ranks(control: bytes, data: bytes, n: int) -> np.ndarray:
     return out
 
 
-def split_points(docs: DataFrame, parts: int) -> list[int]:
-    """doc_ids that cut the table into about equal ranges of rows."""
-    if parts < 2:
-        return []
-    q = docs.select(F.percentile_approx("doc_id", F.lit([i / parts for i in range(1, parts)]), 10_000)).first()[0]
-    return sorted(set(q or []))
+def tokenize(docs: DataFrame, tokenizer: str, end_id: int | None) -> DataFrame:
+    """doc_id, n_tokens, tie (checksum of the ids), wide, ids (little-endian 16- or 32-bit, see wide) of every whole text.
 
-
-def tokenize(docs: DataFrame, tokenizer: str, end_id: int | None, cuts: list[int]) -> DataFrame:
-    """part, doc_id, n_tokens, ids (little-endian 16- or 32-bit, see wide) of every whole text.
-
-    The last row of a task has part -1 and, in hist, how often the task met each id.
+    The last row of a task has no n_tokens and, in hist, how often the task met each id.
     """
-    bounds = np.asarray(cuts, dtype=np.int64)
-    kinds = (pa.int32(), pa.int64(), pa.int64(), pa.bool_(), pa.binary(), pa.binary())
-    add = add_counts
+    kinds = (pa.int64(), pa.int64(), pa.int64(), pa.bool_(), pa.binary(), pa.binary())
+    add, done = add_counts, end_of_task
 
     def rows(*cols):
-        return pa.RecordBatch.from_arrays([c if isinstance(c, pa.Array) else pa.array(c, k) for c, k in zip(cols, kinds)], ["part", "doc_id", "n_tokens", "wide", "ids", "hist"])
+        return pa.RecordBatch.from_arrays([c if isinstance(c, pa.Array) else pa.array(c, k) for c, k in zip(cols, kinds)], ["doc_id", "n_tokens", "tie", "wide", "ids", "hist"])
 
     end = b"" if end_id is None else np.asarray([end_id], "<u4").tobytes()
 
@@ -93,19 +89,21 @@ def tokenize(docs: DataFrame, tokenizer: str, end_id: int | None, cuts: list[int
         total = np.zeros(0, np.int64)
         for b in batches:
             for k in range(0, b.num_rows, 256):
-                ids, texts = b.column(0)[k : k + 256], b.column(1)[k : k + 256].to_pylist()
-                parts = [0 if d is None else int(np.searchsorted(bounds, d, side="right")) for d in ids.to_pylist()]
-                counts, wide, out = [], [], []
-                for t in texts:
-                    u4 = np.frombuffer(enc.raw(t) + end, "<u4")
+                part = b.slice(k, 256)
+                counts, ties, wide, out = [], [], [], []
+                for t in part.column(1).to_pylist():
+                    raw = enc.raw(t) + end
+                    u4 = np.frombuffer(raw, "<u4")
                     counts.append(len(u4))
+                    ties.append(zlib.crc32(raw))
                     wide.append(bool(len(u4)) and int(u4.max()) > 0xFFFF)
-                    out.append((u4 if wide[-1] else u4.astype("<u2")).tobytes())
+                    out.append(raw if wide[-1] else u4.astype("<u2").tobytes())
                     total = add(total, np.bincount(u4))
-                yield rows(parts, ids, counts, wide, out, [None] * len(parts))
-        yield rows([-1], pa.array([None], pa.int64()), [0], [False], [None], [total.tobytes()])
+                yield rows(part.column(0), counts, ties, wide, out, [None] * len(counts))
+        yield rows([None], [None], [None], [None], [None], [total.tobytes()])
+        done()
 
-    return docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(run, "part int, doc_id long, n_tokens long, wide boolean, ids binary, hist binary")
+    return docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(run, "doc_id long, n_tokens long, tie long, wide boolean, ids binary, hist binary")
 
 
 def add_counts(total: np.ndarray, c: np.ndarray) -> np.ndarray:
@@ -128,75 +126,74 @@ def frequencies(tokens: DataFrame) -> DataFrame:
         at = np.flatnonzero(total)
         yield pa.RecordBatch.from_arrays([pa.array(at, pa.int64()), pa.array(total[at], pa.int64())], ["id", "n"])
 
-    return tokens.filter("part = -1").select("hist").mapInArrow(run, "id long, n long").groupBy("id").agg(F.sum("n").alias("n"))
+    return tokens.filter("n_tokens is null").select("hist").mapInArrow(run, "id long, n long").groupBy("id").agg(F.sum("n").alias("n"))
 
 
 def write_tokens(docs: DataFrame, tokenizer: str, path: str, end_id: int | None = None) -> None:
     """Tokenize every text and write the folder described above to path."""
     spark = docs.sparkSession
-    parts = partitions_for(spark)
-    tokens = materialize(tokenize(docs, tokenizer, end_id, split_points(docs, parts)), "tokens", "lz4_raw")
+    tokens = materialize(tokenize(docs, tokenizer, end_id), "tokens", "lz4_raw")
     freq = frequencies(tokens).collect()  # bounded by the vocabulary
-    tokens = tokens.filter("part >= 0").drop("hist")
+    tokens = tokens.filter("n_tokens is not null").drop("hist")
     order = sorted(freq, key=lambda r: (-r["n"], r["id"]))
     schema = "rank long, id long, n long"
     spark.createDataFrame([(i, r["id"], r["n"]) for i, r in enumerate(order)], schema).coalesce(1).write.parquet(f"{path}/ranks")
     rank = np.zeros(max((r["id"] for r in order), default=0) + 1, np.uint32)
     rank[[r["id"] for r in order]] = np.arange(len(order))
-    # one row a part: its first start
-    base = tokens.groupBy("part").agg(F.sum("n_tokens").alias("n")).collect()
-    starts, at = {}, 0
-    for r in sorted(base, key=lambda r: r["part"]):
-        starts[r["part"]] = at
-        at += r["n"]
-    first = spark.createDataFrame(list(starts.items()), "part int, base long")
+    parts = max(partitions_for(spark), 2 * sum(r["n"] for r in order) // PART_BYTES + 1)
+    # rows equal in id and checksum may stand in any order, so their place in the written table tells them apart
+    place = [F.col("doc_id").asc_nulls_first(), F.col("tie").asc(), F.col("row").asc()]
+    dealt = tokens.withColumn("row", F.monotonically_increasing_id()).repartitionByRange(parts, *place).sortWithinPartitions(*place)
 
     done = end_of_task
 
     def code(batches):
+        from pyspark import TaskContext
+
+        part, at = TaskContext.get().partitionId(), 0
         for b in batches:
             for k in range(0, b.num_rows, 256):
-                part = b.slice(k, 256)
-                control, data, crc = [], [], []
-                for w, x in zip(part.column(3).to_pylist(), part.column(4).to_pylist()):
-                    ids = np.frombuffer(x, "<u4" if w else "<u2")
-                    c, d = encode_ranks(rank[ids])
+                rows = b.slice(k, 256)
+                control, data = [], []
+                for w, x in zip(rows.column(2).to_pylist(), rows.column(3).to_pylist()):
+                    c, d = encode_ranks(rank[np.frombuffer(x, "<u4" if w else "<u2")])
                     control.append(c)
                     data.append(d)
-                    crc.append(zlib.crc32(x))
-                yield pa.RecordBatch.from_arrays([*(part.column(i) for i in range(3)), pa.array(crc, pa.int64()), pa.array(control, pa.binary()), pa.array(data, pa.binary())], ["part", "doc_id", "n_tokens", "tie", "control", "data"])
+                n = rows.column(1).to_numpy(zero_copy_only=False)
+                ends = at + np.cumsum(n)
+                at = int(ends[-1])
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(n), part, np.int32)), rows.column(0), pa.array(ends - n), rows.column(1), pa.array(control, pa.binary()), pa.array(data, pa.binary())], ["part", "doc_id", "before", "n_tokens", "control", "data"])
         done()
 
-    coded = tokens.mapInArrow(code, "part int, doc_id long, n_tokens long, tie long, control binary, data binary")
-    running = Window.partitionBy("part").orderBy(F.col("doc_id").asc_nulls_first(), "tie").rowsBetween(Window.unboundedPreceding, -1)
-    (
-        coded.repartition(parts, "part")
-        .withColumn("before", F.coalesce(F.sum("n_tokens").over(running), F.lit(0)))
-        .join(first, "part")
-        .select("part", "doc_id", (F.col("base") + F.col("before")).alias("start"), "n_tokens", "control", "data")
-        .sortWithinPartitions("part", "start", F.col("doc_id").asc_nulls_first())
-        .write.option("compression", "zstd")
-        .parquet(f"{path}/docs")
-    )
+    coded = dealt.select("doc_id", "n_tokens", "wide", "ids").mapInArrow(code, DOCS)
+    coded.write.option("compression", "zstd").parquet(f"{path}/docs")
+    counts = spark.read.schema(DOCS).parquet(f"{path}/docs").groupBy("part").agg(F.sum("n_tokens").alias("n")).collect()  # a row a part
+    bases, at = [], 0
+    for r in sorted(counts, key=lambda r: r["part"]):
+        bases.append((r["part"], at))
+        at += r["n"]
+    spark.createDataFrame(bases, "part int, base long").coalesce(1).write.parquet(f"{path}/parts")
 
 
 def read_tokens(spark: SparkSession, path: str, as_ids: bool = False) -> DataFrame:
     """Decode the folder: doc_id, start, n_tokens, ids_crc32 and, if wanted, ids (array<int>)."""
     ranks = spark.read.parquet(f"{path}/ranks").orderBy("rank").collect()  # bounded by the vocabulary
     ids = np.asarray([r["id"] for r in ranks], "<u4")
+    base = {r["part"]: r["base"] for r in spark.read.parquet(f"{path}/parts").collect()}  # a row a part
 
     def run(batches):
         for b in batches:
             crc, out = [], []
-            for n, c, d in zip(b.column(2).to_pylist(), b.column(3).to_pylist(), b.column(4).to_pylist()):
+            for n, c, d in zip(b.column(3).to_pylist(), b.column(4).to_pylist(), b.column(5).to_pylist()):
                 x = ids[decode_ranks(c, d, n)]
                 crc.append(zlib.crc32(x.tobytes()))
                 out.append(x.astype(np.int32) if as_ids else None)
-            cols = [b.column(0), b.column(1), b.column(2), pa.array(crc, pa.int64())] + ([pa.array(out, pa.list_(pa.int32()))] if as_ids else [])
+            start = np.array([base[p] for p in b.column(0).to_pylist()], np.int64) + b.column(2).to_numpy(zero_copy_only=False)
+            cols = [b.column(1), pa.array(start, pa.int64()), b.column(3), pa.array(crc, pa.int64())] + ([pa.array(out, pa.list_(pa.int32()))] if as_ids else [])
             yield pa.RecordBatch.from_arrays(cols, ["doc_id", "start", "n_tokens", "ids_crc32", "ids"][: len(cols)])
 
     schema = "doc_id long, start long, n_tokens long, ids_crc32 long" + (", ids array<int>" if as_ids else "")
-    return spark.read.parquet(f"{path}/docs").select("doc_id", "start", "n_tokens", "control", "data").mapInArrow(run, schema)
+    return spark.read.schema(DOCS).parquet(f"{path}/docs").mapInArrow(run, schema)
 
 
 def token_output(docs: DataFrame, tokenizer: str, end_id: int = 1) -> DataFrame:
