@@ -6,8 +6,8 @@ open bins are counted by remaining capacity in a segment tree, each step finds t
 tightest remaining capacity that holds the length in logarithmic time, and treats all
 equal bins at once. Its outcome is a list of placements (length, first rank, first bin,
 pieces a bin, offset), from which every piece finds its bin by its rank among the pieces
-of its length. Ranks come from counts by (length, salt) and a window inside each salt, so
-a length that a third of all rows share is spread over many tasks.
+of its length. Ranks come from counts by (length, salt) and a window inside each salt; a length has a salt for
+every CROWD pieces, so one that a third of all rows share is spread over many tasks.
 
 Defined results: a null text is empty and packs its end id; repeated doc_ids are packed
 once a row; an empty table gives no rows; extra columns are ignored.
@@ -22,10 +22,11 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import materialize
+from .common import materialize, unused
 from .words import end_of_task, word_encoder
 
-SALTS = 64
+#: Pieces of a length that a task ranks.
+CROWD = 100_000
 
 
 class TightestFit:
@@ -105,18 +106,20 @@ def pack(pieces: DataFrame, capacity: int, order: list[str]) -> DataFrame:
     pieces is read twice, so it must be a table or a deterministic plan.
     """
     spark = pieces.sparkSession
-    salted = pieces.withColumn("_salt", F.pmod(F.xxhash64(*order), F.lit(SALTS)).cast("int"))
-    cells = salted.groupBy("length", "_salt").agg(F.count(F.lit(1)).alias("n")).collect()  # at most capacity * SALTS rows
-    base, hist = {}, {}
-    for r in sorted(cells, key=lambda r: (r["length"], r["_salt"])):
-        base[(r["length"], r["_salt"])] = hist.get(r["length"], 0)
-        hist[r["length"]] = hist.get(r["length"], 0) + r["n"]
-    placed, _ = best_fit_decreasing({int(k): v for k, v in hist.items()}, capacity)
-    by_length: dict[int, tuple[np.ndarray, np.ndarray]] = {}
-    for length in hist:
-        rows = np.asarray([p[1:] for p in placed if p[0] == length], dtype=np.int64)
-        by_length[int(length)] = (rows[:, 0], rows)
-    first = {(int(k), int(s)): v for (k, s), v in base.items()}
+    length_, salts_, salt_, n_ = unused(pieces, "length", "salts", "salt", "n")
+    sizes = pieces.groupBy("length").agg(F.count(F.lit(1)).alias("n")).collect()  # at most capacity rows
+    per = spark.createDataFrame([(int(r["length"]), -(-r["n"] // CROWD)) for r in sizes], f"`{length_}` long, `{salts_}` int")
+    salted = pieces.join(F.broadcast(per), F.col("length") == F.col(length_)).withColumn(salt_, F.pmod(F.xxhash64(*order), F.col(salts_)).cast("int"))
+    cells = salted.groupBy(length_, salt_).agg(F.count(F.lit(1)).alias("n")).collect()  # at most capacity + pieces / CROWD rows
+    first, hist = {}, {}
+    for k, salt, n in sorted(map(tuple, cells)):
+        first[(k, salt)] = hist.get(k, 0)
+        hist[k] = hist.get(k, 0) + n
+    placed, _ = best_fit_decreasing(hist, capacity)
+    grouped: dict[int, list] = {}
+    for length, *p in placed:
+        grouped.setdefault(length, []).append(p)
+    by_length = {k: (rows[:, 0], rows) for k, v in grouped.items() for rows in [np.asarray(v, np.int64)]}
     at, names = len(pieces.columns), pieces.columns
 
     def place(batches):
@@ -136,8 +139,8 @@ def pack(pieces: DataFrame, capacity: int, order: list[str]) -> DataFrame:
                 off[rows] = p[j, 3] + inside % p[j, 2] * k
             yield pa.RecordBatch.from_arrays([*b.columns[:at], pa.array(seq), pa.array(off)], [*names, "sequence_id", "offset"])
 
-    ranked = salted.withColumn("_n", F.row_number().over(Window.partitionBy("length", "_salt").orderBy(*order)))
-    ranked = ranked.select(*names, F.col("length").alias("_length"), "_salt", "_n")
+    ranked = salted.withColumn(n_, F.row_number().over(Window.partitionBy(length_, salt_).orderBy(*order)))
+    ranked = ranked.select(*names, length_, salt_, n_)
     schema = pieces.schema.add("sequence_id", "long").add("offset", "long")
     return ranked.mapInArrow(place, schema)
 
