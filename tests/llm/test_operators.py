@@ -87,6 +87,23 @@ def test_token_output(docs, odd, none, tok):
     assert token_output.token_output(none, tokenizer_path()).count() == 0
 
 
+def test_token_files_ascend_and_start_without_gaps(spark, tmp_path, monkeypatch):
+    rows = [((i * 37) % 500, f"text {i} of some length " * (i % 5)) for i in range(500)] + [(None, f"no id {i}") for i in range(300)] + [(7, "same")] * 200
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(5)
+    monkeypatch.setattr(token_output, "PART_BYTES", 400)
+    path = str(tmp_path / "out")
+    token_output.write_tokens(df, tokenizer_path(), path, 1)
+    files = sorted(p for p in __import__("os").listdir(f"{path}/docs") if p.endswith(".parquet"))
+    assert len(files) > 10
+    seen = [r.doc_id for f in files for r in spark.read.parquet(f"{path}/docs/{f}").orderBy("before").collect()]
+    assert seen == sorted(seen, key=lambda d: (d is not None, d or 0)) and len(seen) == 1000
+    assert max(Counter(r.part for r in spark.read.parquet(f"{path}/docs").filter("doc_id is null or doc_id = 7").collect()).values()) < 150
+    at = 0
+    for r in sorted(token_output.read_tokens(spark, path).collect(), key=lambda r: (r.start, r.n_tokens)):
+        assert r.start == at
+        at += r.n_tokens
+
+
 def test_token_counts(odd, none, tok):
     got = Counter(tuple(r) for r in token_counts.token_counts(odd, tokenizer_path()).collect())
     n = lambda t: len(tok.encode(t, add_special_tokens=False).ids) if t else 0
@@ -126,10 +143,17 @@ def check_packed(rows, cap):
     return len(seqs)
 
 
-def test_packing(docs, odd, none, tok):
-    for df in (docs, odd):
+def test_packing(docs, odd, none, tok, monkeypatch):
+    for df, crowd in ((docs, 100_000), (odd, 100_000), (docs, 2)):
+        monkeypatch.setattr(packing, "CROWD", crowd)
         rows = packing.pack_documents(df, tokenizer_path()).collect()
         assert check_packed(rows, 2048) == brute_best_fit([r.length for r in rows], 2048)
+        pieces = Counter((r.doc_id, r.piece, r.start, r.length, r.ids_crc32) for r in rows)
+        plain = Counter()
+        for r in df.collect():
+            ids = np.asarray((tok.encode(r.text, add_special_tokens=False).ids if r.text else []) + [0], "<u4")
+            plain.update((r.doc_id, k, s, len(ids[s : s + 2048]), zlib.crc32(ids[s : s + 2048].tobytes())) for k, s in enumerate(range(0, len(ids), 2048)))
+        assert pieces == plain
         whole = Counter()
         for r in rows:
             whole[r.doc_id] += r.length
@@ -668,6 +692,74 @@ def test_pipeline_stages_on_planted_cases(spark, docs):
     assert corpus_pipeline.run(spark, sf).count() == len(packed)
 
 
+def plain_pipeline(spark, rows, bench, tok, rejected):
+    """The kept (doc_id, text) by plain Python: line copies and near lines, near copies, passages; rejected: doc_ids of the first stage."""
+    rows = [(d, t) for d, t in rows if d not in rejected]
+
+    def distance(a, b, k):
+        prev = list(range(len(b) + 1))
+        for i, x in enumerate(a, 1):
+            cur = [i]
+            for j, y in enumerate(b, 1):
+                cur.append(min(prev[j] + 1, cur[-1] + 1, prev[j - 1] + (x != y)))
+            if min(cur) > k:
+                return k + 1
+            prev = cur
+        return prev[-1]
+
+    lines, first = {}, {}
+    for d, t in rows:
+        for i, x in enumerate(t.split("\n")):
+            lines[(d, i)] = x
+    for at in sorted(lines):
+        if lines[at].strip(" \t\r\f\x0b"):
+            first.setdefault(lines[at], at)
+    letters = {x: Counter(x) for x in first}
+    by_size = {}
+    for x in first:
+        by_size.setdefault(len(x), []).append(x)
+    near = set()
+    for x, at in first.items():
+        if len(x) >= 20:
+            for n in range(len(x) - 2, len(x) + 3):
+                for y in by_size.get(n, ()):
+                    k = 2 if min(len(x), n) >= 40 else 1
+                    if n >= 20 and abs(n - len(x)) <= k and first[y] < at and sum((letters[x] - letters[y]).values()) <= k and sum((letters[y] - letters[x]).values()) <= k and distance(x, y, k) <= k:
+                        near.add(x)
+    gone = {at for at, x in lines.items() if x in first and (first[x] != at or x in near)}
+    kept = []
+    for d, t in rows:
+        own = [x for i, x in enumerate(t.split("\n")) if (d, i) not in gone]
+        if len(own) == len(t.split("\n")) or "".join(own).strip(" \t\r\f\x0b\n"):
+            kept.append((d, "\n".join(own)))
+    sets = {d: frozenset(tuple(w[i : i + 5]) for w in [re.sub("[A-Z]", lambda m: m[0].lower(), t).split()] for i in range(max(1, len(w) - 4))) for d, t in kept}
+    comp = {d: d for d in sets}
+    pairs = [(d, e) for d in sets for e in sets if d < e and 5 * len(sets[d] & sets[e]) >= 4 * len(sets[d] | sets[e])]
+    for _ in sets:
+        for d, e in pairs:
+            comp[d] = comp[e] = min(comp[d], comp[e])
+    kept = [(d, t) for d, t in kept if comp[d] == d]
+    bad = {d for d, _ in plain_leaks(kept, bench)}
+    return [(d, t) for d, t in kept if d not in bad]
+
+
+def test_pipeline_equals_plain_python(spark, docs):
+    import corpus_pipeline
+
+    sf = "/root/testdata/sf0.001"
+    rows = sorted((r.doc_id, r.text) for r in docs.collect())
+    bench = [(r.item_id, r.text) for r in common.read_table(spark, sf, "benchmark").collect()]
+    rejected = {r.doc_id for r in docs.collect()} - {r.doc_id for r in language.keep_identified(docs).collect()}
+    tok = words.load_tokenizer(tokenizer_path())
+    want = Counter()
+    for d, t in plain_pipeline(spark, rows, bench, tok, rejected):
+        ids = np.asarray(tok.encode(t, add_special_tokens=False).ids + [0], "<u4")
+        want.update((d, k, s, len(ids[s : s + 2048]), zlib.crc32(ids[s : s + 2048].tobytes())) for k, s in enumerate(range(0, len(ids), 2048)))
+    out = corpus_pipeline.run(spark, sf).collect()
+    assert Counter((r.doc_id, r.piece, r.start, r.length, r.ids_crc32) for r in out) == want
+    assert check_packed(out, 2048) == brute_best_fit([r.length for r in out], 2048)
+
+
 CLASHES = "score rejected lang_pred pii d t h th lost old new text_ leaks component first sid sketch _d _t _h _th _gone _bad _text _new _first _top".split()
 
 

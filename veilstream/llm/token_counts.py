@@ -1,7 +1,6 @@
 """Token counts by heap-and-linked-list byte-pair merging; no identifiers are made.
 
-Two kinds of file: tokenizers JSON (byte-level BPE with word ends) through
-words.MergeCounter. Defined results: null text counts 0 tokens and 0 bytes; extra columns
+The file is a tokenizers JSON (byte-level BPE with word ends), read by words.MergeCounter. Defined results: null text counts 0 tokens and 0 bytes; extra columns
 are ignored; repeated rows keep a row each; nothing is shuffled.
 """
 
