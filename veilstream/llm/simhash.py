@@ -165,13 +165,15 @@ class BallJoin:
             self.links.append(np.unique(np.stack([a[ok], b[ok]], axis=1), axis=0))
 
     def forest(self) -> np.ndarray:
-        """The links so far as (smaller, larger) pairs; where meeting links, a spanning forest. Forgets them."""
+        """A spanning forest of the links so far, of which it forgets the rest: of stars where meeting links, else of the nearest pairs."""
         links, self.links = self.links, []
         if not links:
             return np.zeros((0, 2), np.uint64)
-        if self.most is not None:  # each pair is a candidate of its own
-            return np.unique(np.concatenate(links), axis=0)
+        if self.most is not None:  # nearer pairs first, so that a chance meeting never takes the place of a real one
+            pairs = np.unique(np.concatenate(links), axis=0)
+            links = [pairs[np.argsort(popcount(pairs[:, 0] ^ pairs[:, 1]), kind="stable")]]
         up: dict[int, int] = {}
+        tree: list[tuple[int, int]] = []
 
         def top(x: int) -> int:
             while (p := up.get(x, x)) != x:
@@ -184,6 +186,9 @@ class BallJoin:
                 x, y = top(a), top(b)
                 if x != y:
                     up[max(x, y)] = min(x, y)
+                    tree.append((a, b))
+        if self.most is not None:
+            return np.array(tree, np.uint64).reshape(-1, 2)
         return np.array([(top(x), x) for x in up if top(x) != x], np.uint64).reshape(-1, 2)
 
 
@@ -199,14 +204,16 @@ def ball_links(fps: DataFrame, radius: int = 4, bits: int | None = None, width:
     """table?, a, b: links that connect exactly the fingerprints that chains of <= radius differing bits connect.
 
     fps: column fp (long), and perhaps table (int): fingerprints of different tables never meet; distinct.
-    With `width`, the balls span the leading bits only, and the pairs that meet and differ in at most `most` of all bits come one by one.
+    With `width`, the balls span the leading bits only, and the links are pairs that meet and differ in at most `most` of all bits.
     """
     half = radius // 2
     if radius % 2:
         raise ValueError("the radius must be even: each side takes half of it")
     spark = fps.sparkSession
     tabled = "table" in fps.columns
-    bits = bits or prefix_bits(fps.count(), half, width, 4000 if most is None else 40_000)
+    if not bits:
+        tables = fps.select("table").distinct().count() if tabled else 1
+        bits = prefix_bits(fps.count() // max(tables, 1), half, width, 4000 if most is None else BUCKET)
     low, done, ball_join, ones = width - bits, end_of_task, BallJoin, popcount
     parts = F.array(*[F.shiftrightunsigned("fp", BITS - bits).bitwiseXOR(F.lit(m).cast("long")) for m in flips(bits, half)])
     sent = fps.select("fp", (F.col("table") if tabled else F.lit(0)).cast("long").alias("table"), F.explode(parts).alias("part"))
@@ -285,6 +292,8 @@ def drop_rows(docs: DataFrame, near: DataFrame, gone: DataFrame) -> DataFrame:
 
 #: Bits of a sketch's fingerprint that balls span, radius of a meeting, and share of similar pairs that the balls may miss.
 BALL, RADIUS, MISSED = 32, 4, 0.01
+#: Fingerprints that a bucket of a table holds at most, on average: 8 bytes each; more buckets would mean more copies of each.
+BUCKET = 1_000_000
 #: Fixed odd multipliers and offsets that make independent bits from one hash of a shingle.
 SKETCH_SEED = 11
 #: Sets that a task holds at once when a group is compared in blocks.
@@ -301,8 +310,8 @@ def at_most(bits: int, p: float, k: int) -> float:
 
 
 def ball_bits(n: int) -> int:
-    """Bits of a fingerprint for n sets: enough that chance meetings stay a few a set."""
-    return min(48, max(BALL, math.ceil(math.log2(max(n, 2))) + 10))
+    """Bits of a fingerprint for n sets: so many more than log2(n) that chance meetings grow with n, not with its square."""
+    return min(52, max(BALL, math.ceil(math.log2(max(n, 2))) + 16))
 
 
 def tables_for(similarity: float, bits: int) -> int:
@@ -370,14 +379,14 @@ def candidates(once: DataFrame, bits: int, tables: int, similarity: float) -> Da
     # sets with one fingerprint meet at its smallest set; the ball join sees the fingerprint once
     tops = materialize(own.groupBy("table", "fp").agg(F.min("sid").alias("top"), F.count(F.lit(1)).alias("n")), "near-tops")
     equal = own.join(tops.filter("n > 1"), ["table", "fp"]).filter("sid <> top").select(F.col("top").alias("a"), F.col("sid").alias("b"))
-    expected = (BITS - bits) * differing(similarity)
-    most = RADIUS + math.ceil(expected + 3 * math.sqrt(expected))
+    p = differing(similarity)
+    expected = (BITS - bits) * p
+    most = RADIUS + math.ceil(expected + 2.5 * math.sqrt(expected * (1 - p)))
     met = materialize(ball_links(tops.select("table", "fp"), RADIUS, width=bits, most=most).distinct(), "near-met")
     named = lambda side, name: tops.select("table", F.col("fp").alias(side), F.col("top").alias(name))
     ball = met.join(named("a", "s"), ["table", "a"]).join(named("b", "r"), ["table", "b"]).select(F.least("s", "r").alias("a"), F.greatest("s", "r").alias("b"))
     pairs = equal.unionByName(ball).distinct()
     total = 64 * -(-bits * tables // 64)
-    p = differing(similarity)
     near = total * p + 5 * math.sqrt(total * p * (1 - p))
     with_sketch = lambda side, name: once.select(F.col("sid").alias(side), F.col("sketch").alias(name))
     both = pairs.join(with_sketch("a", "x"), "a").join(with_sketch("b", "y"), "b")
@@ -405,7 +414,7 @@ def verified(groups_: DataFrame, sets: DataFrame, similarity: float) -> DataFram
     spark, done, similar = sets.sparkSession, end_of_task, jaccard_at_least
     sized = groups_.groupBy("top").agg(F.count(F.lit(1)).alias("n"))
     held = groups_.join(sized, "top").join(sets, "sid")
-    salts = F.ceil(F.col("n") / (16 * BLOCK)).cast("int")
+    salts = F.ceil(F.col("n") / (2 * BLOCK)).cast("int")
     held = materialize(held.withColumn("salt", F.pmod(F.xxhash64("sid"), salts).cast("int")), "near-held")
     first = held.filter("sid = top").select("top", F.col("shingles").alias("first"), F.explode(F.sequence(F.lit(0), salts - 1)).alias("salt"))
 
