@@ -77,7 +77,7 @@ def tokenize(docs: DataFrame, tokenizer: str, end_id: int | None) -> DataFrame:
     The last row of a task has no n_tokens and, in hist, how often the task met each id.
     """
     kinds = (pa.int64(), pa.int64(), pa.int64(), pa.bool_(), pa.binary(), pa.binary())
-    add, done = add_counts, end_of_task
+    add = add_counts
 
     def rows(*cols):
         return pa.RecordBatch.from_arrays([c if isinstance(c, pa.Array) else pa.array(c, k) for c, k in zip(cols, kinds)], ["doc_id", "n_tokens", "tie", "wide", "ids", "hist"])
@@ -100,8 +100,7 @@ def tokenize(docs: DataFrame, tokenizer: str, end_id: int | None) -> DataFrame:
                     out.append(raw if wide[-1] else u4.astype("<u2").tobytes())
                     total = add(total, np.bincount(u4))
                 yield rows(part.column(0), counts, ties, wide, out, [None] * len(counts))
-        yield rows([None], [None], [None], [None], [None], [total.tobytes()])
-        done()
+        yield rows([None], [None], [None], [None], [None], [total.tobytes()])  # the word dictionary stays for the worker's next task
 
     return docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(run, "doc_id long, n_tokens long, tie long, wide boolean, ids binary, hist binary")
 
