@@ -6,9 +6,9 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.types import ArrayType, BinaryType, StringType
 
-from ..shared import materialize, shared_dir, shared_path
+from ..shared import discard, materialize, shared_dir, shared_path
 
-__all__ = ["BROADCAST_BYTES", "connected_components", "materialize", "partitions_for", "read_table", "shared_dir", "shared_path", "small", "unused"]
+__all__ = ["BROADCAST_BYTES", "connected_components", "discard", "materialize", "partitions_for", "read_table", "shared_dir", "shared_path", "small", "unused"]
 
 
 def read_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -79,6 +79,7 @@ def connected_components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
         small = large.join(low2, "a").filter("b <> m").select(F.col("b").alias("a"), F.col("m").alias("b"))
         nxt = materialize(canon(small.unionByName(low2.select("a", F.col("m").alias("b")))), "cc")
         now = state(nxt)
+        discard(cur)
         cur = nxt
         if now == seen:
             break

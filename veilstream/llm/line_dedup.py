@@ -24,7 +24,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialize, small, unused
+from .common import discard, materialize, small, unused
 
 MIN_CHARS = 20
 #: What a blank line consists of.
@@ -149,8 +149,9 @@ def edit_links(docs: DataFrame, keys: DataFrame) -> DataFrame:
     shared = keys.select("k1", sig).groupBy("sig").agg(F.min("k1").alias("lo"), F.max("k1").alias("hi")).filter("lo <> hi").select("sig")
     shared = materialize(shared, "shared-segments")
     met = materialize(keys.select("k1", "k2", sig).join(small(shared), "sig", "left_semi").distinct(), "met-segments")
-    who = small(materialize(met.select("k1", "k2").distinct(), "met-lines"))
-    texts = lines_of(docs).join(who, ["k1", "k2"], "left_semi").groupBy("k1", "k2").agg(F.min(F.struct("doc_id", "th", "line_no", "line")).alias("f"))
+    discard(shared)
+    who = materialize(met.select("k1", "k2").distinct(), "met-lines")
+    texts = lines_of(docs).join(small(who), ["k1", "k2"], "left_semi").groupBy("k1", "k2").agg(F.min(F.struct("doc_id", "th", "line_no", "line")).alias("f"))
     once = met.join(texts, ["k1", "k2"])
     cand = once.select("sig", "k1", "k2", F.struct("f.doc_id", "f.th", "f.line_no").alias("at"), F.col("f.line").alias("line"), F.length("f.line").alias("n"), letter_counts(F.col("f.line")).alias("letters"))
     cand = materialize(cand, "edit-candidates")
@@ -170,11 +171,13 @@ def edit_links(docs: DataFrame, keys: DataFrame) -> DataFrame:
     swap = F.col("b_at") < F.col("a_at")
     pick = lambda x, y: F.when(swap, F.col(y)).otherwise(F.col(x))
     out = pairs.select(pick("a_k1", "b_k1").alias("k1"), pick("a_k2", "b_k2").alias("k2"), pick("b_k1", "a_k1").alias("l1"), pick("b_k2", "a_k2").alias("l2"), pick("a_at", "b_at").alias("first"), pick("b_at", "a_at").alias("later"))
-    return materialize(out, "edit-links")
+    links = materialize(out, "edit-links")
+    discard(met, who, cand, crowded)
+    return links
 
 
-def repeats(docs: DataFrame) -> DataFrame:
-    """doc_id, th, line_no, exact, near, links of every judged line that is a copy or has an edit link.
+def repeats(docs: DataFrame) -> tuple[DataFrame, list[DataFrame]]:
+    """doc_id, th, line_no, exact, near, links of every judged line that is a copy or has an edit link; and the tables behind it.
 
     exact: not the first occurrence of its text; near: an earlier line lies within the threshold.
     """
@@ -184,8 +187,9 @@ def repeats(docs: DataFrame) -> DataFrame:
     ends = links.select("k1", "k2", F.lit(False).alias("near")).unionByName(links.select(F.col("l1").alias("k1"), F.col("l2").alias("k2"), F.lit(True).alias("near")))
     linked = ends.groupBy("k1", "k2").agg(F.max("near").alias("near"), F.count(F.lit(1)).alias("links"))
     flagged = materialize(twice.join(linked, ["k1", "k2"], "full_outer").select("k1", "k2", "first", F.coalesce("near", F.lit(False)).alias("near"), F.coalesce("links", F.lit(0)).alias("links")), "line-flags")
+    discard(links)
     hit = keys.join(small(flagged), ["k1", "k2"])
-    return hit.select("doc_id", "th", "line_no", (F.col("first").isNotNull() & ~F.struct("doc_id", "th", "line_no").eqNullSafe(F.col("first"))).alias("exact"), "near", "links")
+    return hit.select("doc_id", "th", "line_no", (F.col("first").isNotNull() & ~F.struct("doc_id", "th", "line_no").eqNullSafe(F.col("first"))).alias("exact"), "near", "links"), [keys, flagged]
 
 
 def line_report(docs: DataFrame) -> DataFrame:
@@ -194,7 +198,8 @@ def line_report(docs: DataFrame) -> DataFrame:
     n_near counts first occurrences with an earlier line within the threshold; n_links the
     edit links of the document's lines.
     """
-    found = repeats(docs).groupBy("doc_id", "th").agg(
+    found, _ = repeats(docs)
+    found = found.groupBy("doc_id", "th").agg(
         F.sum(F.col("exact").cast("long")).alias("n_exact"),
         F.sum((F.col("near") & ~F.col("exact")).cast("long")).alias("n_near"),
         F.sum("links").alias("n_links"),
@@ -211,8 +216,10 @@ def line_report(docs: DataFrame) -> DataFrame:
 def dedup_lines(docs: DataFrame) -> DataFrame:
     """docs with the text of each rebuilt from the lines that stay; texts of which none stays go."""
     d, t, h, lost = unused(docs, "d", "t", "h", "lost")
-    drop = repeats(docs).filter("exact or near").groupBy("doc_id", "th").agg(F.collect_set("line_no").alias(lost))  # at most a document's lines
+    hit, behind = repeats(docs)
+    drop = hit.filter("exact or near").groupBy("doc_id", "th").agg(F.collect_set("line_no").alias(lost))  # at most a document's lines
     drop = small(materialize(drop.select(F.col("doc_id").alias(d), F.col("th").alias(t), lost), "lines-gone"))
+    discard(*behind)
     joined = docs.withColumn(h, F.xxhash64("text")).join(drop, F.col("doc_id").cast("long").eqNullSafe(F.col(d)) & (F.col(h) == F.col(t)), "left")
     left = F.filter(F.split("text", "\n"), lambda x, i: ~F.array_contains(lost, i))
     text = F.when(F.col(lost).isNull(), F.col("text")).otherwise(F.array_join(left, "\n"))

@@ -32,7 +32,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import connected_components, materialize, partitions_for, small, unused
+from .common import connected_components, discard, materialize, partitions_for, small, unused
 from .words import end_of_task
 
 SEED = 42
@@ -364,7 +364,7 @@ def sketches(docs: DataFrame, words: int, words64: int) -> DataFrame:
 
 
 def candidates(once: DataFrame, bits: int, tables: int, similarity: float) -> DataFrame:
-    """a, b: pairs of sids that a ball brought together and whose whole sketches are near; once: sid, sketch, written."""
+    """a, b: pairs of sids that a ball brought together and whose whole sketches are near, written; once: sid, sketch, written."""
     cut = windows
 
     def run(batches):
@@ -391,7 +391,9 @@ def candidates(once: DataFrame, bits: int, tables: int, similarity: float) -> Da
     with_sketch = lambda side, name: once.select(F.col("sid").alias(side), F.col("sketch").alias(name))
     both = pairs.join(with_sketch("a", "x"), "a").join(with_sketch("b", "y"), "b")
     apart = F.aggregate(F.zip_with("x", "y", lambda x, y: F.bit_count(x.bitwiseXOR(y))), F.lit(0), lambda s, x: s + x)
-    return both.filter(apart <= near).select("a", "b")
+    out = materialize(both.filter(apart <= near).select("a", "b"), "near-pairs")
+    discard(own, tops, met)
+    return out
 
 
 def jaccard_at_least(a: np.ndarray, b: np.ndarray, similarity: float) -> bool:
