@@ -26,6 +26,7 @@ other id can; an empty table gives no rows; extra columns are kept, whatever the
 from __future__ import annotations
 
 import math
+from functools import cache
 
 import numpy as np
 import pyarrow as pa
@@ -58,13 +59,22 @@ def shingles(text: bytes | None, words: int) -> np.ndarray:
     return np.fromiter((h64(joined[a:b], SEED) for a, b in zip(begins, ends)), np.uint64, len(ends))
 
 
+def ones_of(x: np.ndarray) -> np.ndarray:
+    """How many rows of x (rows x words of 64 bits) have each bit set."""
+    bits = np.unpackbits(x.view(np.uint8).reshape(len(x), -1), axis=1, bitorder="little").view(np.uint64)
+    ones = np.zeros(8 * bits.shape[1], np.int64)
+    for k in range(0, len(bits), 255):  # eight counters of a byte each in a word, none of which runs over
+        ones += np.add.reduce(bits[k : k + 255], axis=0).view(np.uint8)
+    return ones
+
+
 def fingerprint(text: bytes | None, words: int) -> int:
     h = shingles(text, words)
     if not len(h):
         return 0
     ones = np.zeros(BITS, np.int64)
     for s in range(0, len(h), 1 << 16):
-        ones += np.unpackbits(h[s : s + (1 << 16)].view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(axis=0, dtype=np.int64)
+        ones += ones_of(h[s : s + (1 << 16), None])
     return int(np.packbits(2 * ones > len(h), bitorder="little").view("<u8")[0])
 
 
@@ -319,16 +329,21 @@ def tables_for(similarity: float, bits: int) -> int:
     return math.ceil(math.log(MISSED) / math.log1p(-at_most(bits, differing(similarity), RADIUS)))
 
 
+@cache
+def mixers(words64: int) -> tuple[np.ndarray, np.ndarray]:
+    draw = np.random.default_rng(SKETCH_SEED)
+    return draw.integers(0, 1 << 64, words64, np.uint64), draw.integers(0, 1 << 64, words64, np.uint64) | np.uint64(1)
+
+
 def sketch(s: np.ndarray, words64: int) -> np.ndarray:
     """words64 x 64 majority bits of a set of shingle hashes; a tie is a one."""
-    draw = np.random.default_rng(SKETCH_SEED)
-    flip, times = draw.integers(0, 1 << 64, words64, np.uint64), draw.integers(0, 1 << 64, words64, np.uint64) | np.uint64(1)
+    flip, times = mixers(words64)
     ones = np.zeros(64 * words64, np.int64)
     for k in range(0, len(s), 1 << 14):
         x = (s[k : k + (1 << 14), None] ^ flip) * times
         x = (x ^ (x >> np.uint64(32))) * np.uint64(0xD6E8FEB86659FD93)
         x ^= x >> np.uint64(29)
-        ones += np.unpackbits(x.view(np.uint8).reshape(len(x), -1), axis=1, bitorder="little").sum(axis=0, dtype=np.int64)
+        ones += ones_of(x)
     return np.packbits(2 * ones >= len(s), bitorder="little").view("<u8")
 
 
