@@ -199,6 +199,16 @@ def test_simhash_groups_equal_brute_force(spark, docs, odd, none):
     assert simhash.near_duplicates(none).count() == 0
 
 
+def test_bits_counted_eight_to_a_word_equal_plain_counts():
+    draw = np.random.default_rng(1)
+    for n in (1, 254, 255, 256, 1000):
+        for words64 in (1, 5):
+            x = draw.integers(0, 1 << 64, (n, words64), np.uint64)
+            plain = [sum((int(v) >> bit) & 1 for v in x[:, w]) for w in range(words64) for bit in range(64)]
+            assert simhash.ones_of(x).tolist() == plain
+            assert simhash.ones_of(np.full((n, words64), (1 << 64) - 1, np.uint64)).tolist() == [n] * 64 * words64
+
+
 def test_near_dedup_stage_reaches_jaccard_080(spark, docs):
     import corpus_pipeline
 
