@@ -15,8 +15,10 @@ components are contracted in Spark. Copies collapse to one fingerprint beforehan
 `keep_similar` reaches a similarity of shingle sets with the same balls. Two sets of Jaccard
 similarity 0.8 differ in 15 % of their bits, too many for one ball, so a set gets a sketch of
 several independent fingerprints of BALL bits each: every fingerprint is joined by balls of
-radius h, each pair found there is compared by the whole sketch, and what remains is verified by
-the exact Jaccard similarity. The number of fingerprints follows from the wanted recall.
+radius h, every pair that meets there is compared by 128 bits of the sketch in the same task, and what
+remains is verified by the exact Jaccard similarity. The number of fingerprints follows from the wanted
+recall. A bucket hands on a spanning forest of the pairs that pass, which no later test cuts, so the groups
+to verify are those that all such pairs would give.
 
 Defined results: null and empty texts have fingerprint zero and link like any other;
 repeated doc_ids keep a row each; null doc_ids keep a row and name a component only if no
@@ -104,17 +106,10 @@ def popcount(x: np.ndarray) -> np.ndarray:
 
 
 class BallJoin:
-    """Links of one bucket: fingerprints whose variants with a given leading part coincide.
+    """Links of one bucket: fingerprints whose variants with a given leading part coincide; the ball spans the leading `width` bits."""
 
-    The ball spans the leading `width` bits; the bits behind them only tell chance meetings apart: a link needs
-    at most `most` differing bits in all 64.
-    """
-
-    #: Neighbours of a crowded variant that are tried besides its smallest fingerprint, where meeting is not enough.
-    NEIGHBOURS = 16
-
-    def __init__(self, half: int, width: int = BITS, most: int | None = None):
-        self.half, self.width, self.most = half, width, most
+    def __init__(self, half: int, width: int = BITS):
+        self.half, self.width = half, width
         self.masks: dict[tuple[int, int], np.ndarray] = {}
         self.links: list[np.ndarray] = []
 
@@ -156,34 +151,22 @@ class BallJoin:
         owner = np.concatenate([np.repeat(rows, n) for rows, n in who])[hit]
         group = at[hit]
         order = np.lexsort((fps[owner], group))
-        group, f = group[order], fps[owner][order]
+        self.meet(group[order], fps[owner][order])
+
+    def meet(self, group: np.ndarray, f: np.ndarray) -> None:
+        """f: fingerprints by the variant (group) at which they meet, in rising order."""
         starts = np.flatnonzero(np.r_[True, group[1:] != group[:-1]])
         least = np.repeat(f[starts], np.diff(np.r_[starts, len(f)]))
-        self.add(least, f)
-        if self.most is not None:
-            for lag in range(1, self.NEIGHBOURS + 1):
-                same = np.flatnonzero(group[lag:] == group[:-lag])
-                if not len(same):
-                    break
-                self.add(f[same], f[same + lag])
-
-    def add(self, a: np.ndarray, b: np.ndarray) -> None:
-        ok = a != b
-        if self.most is not None:
-            ok &= popcount(a ^ b) <= self.most
+        ok = least != f
         if ok.any():
-            self.links.append(np.unique(np.stack([a[ok], b[ok]], axis=1), axis=0))
+            self.links.append(np.unique(np.stack([least[ok], f[ok]], axis=1), axis=0))
 
     def forest(self) -> np.ndarray:
-        """A spanning forest of the links so far, of which it forgets the rest: of stars where meeting links, else of the nearest pairs."""
+        """A spanning forest, of stars, of the links so far, of which it forgets the rest."""
         links, self.links = self.links, []
         if not links:
             return np.zeros((0, 2), np.uint64)
-        if self.most is not None:  # nearer pairs first, so that a chance meeting never takes the place of a real one
-            pairs = np.unique(np.concatenate(links), axis=0)
-            links = [pairs[np.argsort(popcount(pairs[:, 0] ^ pairs[:, 1]), kind="stable")]]
         up: dict[int, int] = {}
-        tree: list[tuple[int, int]] = []
 
         def top(x: int) -> int:
             while (p := up.get(x, x)) != x:
@@ -196,12 +179,112 @@ class BallJoin:
                 x, y = top(a), top(b)
                 if x != y:
                     up[max(x, y)] = min(x, y)
-                    tree.append((a, b))
-        if self.most is not None:
-            return np.array(tree, np.uint64).reshape(-1, 2)
         return np.array([(top(x), x) for x in up if top(x) != x], np.uint64).reshape(-1, 2)
 
 
+class NearJoin(BallJoin):
+    """Links of one bucket where meeting is not enough: rows whose leading bits meet and that differ in at most `most` of 128 bits.
+
+    Rows with the same leading bits (a lead) make one ball. Every pair of rows that meets is tested, but for
+    those that links already join, so the forest connects what all passing pairs would connect.
+    """
+
+    def __init__(self, half: int, width: int, most: int, x: np.ndarray):
+        """x: two words a row, the leading bits first."""
+        super().__init__(half, width)
+        behind = np.uint64(BITS - width)
+        lead = x[:, 0] >> behind << behind
+        self.order = np.argsort(lead, kind="stable")
+        self.x, self.most, lead = x[self.order], most, lead[self.order]
+        self.begin = np.flatnonzero(np.r_[True, lead[1:] != lead[:-1]])
+        self.end = np.r_[self.begin[1:], len(x)]
+        self.leads, self.many = lead[self.begin], self.end - self.begin > 1
+        self.up, self.tree, self.crossed = list(range(len(x))), [], set()
+        self.refresh()
+        for i in np.flatnonzero(self.many).tolist():
+            self.cross(i, i)
+        self.refresh()
+
+    def top(self, x: int) -> int:
+        up = self.up
+        while (p := up[x]) != x:
+            up[x] = up[p]
+            x = p
+        return x
+
+    def refresh(self) -> None:
+        """label: of each row, the smallest row that links join it to; whole: leads whose rows are all joined. Old labels cost time only."""
+        label = np.array(self.up)
+        while (label[label] != label).any():
+            label = label[label]
+        self.label, self.news = label, 0
+        self.whole = np.minimum.reduceat(label, self.begin) == np.maximum.reduceat(label, self.begin)
+
+    def link(self, a: np.ndarray, b: np.ndarray) -> None:
+        new = self.label[a] != self.label[b]
+        for p in np.unique(a[new] * len(self.x) + b[new]).tolist():
+            a_, b_ = divmod(p, len(self.x))
+            x, y = self.top(a_), self.top(b_)
+            if x != y:
+                self.up[max(x, y)] = min(x, y)
+                self.tree.append((a_, b_))
+                self.news += 1
+
+    def test(self, a: np.ndarray, b: np.ndarray) -> None:
+        ok = popcount(self.x[a] ^ self.x[b]).sum(axis=-1) <= self.most
+        a, b = np.broadcast_arrays(a, b)
+        self.link(a[ok], b[ok])
+
+    def cross(self, i: int, j: int) -> None:
+        """All pairs of a row of lead i and one of lead j, but for those that the first rows' links join."""
+        a, b = np.arange(self.begin[i], self.end[i]), np.arange(self.begin[j], self.end[j])
+        self.test(a[:1], b)
+        self.test(a, b[:1])
+        main = self.top(int(a[0]))
+        far_a, far_b = (np.array([r for r in rows.tolist() if self.top(r) != main], np.int64) for rows in (a, b))
+        for rows, others in ((far_a, b),) if i == j else ((far_a, b), (far_b, a)):
+            step = max(1, (1 << 18) // len(others))
+            for k in range(0, len(rows), step):
+                self.test(rows[k : k + step, None], others[None, :])
+
+    def pairs(self, i: np.ndarray, j: np.ndarray) -> None:
+        """Tests the rows of leads that meet."""
+        if self.news * 64 > len(self.x):
+            self.refresh()
+        left = ~(self.whole[i] & self.whole[j] & (self.label[self.begin[i]] == self.label[self.begin[j]]))
+        i, j = i[left], j[left]
+        many = self.many[i] | self.many[j]
+        self.test(self.begin[i[~many]], self.begin[j[~many]])
+        for p in np.unique(i[many] * len(self.leads) + j[many]).tolist():
+            if p not in self.crossed:
+                self.crossed.add(p)
+                self.cross(*divmod(p, len(self.leads)))
+
+    def meet(self, group: np.ndarray, f: np.ndarray) -> None:
+        at = np.searchsorted(self.leads, f)
+        starts = np.flatnonzero(np.r_[True, group[1:] != group[:-1]])
+        size = np.diff(np.r_[starts, len(at)])
+        first = np.repeat(at[starts], size)
+        self.pairs(first[first != at], at[first != at])
+        if size.max() < 3:
+            return
+        if self.news:
+            self.refresh()
+        joined = self.whole[at] & (self.label[self.begin[at]] == self.label[self.begin[first]])
+        keep = np.repeat((size > 2) & ~np.logical_and.reduceat(joined, starts), size)
+        at, group = at[keep], group[keep]
+        lag, left = 1, np.flatnonzero(group[1:] == group[:-1])
+        while len(left):
+            self.pairs(at[left], at[left + lag])
+            lag += 1
+            left = left[left + lag < len(at)]
+            left = left[group[left + lag] == group[left]]
+
+    def forest(self) -> np.ndarray:
+        """Pairs of rows of the given x."""
+        return self.order[np.array(self.tree, np.int64).reshape(-1, 2)]
+
+
 def prefix_bits(n: int, half: int, width: int = BITS, rows: int = 4000) -> int:
     """Leading bits that make the fingerprints sent to a bucket about `rows` or fewer, on average, for n distinct ones."""
     for bits in range(4, min(25, width - 4)):
@@ -210,56 +293,79 @@ def prefix_bits(n: int, half: int, width: int = BITS, rows: int = 4000) -> int:
     return min(24, width - 5)
 
 
-def ball_links(fps: DataFrame, radius: int = 4, bits: int | None = None, width: int = BITS, most: int | None = None) -> DataFrame:
-    """table?, a, b: links that connect exactly the fingerprints that chains of <= radius differing bits connect.
-
-    fps: column fp (long), and perhaps table (int): fingerprints of different tables never meet; distinct.
-    With `width`, the balls span the leading bits only, and the links are pairs that meet and differ in at most `most` of all bits.
-    """
+def to_buckets(rows: DataFrame, half: int, bits: int) -> DataFrame:
+    """rows once for each leading part that its ball reaches, in order of the bucket (long); fp and perhaps table (int) are columns of rows."""
+    parts = F.array(*[(F.shiftrightunsigned("fp", BITS - bits) if bits else F.lit(0).cast("long")).bitwiseXOR(F.lit(m).cast("long")) for m in flips(bits, half)])
+    table = (F.col("table") if "table" in rows.columns else F.lit(0)).cast("long")
+    held = [c for c in rows.columns if c != "table"]
+    sent = rows.select(*held, table.alias("_table"), F.explode(parts).alias("_part"))
+    sent = sent.select(F.shiftleft("_table", bits).bitwiseOR(F.col("_part")).alias("bucket"), *held)
+    return sent.repartition(partitions_for(rows.sparkSession), "bucket").sortWithinPartitions("bucket")
+
+
+def each_bucket(batches):
+    """(bucket, its other columns as arrays) of batches in order of their first column."""
+    now, held = None, []
+    for batch in batches:
+        if not batch.num_rows:
+            continue
+        b, *cols = (c.to_numpy(zero_copy_only=False) for c in batch.columns)
+        cuts = np.flatnonzero(np.r_[True, b[1:] != b[:-1]]).tolist()
+        for s, e in zip(cuts, [*cuts[1:], len(b)]):
+            if b[s] != now:
+                if held:
+                    yield now, [np.concatenate(c) for c in zip(*held)]
+                now, held = int(b[s]), []
+            held.append([c[s:e] for c in cols])
+    if held:
+        yield now, [np.concatenate(c) for c in zip(*held)]
+
+
+def link_batches(a: np.ndarray, b: np.ndarray):
+    for s in range(0, len(a), 50_000):
+        yield pa.RecordBatch.from_arrays([pa.array(a[s : s + 50_000]), pa.array(b[s : s + 50_000])], ["a", "b"])
+
+
+def ball_links(fps: DataFrame, radius: int = 4, bits: int | None = None) -> DataFrame:
+    """a, b: links that connect exactly the fingerprints (fp, long, distinct) that chains of <= radius differing bits connect."""
     half = radius // 2
     if radius % 2:
         raise ValueError("the radius must be even: each side takes half of it")
-    spark = fps.sparkSession
-    tabled = "table" in fps.columns
-    if not bits:
-        tables = fps.select("table").distinct().count() if tabled else 1
-        bits = prefix_bits(fps.count() // max(tables, 1), half, width, 4000 if most is None else BUCKET)
-    low, done, ball_join, ones = width - bits, end_of_task, BallJoin, popcount
-    parts = F.array(*[F.shiftrightunsigned("fp", BITS - bits).bitwiseXOR(F.lit(m).cast("long")) for m in flips(bits, half)])
-    sent = fps.select("fp", (F.col("table") if tabled else F.lit(0)).cast("long").alias("table"), F.explode(parts).alias("part"))
-    sent = sent.select("fp", (F.shiftleft("table", bits).bitwiseOR(F.col("part"))).alias("bucket"))
-    sent = sent.repartition(partitions_for(spark), "bucket").sortWithinPartitions("bucket")
-    lead = np.int64((1 << bits) - 1)
+    bits = bits or prefix_bits(fps.count(), half)
+    low, done, ball_join, ones, buckets, out = BITS - bits, end_of_task, BallJoin, popcount, each_bucket, link_batches
 
     def run(batches):
-        ball = ball_join(half, width, most)
-
-        def work(bucket: int, parts: list[np.ndarray]):
-            x = np.concatenate(parts).view(np.uint64)
-            ball.join(x, half - ones((x >> np.uint64(BITS - bits)) ^ np.uint64(bucket & lead)).astype(np.int64), low)
+        ball = ball_join(half)
+        for bucket, (f,) in buckets(batches):
+            x = f.view(np.uint64)
+            ball.join(x, half - ones((x >> np.uint64(low)) ^ np.uint64(bucket)).astype(np.int64), low)
             got = ball.forest().view(np.int64)
-            for s in range(0, len(got), 50_000):
-                part = got[s : s + 50_000]
-                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(part), bucket >> bits), pa.int32()), pa.array(part[:, 0]), pa.array(part[:, 1])], ["table", "a", "b"])
-
-        now, held = None, []
-        for batch in batches:
-            if not batch.num_rows:
-                continue
-            f, b = (batch.column(c).to_numpy(zero_copy_only=False) for c in (0, 1))
-            cuts = np.flatnonzero(np.r_[True, b[1:] != b[:-1]]).tolist()
-            for s, e in zip(cuts, [*cuts[1:], len(b)]):
-                if b[s] != now:
-                    if held:
-                        yield from work(now, held)
-                    now, held = int(b[s]), []
-                held.append(f[s:e])
-        if held:
-            yield from work(now, held)
+            yield from out(got[:, 0], got[:, 1])
         done()
 
-    out = sent.mapInArrow(run, "table int, a long, b long")
-    return out if tabled else out.select("a", "b")
+    return to_buckets(fps.select("fp"), half, bits).mapInArrow(run, "a long, b long")
+
+
+def near_links(rows: DataFrame, width: int, most: int) -> DataFrame:
+    """a, b: links of sids that connect what all pairs connect that meet within RADIUS of the leading `width` bits of fp and differ in at most `most` of the 128 bits.
+
+    rows: table (int), fp, more (long), sid, written; only rows of one table meet.
+    """
+    half = RADIUS // 2
+    tables = rows.select("table").distinct().count()
+    bits = prefix_bits(rows.count() // max(tables, 1), half, width, BUCKET)
+    lead, done, near_join, ones, buckets, out = np.int64((1 << bits) - 1), end_of_task, NearJoin, popcount, each_bucket, link_batches
+
+    def run(batches):
+        for bucket, (fp, more, sid) in buckets(batches):
+            ball = near_join(half, width, most, np.stack([fp, more], axis=1).view(np.uint64))
+            own = ball.leads >> np.uint64(BITS - bits)
+            ball.join(ball.leads, half - ones(own ^ np.uint64(bucket & lead)).astype(np.int64), width - bits)
+            got = sid[ball.forest()]
+            yield from out(got[:, 0], got[:, 1])
+        done()
+
+    return to_buckets(rows.select("table", "fp", "more", "sid"), half, bits).mapInArrow(run, "a long, b long")
 
 
 def groups(docs: DataFrame, words: int = 4, radius: int = 4) -> DataFrame:
@@ -348,12 +454,13 @@ def sketch(s: np.ndarray, words64: int) -> np.ndarray:
 
 
 def windows(sk: np.ndarray, bits: int, tables: int) -> np.ndarray:
-    """Fingerprint t of a sketch: 64 bits from bit t * bits on, going round; the leading `bits` are its own."""
-    n, out = len(sk), np.zeros(tables, np.uint64)
+    """Fingerprint t of sketches (a row each): two words from bit t * bits on, going round; the leading `bits` are its own."""
+    n, out = sk.shape[1], np.zeros((len(sk), tables, 2), np.uint64)
     for t in range(tables):
         i, o = divmod(t * bits, 64)
-        a, b = sk[i % n], sk[(i + 1) % n]
-        out[t] = a if not o else (a << np.uint64(o)) | (b >> np.uint64(64 - o))
+        for k in range(2):
+            a, b = sk[:, (i + k) % n], sk[:, (i + k + 1) % n]
+            out[:, t, k] = a if not o else (a << np.uint64(o)) | (b >> np.uint64(64 - o))
     return out
 
 
@@ -378,8 +485,13 @@ def sketches(docs: DataFrame, words: int, words64: int) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long"), F.xxhash64("text"), F.col("text").cast("binary")).mapInArrow(run, "doc_id long, th long, sid long, sketch array<long>")
 
 
+def sketch_words(bits: int, tables: int) -> int:
+    """Words of 64 bits that hold a fingerprint's 128 bits and all tables."""
+    return max(2, -(-bits * tables // 64))
+
+
 def candidates(once: DataFrame, bits: int, tables: int, similarity: float) -> DataFrame:
-    """a, b: pairs of sids that a ball brought together and whose whole sketches are near, written; once: sid, sketch, written."""
+    """a, b: pairs of sids that connect all that a ball brings together with near sketches, written; once: sid, sketch, written."""
     cut = windows
 
     def run(batches):
@@ -387,27 +499,15 @@ def candidates(once: DataFrame, bits: int, tables: int, similarity: float) -> Da
             for k in range(0, b.num_rows, 4096):
                 part = b.slice(k, 4096)
                 sk = part.column(1).flatten().to_numpy(zero_copy_only=False).view(np.uint64).reshape(part.num_rows, -1)
-                fp = np.stack([cut(x, bits, tables) for x in sk]).view(np.int64) if len(sk) else np.zeros((0, tables), np.int64)
-                yield pa.RecordBatch.from_arrays([pa.array(np.repeat(part.column(0).to_numpy(zero_copy_only=False), tables)), pa.array(np.tile(np.arange(tables, dtype=np.int32), len(sk))), pa.array(fp.reshape(-1))], ["sid", "table", "fp"])
+                fp = cut(sk, bits, tables).view(np.int64).reshape(-1, 2)
+                yield pa.RecordBatch.from_arrays([pa.array(np.repeat(part.column(0).to_numpy(zero_copy_only=False), tables)), pa.array(np.tile(np.arange(tables, dtype=np.int32), len(sk))), pa.array(fp[:, 0]), pa.array(fp[:, 1])], ["sid", "table", "fp", "more"])
 
-    own = materialize(once.select("sid", "sketch").mapInArrow(run, "sid long, table int, fp long"), "near-fingerprints")
-    # sets with one fingerprint meet at its smallest set; the ball join sees the fingerprint once
-    tops = materialize(own.groupBy("table", "fp").agg(F.min("sid").alias("top"), F.count(F.lit(1)).alias("n")), "near-tops")
-    equal = own.join(tops.filter("n > 1"), ["table", "fp"]).filter("sid <> top").select(F.col("top").alias("a"), F.col("sid").alias("b"))
+    own = materialize(once.select("sid", "sketch").mapInArrow(run, "sid long, table int, fp long, more long"), "near-fingerprints")
     p = differing(similarity)
-    expected = (BITS - bits) * p
-    most = RADIUS + math.ceil(expected + 2.5 * math.sqrt(expected * (1 - p)))
-    met = materialize(ball_links(tops.select("table", "fp"), RADIUS, width=bits, most=most).distinct(), "near-met")
-    named = lambda side, name: tops.select("table", F.col("fp").alias(side), F.col("top").alias(name))
-    ball = met.join(named("a", "s"), ["table", "a"]).join(named("b", "r"), ["table", "b"]).select(F.least("s", "r").alias("a"), F.greatest("s", "r").alias("b"))
-    pairs = equal.unionByName(ball).distinct()
-    total = 64 * -(-bits * tables // 64)
-    near = total * p + 5 * math.sqrt(total * p * (1 - p))
-    with_sketch = lambda side, name: once.select(F.col("sid").alias(side), F.col("sketch").alias(name))
-    both = pairs.join(with_sketch("a", "x"), "a").join(with_sketch("b", "y"), "b")
-    apart = F.aggregate(F.zip_with("x", "y", lambda x, y: F.bit_count(x.bitwiseXOR(y))), F.lit(0), lambda s, x: s + x)
-    out = materialize(both.filter(apart <= near).select("a", "b"), "near-pairs")
-    discard(own, tops, met)
+    expected = (2 * BITS - bits) * p
+    most = RADIUS + math.ceil(expected + 3 * math.sqrt(expected * (1 - p)))
+    out = materialize(near_links(own, bits, most).distinct(), "near-pairs")
+    discard(own)
     return out
 
 
@@ -478,7 +578,7 @@ def similar_groups(docs: DataFrame, words: int, similarity: float) -> DataFrame:
     n = docs.count()
     bits = ball_bits(n)
     tables = tables_for(similarity, bits)
-    rows = materialize(sketches(docs, words, -(-bits * tables // 64)), "near-rows")
+    rows = materialize(sketches(docs, words, sketch_words(bits, tables)), "near-rows")
     once = rows.groupBy("sid").agg(F.min_by(F.struct("doc_id", "th"), F.struct(F.col("doc_id").isNull(), "doc_id", "th")).alias("of"), F.first("sketch").alias("sketch"))
     once = materialize(once, "near-sketches")
     met = connected_components(candidates(once, bits, tables, similarity))
