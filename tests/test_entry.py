@@ -40,3 +40,12 @@ def test_entry(spark):
 
 def test_registry_has_no_sql_without_a_query():
     assert set(entry.oracle_sql()) <= set(entry.queries())
+
+
+#: Queries that once made their rows on the driver or from a range.
+ON_TABLES = ["calibration"]
+
+
+@pytest.mark.parametrize("name", ON_TABLES)
+def test_query_reads_a_given_table(spark, sf, name):
+    assert any(f.startswith(f"file://{sf}/") for f in own.queries()[name](spark, sf).inputFiles())
