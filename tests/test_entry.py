@@ -43,7 +43,7 @@ def test_registry_has_no_sql_without_a_query():
 
 
 #: Queries that once made their rows on the driver or from a range.
-ON_TABLES = ["calibration", "eps_sweep_thresholds"]
+ON_TABLES = ["calibration", "eps_sweep_thresholds", "ledger"]
 
 
 @pytest.mark.parametrize("name", ON_TABLES)
