@@ -43,7 +43,7 @@ def test_registry_has_no_sql_without_a_query():
 
 
 #: Queries that once made their rows on the driver or from a range.
-ON_TABLES = ["calibration", "eps_sweep_thresholds", "ledger", "node_noise", "prefix_bottom_up", "prefix_plain", "prefix_variance", "tau_per_trigger"]
+ON_TABLES = ["calibration", "eps_sweep_thresholds", "ledger", "node_noise", "prefix_bottom_up", "prefix_plain", "prefix_variance", "tau_per_trigger", "uniform_key_loads"]
 
 
 @pytest.mark.parametrize("name", ON_TABLES)
