@@ -232,6 +232,18 @@ def test_near_dedup_stage_reaches_jaccard_080(spark, docs):
     assert {r.doc_id for r in corpus_pipeline.near_dedup(spark, df, "").collect()} == set(comp.values())
 
 
+def test_rows_coded_together_equal_rows_coded_one_by_one():
+    draw = np.random.default_rng(9)
+    for most in (200, 60_000, 1 << 32):
+        rows = [draw.integers(0, most, n, np.uint32) for n in (0, 1, 3, 4, 5, 0, 257, 0)]
+        sizes = np.array([len(r) for r in rows])
+        control, data = token_output.encode_rows(np.concatenate(rows), sizes)
+        assert list(zip(control.to_pylist(), data.to_pylist())) == [token_output.encode_ranks(r) for r in rows]
+        assert token_output.decode_rows(control.to_pylist(), data.to_pylist(), sizes).tolist() == np.concatenate(rows).tolist()
+    empty = np.zeros(0, np.int64)
+    assert len(token_output.encode_rows(empty, empty)[0]) == 0 and len(token_output.decode_rows([], [], empty)) == 0
+
+
 def test_crowded_variants_lose_no_near_pair(spark):
     """4,096 fingerprints of which 79 or more meet at a variant; 100 pairs (4 bits apart there) have near sketches and all others far ones."""
     bits = 32

@@ -71,13 +71,53 @@ def decode_ranks(control: bytes, data: bytes, n: int) -> np.ndarray:
     return out
 
 
+def binaries(data: np.ndarray, ends: np.ndarray) -> pa.Array:
+    """Binary values that stand in a row in data (bytes), by their ends."""
+    return pa.Array.from_buffers(pa.binary(), len(ends), [None, pa.py_buffer(np.r_[0, ends].astype(np.int32)), pa.py_buffer(np.ascontiguousarray(data))])
+
+
+def slots(sizes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Where the values of rows of the given sizes stand when every row begins at a multiple of four, and the ends of the rows there."""
+    padded = -(-sizes // 4) * 4
+    ends = np.cumsum(padded)
+    return np.arange(int(sizes.sum())) + np.repeat(ends - padded - (np.cumsum(sizes) - sizes), sizes), ends
+
+
+def encode_rows(ranks: np.ndarray, sizes: np.ndarray) -> tuple[pa.Array, pa.Array]:
+    """(control, data) of rows of unsigned 32-bit values, as encode_ranks gives them one by one."""
+    v = np.ascontiguousarray(ranks, dtype="<u4")
+    extra = (v > 0xFF).astype(np.uint8) + (v > 0xFFFF) + (v > 0xFFFFFF)
+    at, ends = slots(sizes)
+    codes = np.zeros(int(ends[-1]) if len(ends) else 0, np.uint8)
+    codes[at] = extra
+    codes = codes.reshape(-1, 4)
+    control = codes[:, 0] | codes[:, 1] << 2 | codes[:, 2] << 4 | codes[:, 3] << 6
+    wide = int(extra.max(initial=0)) + 1
+    data = v.view(np.uint8).reshape(len(v), 4)[:, :wide][np.arange(wide) <= extra[:, None]]
+    return binaries(control, ends // 4), binaries(data, np.r_[0, np.cumsum(extra + 1, dtype=np.int64)][np.cumsum(sizes)])
+
+
+def decode_rows(control: list[bytes], data: list[bytes], sizes: np.ndarray) -> np.ndarray:
+    """The values of all rows, one row behind the other."""
+    size = LENGTHS[np.frombuffer(b"".join(control), np.uint8)].reshape(-1)[slots(sizes)[0]]
+    at = np.cumsum(size) - size
+    raw = np.frombuffer(b"".join(data) + b"\0\0\0", np.uint8)
+    out = raw[at].astype(np.uint32)
+    for k in (1, 2, 3):
+        more = np.flatnonzero(size > k)
+        if not len(more):
+            break
+        out[more] |= raw[at[more] + k].astype(np.uint32) << np.uint32(8 * k)
+    return out
+
+
 def tokenize(docs: DataFrame, tokenizer: str, end_id: int | None) -> DataFrame:
     """doc_id, n_tokens, tie (checksum of the ids), wide, ids (little-endian 16- or 32-bit, see wide) of every whole text.
 
     The last row of a task has no n_tokens and, in hist, how often the task met each id.
     """
     kinds = (pa.int64(), pa.int64(), pa.int64(), pa.bool_(), pa.binary(), pa.binary())
-    add = add_counts
+    add, as_rows = add_counts, binaries
 
     def rows(*cols):
         return pa.RecordBatch.from_arrays([c if isinstance(c, pa.Array) else pa.array(c, k) for c, k in zip(cols, kinds)], ["doc_id", "n_tokens", "tie", "wide", "ids", "hist"])
@@ -90,15 +130,16 @@ def tokenize(docs: DataFrame, tokenizer: str, end_id: int | None) -> DataFrame:
         for b in batches:
             for k in range(0, b.num_rows, 256):
                 part = b.slice(k, 256)
-                counts, ties, wide, out = [], [], [], []
-                for t in part.column(1).to_pylist():
-                    raw = enc.raw(t) + end
-                    u4 = np.frombuffer(raw, "<u4")
-                    counts.append(len(u4))
-                    ties.append(zlib.crc32(raw))
-                    wide.append(bool(len(u4)) and int(u4.max()) > 0xFFFF)
-                    out.append(raw if wide[-1] else u4.astype("<u2").tobytes())
-                    total = add(total, np.bincount(u4))
+                raws = [enc.raw(t) + end for t in part.column(1).to_pylist()]
+                counts, ties = [len(x) // 4 for x in raws], list(map(zlib.crc32, raws))
+                u4 = np.frombuffer(b"".join(raws), "<u4")
+                total = add(total, np.bincount(u4))
+                wide = [False] * len(raws)
+                if u4.max(initial=0) > 0xFFFF:
+                    wide = [bool(x) and int(np.frombuffer(x, "<u4").max()) > 0xFFFF for x in raws]
+                    out = [x if w else np.frombuffer(x, "<u4").astype("<u2").tobytes() for w, x in zip(wide, raws)]
+                else:
+                    out = as_rows(u4.astype("<u2").view(np.uint8), 2 * np.cumsum(counts))
                 yield rows(part.column(0), counts, ties, wide, out, [None] * len(counts))
         yield rows([None], [None], [None], [None], [None], [total.tobytes()])  # the word dictionary stays for the worker's next task
 
@@ -144,7 +185,7 @@ def write_tokens(docs: DataFrame, tokenizer: str, path: str, end_id: int | None
     place = [F.col("doc_id").asc_nulls_first(), F.col("tie").asc(), F.col("row").asc()]
     dealt = tokens.withColumn("row", F.monotonically_increasing_id()).repartitionByRange(parts, *place).sortWithinPartitions(*place)
 
-    done = end_of_task
+    done, encode = end_of_task, encode_rows
 
     def code(batches):
         from pyspark import TaskContext
@@ -153,15 +194,16 @@ def write_tokens(docs: DataFrame, tokenizer: str, path: str, end_id: int | None
         for b in batches:
             for k in range(0, b.num_rows, 256):
                 rows = b.slice(k, 256)
-                control, data = [], []
-                for w, x in zip(rows.column(2).to_pylist(), rows.column(3).to_pylist()):
-                    c, d = encode_ranks(rank[np.frombuffer(x, "<u4" if w else "<u2")])
-                    control.append(c)
-                    data.append(d)
+                wide, held = rows.column(2).to_pylist(), rows.column(3).to_pylist()
+                if any(wide):
+                    ids = np.concatenate([np.frombuffer(x, "<u4" if w else "<u2").astype(np.uint32) for w, x in zip(wide, held)])
+                else:
+                    ids = np.frombuffer(b"".join(held), "<u2")
                 n = rows.column(1).to_numpy(zero_copy_only=False)
+                control, data = encode(rank[ids], n)
                 ends = at + np.cumsum(n)
                 at = int(ends[-1])
-                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(n), part, np.int32)), rows.column(0), pa.array(ends - n), rows.column(1), pa.array(control, pa.binary()), pa.array(data, pa.binary())], ["part", "doc_id", "before", "n_tokens", "control", "data"])
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(n), part, np.int32)), rows.column(0), pa.array(ends - n), rows.column(1), control, data], ["part", "doc_id", "before", "n_tokens", "control", "data"])
         done()
 
     coded = dealt.select("doc_id", "n_tokens", "wide", "ids").mapInArrow(code, DOCS)
@@ -180,16 +222,22 @@ def read_tokens(spark: SparkSession, path: str, as_ids: bool = False) -> DataFra
     ids = np.asarray([r["id"] for r in ranks], "<u4")
     base = {r["part"]: r["base"] for r in spark.read.parquet(f"{path}/parts").collect()}  # a row a part
 
+    decode = decode_rows
+
     def run(batches):
-        for b in batches:
-            crc, out = [], []
-            for n, c, d in zip(b.column(3).to_pylist(), b.column(4).to_pylist(), b.column(5).to_pylist()):
-                x = ids[decode_ranks(c, d, n)]
-                crc.append(zlib.crc32(x.tobytes()))
-                out.append(x.astype(np.int32) if as_ids else None)
-            start = np.array([base[p] for p in b.column(0).to_pylist()], np.int64) + b.column(2).to_numpy(zero_copy_only=False)
-            cols = [b.column(1), pa.array(start, pa.int64()), b.column(3), pa.array(crc, pa.int64())] + ([pa.array(out, pa.list_(pa.int32()))] if as_ids else [])
-            yield pa.RecordBatch.from_arrays(cols, ["doc_id", "start", "n_tokens", "ids_crc32", "ids"][: len(cols)])
+        for whole in batches:
+            for k in range(0, whole.num_rows, 256):
+                b = whole.slice(k, 256)
+                n = b.column(3).to_numpy(zero_copy_only=False)
+                x = ids[decode(b.column(4).to_pylist(), b.column(5).to_pylist(), n)]
+                ends = np.cumsum(n)
+                raw, cuts = memoryview(x.view(np.uint8)), (4 * np.r_[0, ends]).tolist()
+                crc = [zlib.crc32(raw[p:q]) for p, q in zip(cuts, cuts[1:])]
+                start = np.array([base[p] for p in b.column(0).to_pylist()], np.int64) + b.column(2).to_numpy(zero_copy_only=False)
+                cols = [b.column(1), pa.array(start, pa.int64()), b.column(3), pa.array(crc, pa.int64())]
+                if as_ids:
+                    cols.append(pa.array(np.split(x.astype(np.int32), ends[:-1]), pa.list_(pa.int32())))
+                yield pa.RecordBatch.from_arrays(cols, ["doc_id", "start", "n_tokens", "ids_crc32", "ids"][: len(cols)])
 
     schema = "doc_id long, start long, n_tokens long, ids_crc32 long" + (", ids array<int>" if as_ids else "")
     return spark.read.schema(DOCS).parquet(f"{path}/docs").mapInArrow(run, schema)
