@@ -285,9 +285,9 @@ class NearJoin(BallJoin):
         return self.order[np.array(self.tree, np.int64).reshape(-1, 2)]
 
 
-def prefix_bits(n: int, half: int, width: int = BITS, rows: int = 4000) -> int:
-    """Leading bits that make the fingerprints sent to a bucket about `rows` or fewer, on average, for n distinct ones."""
-    for bits in range(4, min(25, width - 4)):
+def prefix_bits(n: int, half: int, width: int = BITS, rows: int = 4000, least: int = 4) -> int:
+    """Leading bits, `least` of them or more, that make the fingerprints sent to a bucket about `rows` or fewer, on average, for n distinct ones."""
+    for bits in range(least, min(25, width - 4)):
         if n * len(flips(bits, half)) / 2**bits <= rows:
             return bits
     return min(24, width - 5)
@@ -295,7 +295,7 @@ def prefix_bits(n: int, half: int, width: int = BITS, rows: int = 4000) -> int:
 
 def to_buckets(rows: DataFrame, half: int, bits: int) -> DataFrame:
     """rows once for each leading part that its ball reaches, in order of the bucket (long); fp and perhaps table (int) are columns of rows."""
-    parts = F.array(*[(F.shiftrightunsigned("fp", BITS - bits) if bits else F.lit(0).cast("long")).bitwiseXOR(F.lit(m).cast("long")) for m in flips(bits, half)])
+    parts = F.array(*[F.shiftrightunsigned("fp", BITS - bits).bitwiseXOR(F.lit(m).cast("long")) for m in flips(bits, half)])
     table = (F.col("table") if "table" in rows.columns else F.lit(0)).cast("long")
     held = [c for c in rows.columns if c != "table"]
     sent = rows.select(*held, table.alias("_table"), F.explode(parts).alias("_part"))
@@ -353,7 +353,7 @@ def near_links(rows: DataFrame, width: int, most: int) -> DataFrame:
     """
     half = RADIUS // 2
     tables = rows.select("table").distinct().count()
-    bits = prefix_bits(rows.count() // max(tables, 1), half, width, BUCKET)
+    bits = prefix_bits(rows.count() // max(tables, 1), half, width, BUCKET, 2)
     lead, done, near_join, ones, buckets, out = np.int64((1 << bits) - 1), end_of_task, NearJoin, popcount, each_bucket, link_batches
 
     def run(batches):
@@ -363,6 +363,7 @@ def near_links(rows: DataFrame, width: int, most: int) -> DataFrame:
             ball.join(ball.leads, half - ones(own ^ np.uint64(bucket & lead)).astype(np.int64), width - bits)
             got = sid[ball.forest()]
             yield from out(got[:, 0], got[:, 1])
+        fp = more = sid = ball = own = got = None  # so that all of it goes back to the machine
         done()
 
     return to_buckets(rows.select("table", "fp", "more", "sid"), half, bits).mapInArrow(run, "a long, b long")
